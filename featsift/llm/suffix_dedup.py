@@ -412,3 +412,29 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array([a - len(b) for a, b in zip(sizes, kept)], pa.int64()), pa.array(runs, pa.int64()), pa.array(kept, pa.binary())], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept"])
 
     return rows.join(spans, "doc_id", "left").mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
+
+
+def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size_col: str | None = "n_chars") -> DataFrame:
+    """``docs`` with the repeated bytes cut out of the text and the size column set anew; all rows and other columns stay.
+
+    A character of which only some bytes are left goes too.  Null texts stay null; emptied ones become empty.
+    """
+    ids = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    spans = removed_spans(ids.where("doc_id IS NOT NULL")).select(F.col("doc_id").alias("_node"), F.col("spans").alias("_spans"))
+    at, schema = docs.columns.index(text_col), docs.schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = []
+            for text, s in zip(batch.column(at), batch.column(batch.num_columns - 1).to_pylist()):
+                data = text.as_py()
+                texts.append(cut(data.encode(), s)[0].decode("utf-8", "ignore") if s else data)
+            columns = list(batch.columns[:-1])
+            columns[at] = pa.array(texts, pa.string())
+            yield pa.RecordBatch.from_arrays(columns, names=schema.names)
+
+    joined = docs.join(spans, docs[id_col].cast("long") == spans["_node"], "left").drop("_node")
+    out = joined.mapInArrow(run, schema)
+    if size_col in docs.columns:
+        out = out.withColumn(size_col, F.length(text_col).cast(schema[size_col].dataType))
+    return out
