@@ -52,3 +52,24 @@ def slices(batches, size: int):
 
 def record(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, t) for c, t in zip(columns, schema.types)], schema=schema)
+
+
+#: Words of the membership bitmap: 2^20 of 64 bits, whatever the number of ids.
+_WORD_BITS = 20
+
+
+def _place(id_col: str):
+    return F.pmod(F.xxhash64(id_col), F.lit(64 << _WORD_BITS))
+
+
+def maybe_among(rows: DataFrame, ids: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """Adds _maybe: false only if a row's id isn't among ``ids``.
+
+    The bitmap that is broadcast has at most 2^20 rows of two integers; as it fills up it lets more rows through, which
+    the join that follows takes out.  It spares that join the texts of most rows.
+    """
+    bits = ids.select(F.shiftright(_place(id_col), 6).alias("_word"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64({id_col}), 64) as int))").alias("_bit"))
+    words = bits.groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
+    placed = rows.withColumn("_word", F.shiftright(_place(id_col), 6))
+    here = F.expr(f"coalesce(shiftrightunsigned(_bits, cast(pmod(xxhash64({id_col}), 64) as int)) & 1L, 0L) = 1L")
+    return placed.join(F.broadcast(words), "_word", "left").withColumn("_maybe", here).drop("_word", "_bits")

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_text, saved
+from .common import id_text, maybe_among, saved
 from .components import connected_components
 
 BANDS, ROWS = 42, 6
@@ -41,7 +41,7 @@ _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 class _WordHashes(dict):
     """Hashes of the words seen by a Python worker, the first ``most`` of them kept."""
 
-    def __init__(self, most: int = 500_000):
+    def __init__(self, most: int = 200_000):
         self.most = most
 
     def __missing__(self, word: bytes) -> int:
@@ -285,8 +285,8 @@ def verified_links(docs: DataFrame, groups: DataFrame, width: int, threshold: Fr
     size = F.col("n_shingles") * 8 + 4 * BANDS * ROWS
     blocks = groups.groupBy("component").agg(F.ceil(F.sum(size) / block_bytes).cast("int").alias("blocks"), F.count("*").alias("n")).where("n > 1")
     placed = groups.join(blocks, "component").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
-    placed = placed.select("doc_id", "component", "block", "blocks")
-    text = docs.join(placed, "doc_id")
+    placed = saved(placed.select("doc_id", "component", "block", "blocks"), "placed")
+    text = maybe_among(docs, placed).where("_maybe").join(placed, "doc_id")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
