@@ -17,15 +17,15 @@ neighbours; every string of 100 bytes holds the least of its own window, whereve
 from __future__ import annotations
 
 import struct
-import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_text, saved
+from .common import id_text, maybe_among, saved
 
 LENGTH, GRAM = 100, 32
 SIDE = LENGTH - GRAM
@@ -228,7 +228,7 @@ def _repeats_of_equal_contexts(name, context, doc, at):
 
 def _send_contexts(rows: DataFrame, bitmaps, low: int, high: int, name_buckets: int, bits: int, buckets: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        maps = bitmaps.value
+        maps, squeeze = bitmaps.value, zstandard.ZstdCompressor(level=3).compress
         held, n = [], 0
 
         def flush():
@@ -246,7 +246,7 @@ def _send_contexts(rows: DataFrame, bitmaps, low: int, high: int, name_buckets:
                 if len(i):
                     ids.append(b)
                     counts.append(len(i))
-                    blobs.append(zlib.compress(b"".join((name[i].tobytes(), context[i].tobytes(), doc[i].tobytes(), at[i].tobytes(), sides[i].tobytes())), 1))
+                    blobs.append(squeeze(b"".join((name[i].tobytes(), context[i].tobytes(), doc[i].tobytes(), at[i].tobytes(), sides[i].tobytes()))))
             k = len(ids)
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int32()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.array(counts, pa.int64()), pa.array(blobs, pa.binary())], names=["bucket", "doc_id", "span", "n", "payload"])
 
@@ -280,7 +280,7 @@ def _send_contexts(rows: DataFrame, bitmaps, low: int, high: int, name_buckets:
 def _unpacked(blobs: list[tuple[int, bytes]]):
     columns = [[] for _ in range(5)]
     for n, blob in blobs:
-        data, at = zlib.decompress(blob), 0
+        data, at = zstandard.decompress(blob), 0
         for column, (_, kind) in zip(columns, _FIELDS):
             column.append(np.frombuffer(data, kind, n, at))
             at += n * np.dtype(kind).itemsize
@@ -374,6 +374,15 @@ def removed_spans(rows: DataFrame) -> DataFrame:
     return spans.groupBy("doc_id").agg(F.collect_list("span").alias("spans"))
 
 
+def _with_spans(rows: DataFrame, spans: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """Rows with their spans as a last column, null where they have none; only texts that may have some are shuffled."""
+    spans = saved(spans.withColumnRenamed("doc_id", id_col), "spans")
+    rows = maybe_among(rows, spans, id_col)
+    none = rows.where("NOT _maybe").drop("_maybe").withColumn("spans", F.lit(None).cast("array<long>"))
+    some = rows.where("_maybe").drop("_maybe").join(spans.withColumnRenamed(id_col, "_node"), F.col(id_col) == F.col("_node"), "left").drop("_node")
+    return some.union(none)
+
+
 def cut(data: bytes, spans: list[int]) -> tuple[bytes, int]:
     """What is left of a text without its spans, and the number of maximal removed runs."""
     kept, at, runs = [], 0, 0
@@ -411,7 +420,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
                     runs.append(n)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array([a - len(b) for a, b in zip(sizes, kept)], pa.int64()), pa.array(runs, pa.int64()), pa.array(kept, pa.binary())], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept"])
 
-    return rows.join(spans, "doc_id", "left").mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
+    return _with_spans(rows, spans).mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
 
 
 def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size_col: str | None = "n_chars") -> DataFrame:
@@ -420,7 +429,7 @@ def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     A character of which only some bytes are left goes too.  Null texts stay null; emptied ones become empty.
     """
     ids = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    spans = removed_spans(ids.where("doc_id IS NOT NULL")).select(F.col("doc_id").alias("_node"), F.col("spans").alias("_spans"))
+    spans = removed_spans(ids.where("doc_id IS NOT NULL"))
     at, schema = docs.columns.index(text_col), docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -433,8 +442,8 @@ def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             columns[at] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays(columns, names=schema.names)
 
-    joined = docs.join(spans, docs[id_col].cast("long") == spans["_node"], "left").drop("_node")
-    out = joined.mapInArrow(run, schema)
+    plain = docs.select(*[F.col(c).alias(f"c{i}") for i, c in enumerate(docs.columns)], F.col(id_col).cast("long").alias("_id"))
+    out = _with_spans(plain, spans, "_id").drop("_id").mapInArrow(run, schema)
     if size_col in docs.columns:
         out = out.withColumn(size_col, F.length(text_col).cast(schema[size_col].dataType))
     return out
