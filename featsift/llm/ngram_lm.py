@@ -25,7 +25,7 @@ from .common import id_text, saved
 from .minhash_dedup import WORDS, mix, words_of
 
 #: Base of the quantisation, probes of each step and bits for each entry of the filter.
-BASE, PROBES, BITS_PER_ENTRY = 1.6, 4, 12
+BASE, PROBES, BITS_PER_ENTRY = 1.6, 3, 10
 #: Most bytes of words and filter in one broadcast.
 SEGMENT_BYTES = 320 << 20
 #: Weight of the pair estimate.
@@ -130,7 +130,7 @@ def count_ngrams(rows: DataFrame, groups: int) -> DataFrame:
                     column.append(value)
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, held in _chunks(batches, lambda d: held_out_remainder(d) != 0, 5_000_000):
+        for _, held in _chunks(batches, lambda d: held_out_remainder(d) != 0, 2_500_000):
             out = ([], [], [])
             before, h = _events(held)
             held.clear()
@@ -245,9 +245,10 @@ def score_pass(rows: DataFrame, model, total: int, distinct: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m: Model = model.value
-        for docs, held in _chunks(batches, lambda d: True, 1_000_000):
+        for docs, held in _chunks(batches, lambda d: True, 400_000):
             size = np.array([len(h) for h in held], np.int64)
             before, h = _events(held)
+            held.clear()
             doc = np.repeat(np.arange(len(docs)), size)
             mine = None
             if len(m.left) < m.groups or len(m.right) < m.groups:
