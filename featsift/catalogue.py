@@ -14,6 +14,7 @@ from .functions.criteria import Criterion, Fold, criteria
 from .operators import baselines, counts, greedy, metrics, models, relevance, sampling, sparse
 from .plans import layout
 from .plans.dataset import Dataset, SparseDataset
+from .plans.storage import saved, shared_dir
 from .sources import generator, workloads
 from .sources.tables import table
 from .sources.workloads import GATE, STAR
@@ -184,10 +185,9 @@ for _c in ("mim", "mrmr", "jmi", "cmim"):
 
 def few_tokens(spark: SparkSession, sf_dir: str, target: str = "toxic", n: int = 200) -> SparseDataset:
     """The token set with only its most relevant features as candidates."""
-    ds = workloads.token_set(spark, sf_dir, target)
+    ds = workloads.token_set(spark, sf_dir, target).materialized()
     top = relevance.relevance(ds).select("feature", F.round("rel", 12).alias("rel")).orderBy(F.desc("rel"), "feature").limit(n).select("feature")
-    top = top.persist()
-    return SparseDataset(ds.postings.join(F.broadcast(top), "feature", "left_semi"), ds.classes, ds.vocabulary.join(F.broadcast(top), "feature", "left_semi"), ds.name)
+    return ds.restricted(saved(top, "top"))
 
 
 for _c in ("mim", "mrmr", "jmi", "cmim"):
@@ -205,7 +205,7 @@ query(oracle.greedy(oracle.lines("gate"), GATE, "jmi", 5), "greedy_frame_jmi")(l
 @query(_MRMR)
 def greedy_resumed_mrmr(spark, sf_dir):
     """Three rounds that are logged, then five that continue from the log."""
-    log = f"{greedy.shared_dir(spark)}/featsift/log-{uuid.uuid4().hex}"
+    log = f"{shared_dir(spark)}/featsift/log-{uuid.uuid4().hex}"
     greedy.select(workloads.lines(spark, sf_dir), 3, "mrmr", resume=log)
     return scored(greedy.select(workloads.lines(spark, sf_dir), 5, "mrmr", resume=log))
 
@@ -811,7 +811,7 @@ def generated_rows(spark, sf_dir):
 # --- streaming ------------------------------------------------------------------------------------------------------
 def _events_dir(spark, sf_dir: str) -> str:
     """The events as a folder of files in the shared folder, which is what the file source reads."""
-    path = f"{greedy.shared_dir(spark)}/featsift/events-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/featsift/events-{uuid.uuid4().hex}"
     table(spark, sf_dir, "events").repartitionByRange(4, "ts").write.parquet(path)
     return path
 
@@ -820,7 +820,7 @@ def _run(df: DataFrame, mode: str) -> DataFrame:
     """Runs a stream over what is there into a table in memory."""
     name = f"fs_{uuid.uuid4().hex}"
     spark = df.sparkSession
-    query_ = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{greedy.shared_dir(spark)}/featsift/{name}").trigger(availableNow=True).start()
+    query_ = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/featsift/{name}").trigger(availableNow=True).start()
     query_.awaitTermination()
     return spark.table(name)
 
@@ -848,7 +848,7 @@ def stream_session_counts(spark, sf_dir):
 
 @query(oracle.relevance(oracle.events(), oracle.event_features()))
 def stream_running_ranking(spark, sf_dir):
-    base = f"{greedy.shared_dir(spark)}/featsift/running-{uuid.uuid4().hex}"
+    base = f"{shared_dir(spark)}/featsift/running-{uuid.uuid4().hex}"
     streaming.running_ranking(streaming.events(spark, _events_dir(spark, sf_dir), 1), f"{base}/cells", f"{base}/checkpoint").awaitTermination()
     name = F.element_at(F.array(*[F.lit(f) for f in workloads.EVENTS]), F.col("feature") + 1)
     return streaming.ranking(spark, f"{base}/cells").select(name.alias("name"), r6("rel").alias("rel"))

@@ -9,9 +9,7 @@ Scores are compared after rounding to 12 decimals; the lowest feature number win
 
 from __future__ import annotations
 
-import tempfile
 import time
-import uuid
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -21,9 +19,10 @@ from pyspark.sql import functions as F
 from ..functions.criteria import ArrayOps, ColumnOps, Criterion, get_criterion
 from ..plans import planner
 from ..plans.dataset import Dataset, SparseDataset
+from ..plans.layout import to_feature_blocks
+from ..plans.storage import saved
 from . import relevance as rel_ops
 from . import sparse
-from ..plans.layout import to_feature_blocks
 
 DIGITS = 12
 RESULT = "step int, feature long, name string, score double, rel double"
@@ -45,15 +44,6 @@ class Selection:
         return self.spark.createDataFrame([(s["step"], s["feature"], s["name"], s["score"], s["rel"]) for s in self.steps], RESULT)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder for tables between rounds: the session's checkpoint folder, our own only where none is named."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        base = tempfile.mkdtemp(prefix="featsift-")
-        spark.sparkContext.setCheckpointDir(base)
-    return base
-
-
 def select(
     ds: Dataset | SparseDataset,
     k: int,
@@ -75,14 +65,14 @@ def select(
     resume: a folder in which every round is logged; a second call continues after the last logged round.
     """
     crit = get_criterion(criterion, beta, gamma)
-    plan = planner.choose(ds)
+    work = ds.materialized() if cache else ds
+    plan = planner.choose(work)
     how = plan.counting if strategy == "auto" else strategy
     where = plan.state if state == "auto" else state
-    work = ds.materialized() if cache else ds
     try:
         more = {}
         if ds.sparse:
-            more["totals"] = sparse.feature_totals(work).persist()
+            more["totals"] = saved(sparse.feature_totals(work), "totals")
         elif how == "blocks":
             more["blocks"] = to_feature_blocks(work).persist()
         run = _Frame if where == "frame" else _Driver
@@ -90,8 +80,8 @@ def select(
     finally:
         if cache:
             work.release()
-        for df in more.values():
-            df.unpersist()
+        if "blocks" in more:
+            more["blocks"].unpersist()
 
 
 class _Rounds:
@@ -220,7 +210,7 @@ class _Frame(_Rounds):
         began = time.perf_counter()
         folds = self.crit.folds
         state = self.relevance().select("feature", "name", "rel", *[F.lit(f.init).alias(f"acc_{a}") for a, f in folds.items()])
-        state, chosen = self.saved(state), []
+        state, chosen = saved(state, "state"), []
         while len(chosen) < self.k:
             acc = {a: F.col(f"acc_{a}") for a in folds}
             score = F.round(self.crit.score(ColumnOps, F.col("rel"), acc, len(chosen)), DIGITS)
@@ -233,10 +223,5 @@ class _Frame(_Rounds):
             if folds and len(chosen) < self.k:
                 joined = state.join(self.pair_table(chosen[-1]), "feature", "left")
                 mi, cmi = F.coalesce("mi", F.lit(0.0)), F.coalesce("cmi", F.lit(0.0))
-                state = self.saved(joined.select("feature", "name", "rel", *[f.combine(ColumnOps, F.col(f"acc_{a}"), mi, cmi).alias(f"acc_{a}") for a, f in folds.items()]))
+                state = saved(joined.select("feature", "name", "rel", *[f.combine(ColumnOps, F.col(f"acc_{a}"), mi, cmi).alias(f"acc_{a}") for a, f in folds.items()]), "state")
         return self.out
-
-    def saved(self, df: DataFrame) -> DataFrame:
-        path = f"{shared_dir(self.spark)}/featsift/state-{uuid.uuid4().hex}"
-        df.write.parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, replace
 from functools import cached_property
 
 from pyspark import StorageLevel
@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import encode
+from .storage import saved
 
 
 @dataclass
@@ -67,7 +68,7 @@ class SparseDataset:
     classes: DataFrame
     vocabulary: DataFrame
     name: str = "sparse"
-    _held: list[DataFrame] = field(default_factory=list)
+    _stored: bool = False
 
     sparse = True
 
@@ -80,15 +81,18 @@ class SparseDataset:
         return self.vocabulary.count()
 
     def materialized(self) -> SparseDataset:
-        """Postings partitioned by feature, so that the counts per feature need no further exchange of postings."""
-        postings = self.postings.repartition("feature").persist(StorageLevel.MEMORY_AND_DISK)
-        classes = self.classes.persist(StorageLevel.MEMORY_AND_DISK)
-        vocabulary = self.vocabulary.persist(StorageLevel.MEMORY_AND_DISK)
-        return SparseDataset(postings, classes, vocabulary, self.name, [postings, classes, vocabulary])
+        """Written once, postings sorted by feature: a chosen feature's postings are then found by the files' statistics."""
+        if self._stored:
+            return self
+        return SparseDataset(saved(self.postings, "postings", by="feature"), saved(self.classes, "classes"), saved(self.vocabulary, "vocabulary"), self.name, True)
 
     def release(self) -> None:
-        for df in self._held:
-            df.unpersist()
+        """Tables in the shared folder go with it."""
+
+    def restricted(self, features: DataFrame) -> SparseDataset:
+        """Only the given features (a table of their numbers) as candidates."""
+        keep = lambda df: df.join(features.select("feature"), "feature", "left_semi")
+        return SparseDataset(keep(self.postings), self.classes, keep(self.vocabulary), self.name)
 
     def densified(self, features: list[int]) -> Dataset:
         """The given features as dense columns (tests and small vocabularies)."""

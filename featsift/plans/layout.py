@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .dataset import Dataset, SparseDataset
+from .storage import saved
 
 BLOCK_ROWS = 8192
 
@@ -68,7 +69,7 @@ def partial_histograms(blocks: DataFrame) -> DataFrame:
 
 def to_postings(rows: DataFrame, tokens: Column | str, classes: DataFrame, row_id: str = "row_id", name: str = "sparse", min_df: int = 1) -> SparseDataset:
     """Postings of the tokens of each row: features numbered in the order of their names, with the class in each posting."""
-    exploded = rows.select(row_id, F.explode(tokens).alias("name")).distinct().join(classes, row_id)
+    exploded = saved(rows.select(row_id, F.explode(tokens).alias("name")).distinct().join(classes, row_id), "tokens")
     df = exploded.groupBy("name").agg(F.count("*").alias("df")).where(F.col("df") >= min_df)
     vocabulary = df.select("name", (F.row_number().over(Window.orderBy("name")) - 1).cast("long").alias("feature"))
     postings = exploded.join(vocabulary, "name").select("feature", F.col(row_id).alias("row_id"), F.lit(1).alias("code"), "y")
