@@ -584,13 +584,13 @@ def rel_range_join(spark, sf_dir):
 
 
 @query("""WITH p AS (SELECT event_id, user_id, ts FROM events WHERE event_type = 'purchase'), c AS (SELECT user_id, ts, event_id AS c_id FROM events WHERE event_type = 'click')
-    SELECT p.event_id, (SELECT max_by(c_id, (ts, c_id)) FROM c WHERE c.user_id = p.user_id AND (c.ts < p.ts OR (c.ts = p.ts AND c_id < p.event_id))) AS last_click FROM p""")
+    SELECT p.event_id, coalesce((SELECT max_by(c_id, (ts, c_id)) FROM c WHERE c.user_id = p.user_id AND (c.ts < p.ts OR (c.ts = p.ts AND c_id < p.event_id))), -1) AS last_click FROM p""")
 def rel_asof_join(spark, sf_dir):
     """For each purchase, the user's last click before it: both kinds in one pass over each user's events in order."""
     events = _t(spark, sf_dir, "events").where(F.col("event_type").isin("purchase", "click"))
     before = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     click = F.last(F.when(F.col("event_type") == "click", F.col("event_id")), ignorenulls=True).over(before)
-    return events.withColumn("last_click", click).where("event_type = 'purchase'").select("event_id", "last_click")
+    return events.withColumn("last_click", click).where("event_type = 'purchase'").select("event_id", F.coalesce("last_click", F.lit(-1)).alias("last_click"))
 
 
 @query("SELECT count(*) AS n FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)")
@@ -652,7 +652,7 @@ def rel_rollup(spark, sf_dir):
 
 @query("SELECT l_returnflag, count(*) FILTER (l_linestatus = 'F') AS f, count(*) FILTER (l_linestatus = 'O') AS o FROM lineitem GROUP BY ALL")
 def rel_pivot(spark, sf_dir):
-    wide = _t(spark, sf_dir, "lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count("*"))
+    wide = _t(spark, sf_dir, "lineitem").groupBy("l_returnflag").pivot("l_linestatus", ["F", "O"]).agg(F.count(F.lit(1)))
     return wide.select("l_returnflag", F.col("F").alias("f"), F.col("O").alias("o"))
 
 
@@ -759,9 +759,9 @@ def scalar_string(spark, sf_dir):
     return _t(spark, sf_dir, "nation").select("n_nationkey", F.lower("n_name").alias("low"), F.length("n_name").cast("long").alias("len"), F.translate("n_name", "AE", "xy").alias("tr"), F.levenshtein("n_name", F.lit("FRANCE")).cast("long").alias("d"))
 
 
-@query("SELECT o_orderkey, year(o_orderdate) AS y, isodow(o_orderdate) - 1 AS wd, date_trunc('month', o_orderdate)::DATE AS m FROM orders")
+@query("SELECT o_orderkey, year(o_orderdate) AS y, isodow(o_orderdate) - 1 AS wd, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS m FROM orders")
 def scalar_date(spark, sf_dir):
-    return _t(spark, sf_dir, "orders").select("o_orderkey", F.year("o_orderdate").cast("long").alias("y"), F.weekday("o_orderdate").cast("long").alias("wd"), F.trunc("o_orderdate", "month").alias("m"))
+    return _t(spark, sf_dir, "orders").select("o_orderkey", F.year("o_orderdate").cast("long").alias("y"), F.weekday("o_orderdate").cast("long").alias("wd"), F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("m"))
 
 
 @query("SELECT vec_id, round(list_sum(list_transform(embedding[1:8], lambda x: x::DOUBLE * x::DOUBLE)), 6) AS s, len(list_filter(embedding, lambda x: x > 0)) AS pos FROM embeddings")
@@ -782,7 +782,7 @@ def sql_selection_by_segment(spark, sf_dir):
     """A selection for each return flag through the table function, one partition each."""
     udf.register_functions(spark)
     workloads.lines(spark, sf_dir).df.select("disc", "disc_hi", "tax", "qty_band", "ln", "rf", "y").createOrReplaceTempView("fs_gate")
-    return spark.sql("SELECT * FROM select_features(TABLE(fs_gate) PARTITION BY rf, 'y', 2, 'mrmr')")
+    return spark.sql("SELECT * FROM select_features(TABLE(fs_gate) PARTITION BY (rf), 'y', 2, 'mrmr')")
 
 
 @query()
@@ -828,16 +828,16 @@ def _run(df: DataFrame, mode: str) -> DataFrame:
 _EVENT_LONG = f"WITH {oracle.unpivoted(oracle.events().replace('AS y FROM events', 'AS y, event_type, ts FROM events').replace('dense_rank() OVER (ORDER BY event_type) - 1', '0'), oracle.event_features()).replace('SELECT rid, ', 'SELECT event_type, ts, rid, ')}"
 
 
-@query(f"{_EVENT_LONG} SELECT date_trunc('day', ts)::TIMESTAMP AS start, CAST(feature AS INT) AS feature, x, event_type, count(*) AS c FROM long GROUP BY ALL")
+@query(f"{_EVENT_LONG} SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, CAST(feature AS INT) AS feature, x, event_type, count(*) AS c FROM long GROUP BY ALL")
 def stream_window_counts(spark, sf_dir):
     stream = streaming.events(spark, _events_dir(spark, sf_dir))
-    return _run(streaming.window_counts(stream), "complete").withColumn("start", F.col("start").cast("timestamp_ntz"))
+    return _run(streaming.window_counts(stream), "complete").withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm:ss"))
 
 
-@query("SELECT s::TIMESTAMP AS start, CAST(0 AS INT) AS feature, hour(ts) AS x, event_type, count(*) AS c FROM (SELECT *, unnest([date_trunc('day', ts) + to_hours(CAST(floor(hour(ts) / 6.0) * 6 AS BIGINT)) - to_hours(6 * k) for k in range(4)]) AS s FROM events) GROUP BY ALL")
+@query("SELECT strftime(s, '%Y-%m-%d %H:%M:%S') AS start, CAST(0 AS INT) AS feature, hour(ts) AS x, event_type, count(*) AS c FROM (SELECT *, unnest([date_trunc('day', ts) + to_hours(CAST(floor(hour(ts) / 6.0) * 6 AS BIGINT)) - to_hours(6 * k) for k in range(4)]) AS s FROM events) GROUP BY ALL")
 def stream_sliding_counts(spark, sf_dir):
     stream = streaming.events(spark, _events_dir(spark, sf_dir))
-    return _run(streaming.window_counts(stream, "1 day", "6 hours").where("feature = 0"), "complete").withColumn("start", F.col("start").cast("timestamp_ntz"))
+    return _run(streaming.window_counts(stream, "1 day", "6 hours").where("feature = 0"), "complete").withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm:ss"))
 
 
 @query("SELECT count(*) AS sessions, CAST(sum(c) AS BIGINT) AS events FROM (SELECT user_id, s, count(*) AS c FROM (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events)) GROUP BY ALL)")
