@@ -98,22 +98,24 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MA
             found, groups = [], []
             for text in batch.column(0).to_pylist():
                 words = distinct_words(text)
-                found.append(sorted({known[f] for w in words for f in features_of(w) if f in known}))
+                found.append(np.array(sorted({known[f] for w in words for f in features_of(w) if f in known}), np.int32).tobytes())
                 groups.append(sorted(words & mentions))
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(found, pa.list_(pa.int32())), pa.array(groups, pa.list_(pa.string()))], names=["y", "found", "groups"])
+            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(found, pa.binary()), pa.array(groups, pa.list_(pa.string()))], names=["y", "found", "groups"])
 
-    rows = sample.select("text", "y").mapInArrow(present, "y int, found array<int>, groups array<string>").collect()
+    rows = sample.select("text", "y").mapInArrow(present, "y int, found binary, groups array<string>").collect()
     y = np.array([r["y"] for r in rows], np.float64)
     if not len(y) or y.min() == y.max():
         share = min(max(float(y.mean()), 0.01), 0.99) if len(y) else 0.5
         return ToxicityModel(float(np.log(share / (1 - share))), {})
-    column = np.concatenate([np.array(r["found"], np.int64) for r in rows])
-    row = np.repeat(np.arange(len(rows)), [len(r["found"]) for r in rows])
+    # packed integers: a few bytes for each feature of a sampled text
+    column = np.frombuffer(b"".join(r["found"] for r in rows), np.int32)
+    row = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r["found"]) // 4 for r in rows])
+    rows = [r["groups"] for r in rows]
     seen, hits = np.bincount(column, minlength=len(names)), np.bincount(column, y[row], len(names))
     lift = hits / np.maximum(seen, 1) / y.mean()
     chosen = np.flatnonzero((lift >= LEAST_LIFT) & (hits >= LEAST_TOXIC))
     chosen = chosen[np.argsort(-(hits[chosen] * np.log(lift[chosen])), kind="stable")][:MAX_FEATURES]
-    place = np.full(len(names), -1)
+    place = np.full(len(names), -1, np.int32)
     place[chosen] = np.arange(len(chosen))
     inside = place[column] >= 0
     row, column = row[inside], place[column[inside]]
@@ -122,7 +124,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MA
     signed: tuple[list, list, list] = ([], [], [])
     for i, r in enumerate(rows):
         other = identity[i % len(identity)] if identity else None
-        gone = next((g for g in r["groups"] if g != other), None)
+        gone = next((g for g in r if g != other), None)
         for word, sign in ((gone, -1.0), (other, 1.0)):
             for f in features_of(word) if word else ():
                 if f in where:
