@@ -50,7 +50,7 @@ class InfoSelector(Estimator, _SelectorParams, DefaultParamsReadable, DefaultPar
         chosen = select(ds, self.getOrDefault("k"), self.getOrDefault("criterion"), strategy=how, **weights)
         indices = [s["feature"] for s in chosen.steps]
         model = InfoSelectorModel(indices=indices, scores=[s["score"] for s in chosen.steps], featuresCol=vector, outputCol=self.getOrDefault("outputCol"))
-        return model.setParent(self)
+        return model
 
 
 class InfoSelectorModel(Model, HasFeaturesCol, HasOutputCol, DefaultParamsReadable, DefaultParamsWritable):
