@@ -21,8 +21,8 @@ from .common import id_text
 
 #: Labelled rows used for training at most, taken in the order of a hash of their ids.
 MAX_LABELLED = 20_000
-#: Features: words and stems found in so many toxic texts, with so many times the usual share of toxic texts, and at most this many.
-LEAST_TOXIC, LEAST_LIFT, MAX_FEATURES = 3, 2.5, 20_000
+#: Features: words and stems found in so many toxic texts, with so many times the usual odds of a toxic text, and at most this many.
+LEAST_TOXIC, LEAST_LIFT, MAX_FEATURES = 3, 3.0, 20_000
 L2, COUNTERFACTUAL, ROUNDS = 0.02, 1.0, 400
 
 #: Neutral names of groups in the corpus' languages (fixed values).
@@ -112,7 +112,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MA
     row = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r["found"]) // 4 for r in rows])
     rows = [r["groups"] for r in rows]
     seen, hits = np.bincount(column, minlength=len(names)), np.bincount(column, y[row], len(names))
-    lift = hits / np.maximum(seen, 1) / y.mean()
+    lift = (hits / (seen - hits + 0.5)) / (y.mean() / (1 - y.mean()))  # of the odds
     chosen = np.flatnonzero((lift >= LEAST_LIFT) & (hits >= LEAST_TOXIC))
     chosen = chosen[np.argsort(-(hits[chosen] * np.log(lift[chosen])), kind="stable")][:MAX_FEATURES]
     place = np.full(len(names), -1, np.int32)
