@@ -158,6 +158,13 @@ def cells_sparse_3d(spark, sf_dir):
     return cells.where(F.col("name").isin("idiot", "trash", "the", "of")).select("name", "x", "j", "y", "c")
 
 
+@query()
+def cells_sparse_3d_whole(spark, sf_dir):
+    """The cells of every token with one chosen token."""
+    ds = workloads.token_set(spark, sf_dir, min_df=1)
+    return relevance.named(ds, sparse.contingency(ds, _token(ds, "idiot"))).select("name", "x", "j", "y", "c")
+
+
 @query(f"""WITH {oracle.token_rows('toxic')} SELECT name FROM vocab WHERE feature NOT IN (SELECT q.feature FROM posts q WHERE q.rid IN (SELECT rid FROM posts JOIN vocab USING (feature) WHERE name = 'idiot'))""")
 def features_never_met(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
@@ -193,6 +200,10 @@ def few_tokens(spark: SparkSession, sf_dir: str, target: str = "toxic", n: int =
 for _c in ("mim", "mrmr", "jmi", "cmim"):
     query(oracle.greedy_tokens("toxic", _c, 6), f"greedy_{_c}_tokens")(lambda s, d, c=_c: scored(greedy.select(few_tokens(s, d), 6, c)))
 query(oracle.greedy_tokens("quality", "cmim", 6), "greedy_cmim_quality")(lambda s, d: scored(greedy.select(few_tokens(s, d, "quality"), 6, "cmim")))
+# the SQL above bounds the candidates; these take every token and are compared with brute force in the tests
+for _c in ("mim", "mrmr", "jmi", "cmim"):
+    query(name=f"greedy_{_c}_tokens_whole")(lambda s, d, c=_c: scored(greedy.select(workloads.token_set(s, d, min_df=1), 6, c)))
+query(name="greedy_cmim_quality_whole")(lambda s, d: scored(greedy.select(workloads.token_set(s, d, "quality", min_df=1), 6, "cmim")))
 
 _MRMR = oracle.greedy(oracle.lines("gate"), GATE, "mrmr", 5)
 for _n, _how in {"blocks": {"strategy": "blocks"}, "arrow": {"strategy": "arrow"}, "gsets": {"strategy": "gsets"}, "lazy": {"lazy": True}, "frame": {"state": "frame"}}.items():
