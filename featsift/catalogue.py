@@ -188,6 +188,9 @@ for _c in ("mim", "mifs", "jmi", "cmi", "mrmr", "cmim", "icap"):
 _E16 = [f"e{i}" for i in range(16)]
 for _c in ("mim", "mrmr", "jmi", "cmim"):
     query(oracle.greedy(oracle.embed(16), _E16, _c, 5), f"greedy_{_c}_embed")(lambda s, d, c=_c: scored(greedy.select(workloads.embed(s, d, size=16), 5, c)))
+_E64 = [f"e{i}" for i in range(64)]
+for _c in ("mim", "mrmr", "jmi", "cmim"):
+    query(oracle.greedy(oracle.embed(), _E64, _c, 5), f"greedy_{_c}_embed_whole")(lambda s, d, c=_c: scored(greedy.select(workloads.embed(s, d), 5, c)))
 
 
 def few_tokens(spark: SparkSession, sf_dir: str, target: str = "toxic", n: int = 200) -> SparseDataset:

@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 
 from featsift import catalogue
+from featsift.sources import workloads
 from featsift.sources.tables import table
 
 
@@ -76,3 +77,15 @@ def test_cells_of_every_token(spark, sf_dir, presence):
         codes, c = np.unique(np.stack([x[:, f], j, y], 1), axis=0, return_counts=True)
         want |= {(n, *map(int, v), int(k)) for v, k in zip(codes, c)}
     assert got == want
+
+
+@pytest.mark.parametrize("criterion", ["mim", "mrmr", "jmi", "cmim"])
+def test_every_position_is_a_candidate(spark, criterion):
+    sf = "/root/testdata/sf0.01"
+    rows = workloads.embed(spark, sf).df.toPandas()
+    names = [f"e{i}" for i in range(64)]
+    got = catalogue.QUERIES[f"greedy_{criterion}_embed_whole"](spark, sf).orderBy("step").collect()
+    want = brute(rows[names].to_numpy(np.int8), rows["y"].to_numpy(np.int8), 5, criterion)
+    assert [r["name"] for r in got] == [names[f] for f, _ in want]
+    assert [r["score"] for r in got] == pytest.approx([s for _, s in want], abs=2e-6)
+    assert got[0]["name"] == "e28"  # outside the first 16 positions
