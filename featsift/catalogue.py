@@ -50,6 +50,8 @@ def named_relevance(ds: Dataset | SparseDataset, strategy: str | None = None) ->
 # --- measures -------------------------------------------------------------------------------------------------------
 _BASE = oracle.lines("gate")
 _LONG = oracle.unpivoted(_BASE, GATE)
+#: Rows a token must be found in by the SQL of the queries that aren't called whole.
+SQL_MIN_DF = 5
 
 
 @query(f"WITH {_LONG}, {oracle.CELLS}, fx AS (SELECT feature, x, sum(c) AS c FROM cells GROUP BY ALL) SELECT {oracle._name('feature', GATE)} AS name, round(log2(sum(c)) - {oracle.g('c')} / sum(c), 6) + 0.0 AS entropy FROM fx GROUP BY feature")
@@ -98,9 +100,12 @@ for _n, _ds, _sql in (
     ("embed", lambda s, d: workloads.embed(s, d), oracle.relevance(oracle.embed(), [f"e{i}" for i in range(64)])),
     ("embed_binary", lambda s, d: workloads.embed(s, d, binary=True), oracle.relevance(oracle.embed(binary=True), [f"e{i}" for i in range(64)])),
     ("events", lambda s, d: workloads.event_set(s, d), oracle.relevance(oracle.events(), oracle.event_features())),
-    ("tokens_toxic", lambda s, d: workloads.token_set(s, d), oracle.relevance_tokens("toxic")),
-    ("tokens_quality", lambda s, d: workloads.token_set(s, d, "quality"), oracle.relevance_tokens("quality")),
-    ("tokens_lang", lambda s, d: workloads.token_set(s, d, "lang"), oracle.relevance_tokens("lang")),
+    ("tokens_toxic", lambda s, d: workloads.token_set(s, d, min_df=SQL_MIN_DF), oracle.relevance_tokens("toxic")),
+    ("tokens_quality", lambda s, d: workloads.token_set(s, d, "quality", min_df=SQL_MIN_DF), oracle.relevance_tokens("quality")),
+    ("tokens_lang", lambda s, d: workloads.token_set(s, d, "lang", min_df=SQL_MIN_DF), oracle.relevance_tokens("lang")),
+    ("tokens_toxic_whole", lambda s, d: workloads.token_set(s, d), oracle.relevance_tokens("toxic", 1)),
+    ("tokens_quality_whole", lambda s, d: workloads.token_set(s, d, "quality"), oracle.relevance_tokens("quality", 1)),
+    ("tokens_lang_whole", lambda s, d: workloads.token_set(s, d, "lang"), oracle.relevance_tokens("lang", 1)),
     ("pages", lambda s, d: workloads.page_set(s, d), None),
     ("speakers", lambda s, d: workloads.speaker_set(s, d), None),
     ("bigrams_quality", lambda s, d: workloads.token_set(s, d, "quality", ngram=2), None),
@@ -153,7 +158,7 @@ _T3 = f"""WITH {oracle.token_rows('toxic')}, p AS (SELECT rid FROM posts JOIN vo
 
 @query(_T3)
 def cells_sparse_3d(spark, sf_dir):
-    ds = workloads.token_set(spark, sf_dir)
+    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
     cells = relevance.named(ds, sparse.contingency(ds, _token(ds, "idiot")))
     return cells.where(F.col("name").isin("idiot", "trash", "the", "of")).select("name", "x", "j", "y", "c")
 
@@ -161,18 +166,30 @@ def cells_sparse_3d(spark, sf_dir):
 @query()
 def cells_sparse_3d_whole(spark, sf_dir):
     """The cells of every token with one chosen token."""
-    ds = workloads.token_set(spark, sf_dir, min_df=1)
+    ds = workloads.token_set(spark, sf_dir)
     return relevance.named(ds, sparse.contingency(ds, _token(ds, "idiot"))).select("name", "x", "j", "y", "c")
 
 
 @query(f"""WITH {oracle.token_rows('toxic')} SELECT name FROM vocab WHERE feature NOT IN (SELECT q.feature FROM posts q WHERE q.rid IN (SELECT rid FROM posts JOIN vocab USING (feature) WHERE name = 'idiot'))""")
 def features_never_met(spark, sf_dir):
+    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
+    return sparse.never_met(ds, _token(ds, "idiot")).select("name")
+
+
+@query(f"""WITH {oracle.token_rows('toxic', 1)} SELECT name FROM vocab WHERE feature NOT IN (SELECT q.feature FROM posts q WHERE q.rid IN (SELECT rid FROM posts JOIN vocab USING (feature) WHERE name = 'idiot'))""")
+def features_never_met_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     return sparse.never_met(ds, _token(ds, "idiot")).select("name")
 
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT CAST(1 AS INT) AS j, y, count(*) AS c FROM posts JOIN vocab USING (feature) WHERE name = 'idiot' GROUP BY y")
 def frequency_map(spark, sf_dir):
+    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
+    return sparse.frequency_map(ds, _token(ds, "idiot"))
+
+
+@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT CAST(1 AS INT) AS j, y, count(*) AS c FROM posts JOIN vocab USING (feature) WHERE name = 'idiot' GROUP BY y")
+def frequency_map_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     return sparse.frequency_map(ds, _token(ds, "idiot"))
 
@@ -195,7 +212,7 @@ for _c in ("mim", "mrmr", "jmi", "cmim"):
 
 def few_tokens(spark: SparkSession, sf_dir: str, target: str = "toxic", n: int = 200) -> SparseDataset:
     """The token set with only its most relevant features as candidates."""
-    ds = workloads.token_set(spark, sf_dir, target).materialized()
+    ds = workloads.token_set(spark, sf_dir, target, min_df=SQL_MIN_DF).materialized()
     top = relevance.relevance(ds).select("feature", F.round("rel", 12).alias("rel")).orderBy(F.desc("rel"), "feature").limit(n).select("feature")
     return ds.restricted(saved(top, "top"))
 
@@ -205,8 +222,8 @@ for _c in ("mim", "mrmr", "jmi", "cmim"):
 query(oracle.greedy_tokens("quality", "cmim", 6), "greedy_cmim_quality")(lambda s, d: scored(greedy.select(few_tokens(s, d, "quality"), 6, "cmim")))
 # the SQL above bounds the candidates; these take every token and are compared with brute force in the tests
 for _c in ("mim", "mrmr", "jmi", "cmim"):
-    query(name=f"greedy_{_c}_tokens_whole")(lambda s, d, c=_c: scored(greedy.select(workloads.token_set(s, d, min_df=1), 6, c)))
-query(name="greedy_cmim_quality_whole")(lambda s, d: scored(greedy.select(workloads.token_set(s, d, "quality", min_df=1), 6, "cmim")))
+    query(name=f"greedy_{_c}_tokens_whole")(lambda s, d, c=_c: scored(greedy.select(workloads.token_set(s, d), 6, c)))
+query(name="greedy_cmim_quality_whole")(lambda s, d: scored(greedy.select(workloads.token_set(s, d, "quality"), 6, "cmim")))
 
 _MRMR = oracle.greedy(oracle.lines("gate"), GATE, "mrmr", 5)
 for _n, _how in {"blocks": {"strategy": "blocks"}, "arrow": {"strategy": "arrow"}, "gsets": {"strategy": "gsets"}, "lazy": {"lazy": True}, "frame": {"state": "frame"}}.items():
@@ -301,12 +318,25 @@ def npart_histograms(spark, sf_dir):
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT name, count(*) AS df, CAST(sum(y) AS BIGINT) AS positives FROM posts JOIN vocab USING (feature) GROUP BY name")
 def postings(spark, sf_dir):
+    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
+    return relevance.named(ds, ds.postings).groupBy("name").agg(F.count("*").alias("df"), F.sum("y").alias("positives"))
+
+
+@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT name, count(*) AS df, CAST(sum(y) AS BIGINT) AS positives FROM posts JOIN vocab USING (feature) GROUP BY name")
+def postings_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     return relevance.named(ds, ds.postings).groupBy("name").agg(F.count("*").alias("df"), F.sum("y").alias("positives"))
 
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT name, floor(rid / 100)::BIGINT AS chunk, count(*) AS entries, min(rid) AS least FROM posts JOIN vocab USING (feature) GROUP BY ALL")
 def postings_vectorized(spark, sf_dir):
+    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
+    made = relevance.named(ds, layout.vectorized(ds.postings, 100))
+    return made.select("name", "chunk", F.size("entries").cast("long").alias("entries"), F.col("entries")[0]["row_id"].alias("least"))
+
+
+@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT name, floor(rid / 100)::BIGINT AS chunk, count(*) AS entries, min(rid) AS least FROM posts JOIN vocab USING (feature) GROUP BY ALL")
+def postings_vectorized_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     made = relevance.named(ds, layout.vectorized(ds.postings, 100))
     return made.select("name", "chunk", F.size("entries").cast("long").alias("entries"), F.col("entries")[0]["row_id"].alias("least"))
@@ -349,6 +379,12 @@ def token_presence(spark, sf_dir):
     return docs.groupBy("name").agg(F.count("*").alias("df")).where("df >= 5")
 
 
+@query("SELECT name, count(*) AS df FROM (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS name FROM documents) GROUP BY name")
+def token_presence_whole(spark, sf_dir):
+    docs = table(spark, sf_dir, "documents").select(F.explode(encode.tokens(F.col("text"))).alias("name"))
+    return docs.groupBy("name").agg(F.count("*").alias("df"))
+
+
 @query("WITH w AS (SELECT item_id, regexp_extract_all(lower(text), '[a-z]+') AS w FROM benchmark) SELECT gram, count(*) AS n FROM (SELECT unnest(list_transform(range(1, greatest(len(w), 1)), lambda i: w[i] || ' ' || w[i + 1])) AS gram FROM w) GROUP BY gram")
 def ngram_counts(spark, sf_dir):
     words = F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))
@@ -398,6 +434,11 @@ def dataset_summary(spark, sf_dir):
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT (SELECT count(*) FROM classes) AS rows, (SELECT count(*) FROM vocab) AS features, (SELECT count(DISTINCT y) FROM classes) AS classes, round((SELECT max(c) FROM (SELECT count(*) AS c FROM classes GROUP BY y)) / (SELECT count(*) FROM classes), 6) AS largest_share, round((SELECT count(*) FROM posts) / ((SELECT count(*) FROM classes) * (SELECT count(*) FROM vocab)), 6) AS density")
 def sparse_summary(spark, sf_dir):
+    return _rounded(metrics.dataset_summary(workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)))
+
+
+@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT (SELECT count(*) FROM classes) AS rows, (SELECT count(*) FROM vocab) AS features, (SELECT count(DISTINCT y) FROM classes) AS classes, round((SELECT max(c) FROM (SELECT count(*) AS c FROM classes GROUP BY y)) / (SELECT count(*) FROM classes), 6) AS largest_share, round((SELECT count(*) FROM posts) / ((SELECT count(*) FROM classes) * (SELECT count(*) FROM vocab)), 6) AS density")
+def sparse_summary_whole(spark, sf_dir):
     return _rounded(metrics.dataset_summary(workloads.token_set(spark, sf_dir)))
 
 

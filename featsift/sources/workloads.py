@@ -111,7 +111,7 @@ def embed(spark: SparkSession, sf_dir: str, bins: int = 4, size: int = 64, binar
     return Dataset(rows.select("vec_id", label.cast("int").alias("y"), *[encode.equal_width(F.col(n), *bounds[n], bins).alias(n) for n in names]), names, name="embed")
 
 
-def token_set(spark: SparkSession, sf_dir: str, target: str = "toxic", min_df: int = 5, ngram: int = 1, buckets: int | None = None) -> SparseDataset:
+def token_set(spark: SparkSession, sf_dir: str, target: str = "toxic", min_df: int = 1, ngram: int = 1, buckets: int | None = None) -> SparseDataset:
     """Tokens in the documents: those with labels (toxic, quality), or all with the class lang = 'en' (lang)."""
     docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("row_id"), "text", "lang")
     if target == "lang":
@@ -127,7 +127,7 @@ def token_set(spark: SparkSession, sf_dir: str, target: str = "toxic", min_df: i
     return to_postings(rows, "tokens", classes, name=target, min_df=min_df)
 
 
-def page_set(spark: SparkSession, sf_dir: str, min_df: int = 5) -> SparseDataset:
+def page_set(spark: SparkSession, sf_dir: str, min_df: int = 1) -> SparseDataset:
     """Tokens of web pages without markup; the class is whether the page says it is English."""
     pages = table(spark, sf_dir, "pages").select(F.col("page_id").alias("row_id"), "html")
     classes = pages.select("row_id", F.when(F.regexp_extract("html", 'lang="([a-z]+)"', 1) == "en", 1).otherwise(0).alias("y"))
@@ -135,7 +135,7 @@ def page_set(spark: SparkSession, sf_dir: str, min_df: int = 5) -> SparseDataset
     return to_postings(pages.select("row_id", encode.tokens(text).alias("tokens")), "tokens", classes, name="pages", min_df=min_df)
 
 
-def speaker_set(spark: SparkSession, sf_dir: str, min_df: int = 5) -> SparseDataset:
+def speaker_set(spark: SparkSession, sf_dir: str, min_df: int = 1) -> SparseDataset:
     """Tokens of conversation turns; the class is who speaks."""
     turns = table(spark, sf_dir, "conversations").select((F.col("conv_id") * 1_000_000 + F.col("turn")).alias("row_id"), "role", "text")
     classes = turns.select("row_id", encode.rank_code(F.col("role"), ["assistant", "system", "user"]).alias("y"))

@@ -89,3 +89,16 @@ def test_every_position_is_a_candidate(spark, criterion):
     assert [r["name"] for r in got] == [names[f] for f, _ in want]
     assert [r["score"] for r in got] == pytest.approx([s for _, s in want], abs=2e-6)
     assert got[0]["name"] == "e28"  # outside the first 16 positions
+
+
+def test_rare_tokens_have_a_relevance(spark, sf_dir, presence):
+    names, x, y = presence
+    got = {r["name"]: r["rel"] for r in catalogue.QUERIES["relevance_tokens_toxic_whole"](spark, sf_dir).collect()}
+    rel = np.maximum(_bits(x) + _bits(y[:, None]) - _bits(x, y[:, None]), 0)
+    assert x.sum(0).min() == 1 and got == pytest.approx(dict(zip(names, rel)), abs=2e-6)
+
+
+def test_pages_keep_every_token(spark, sf_dir):
+    pages = table(spark, sf_dir, "pages").limit(40).collect()
+    words = set().union(*[re.findall("[a-z]+", re.sub("<[^>]*>", " ", r.html).lower()) for r in pages])
+    assert words <= {r["name"] for r in catalogue.QUERIES["relevance_pages"](spark, sf_dir).select("name").collect()}
