@@ -4,8 +4,11 @@ import re
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from featsift import catalogue
+from featsift.operators import baselines, sampling
+from featsift.plans.dataset import Dataset
 from featsift.sources import workloads
 from featsift.sources.tables import table
 
@@ -102,3 +105,12 @@ def test_pages_keep_every_token(spark, sf_dir):
     pages = table(spark, sf_dir, "pages").limit(40).collect()
     words = set().union(*[re.findall("[a-z]+", re.sub("<[^>]*>", " ", r.html).lower()) for r in pages])
     assert words <= {r["name"] for r in catalogue.QUERIES["relevance_pages"](spark, sf_dir).select("name").collect()}
+
+
+def test_rankings_are_fitted_to_the_training_rows(spark, sf_dir):
+    ds = workloads.lines(spark, sf_dir, "noisy")
+    train, _ = sampling.holdout(ds.df, F.col("l_orderkey"))
+    train = Dataset(train, ds.features)
+    fitted = catalogue.fitted_rankings(ds)
+    assert fitted == {c: [s["name"] for s in baselines.sequential(train, 5, c)] for c in ("mim", "mrmr", "cmim")}
+    assert fitted != catalogue.RANKINGS
