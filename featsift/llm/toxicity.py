@@ -1,14 +1,16 @@
 """Counterfactual-regularised toxicity classifier.
 
 A logistic model over the words and word stems of a text (each counted once).  Stems matter because insults inflect.
-Besides the likelihood, training minimises the squared change of the score when an identity term of a labelled text is
-swapped for another one, or, where a text names no group, when a neutral mention is added to it.  The names of groups
+Besides the likelihood, training minimises the mean squared change of the score when an identity term of a labelled text
+is swapped for another one, over all its terms and all replacements, or, where a text names no group, when a neutral
+mention of any is added to it.  The names of groups
 and all stems they share with other words thus lose what weight the labels alone would give them.
 """
 
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -78,6 +80,25 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, most: int, k
     return docs.join(F.broadcast(ids), "doc_id")
 
 
+def counterfactuals(mentioned: list[list[str]], terms: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """How much each swap of a term (row) for another (column), and each addition of a term, counts over all texts.
+
+    Every term of a text is swapped for every term that isn't in it, and a text without any gets every term added; the
+    counterfactuals of one text count 1 together.  A swap changes the score by the difference of the terms' weights,
+    whatever the rest of the text, so these two tables hold all of them.
+    """
+    number = {t: i for i, t in enumerate(terms)}
+    swaps, added = np.zeros((len(terms), len(terms))), np.zeros(len(terms))
+    for group, times in Counter(map(tuple, mentioned)).items():
+        here = [number[t] for t in group]
+        others = np.setdiff1d(np.arange(len(terms)), here)
+        if here and len(others):
+            swaps[np.ix_(here, others)] += times / (len(here) * len(others))
+        elif len(others):
+            added += times / len(others)
+    return swaps, added
+
+
 def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MAX_LABELLED, identity: tuple[str, ...] = IDENTITY_TERMS) -> ToxicityModel:
     """docs: doc_id, text; labels: doc_id and the label.  Held-out labels aren't read.  Without labels of both kinds every score is the share of toxic ones (0.5 with none)."""
     sample = labelled_sample(docs, labels, label, most, train_ids(F.col("doc_id")))
@@ -119,27 +140,25 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MA
     place[chosen] = np.arange(len(chosen))
     inside = place[column] >= 0
     row, column = row[inside], place[column[inside]]
-    # differences between a text and its counterfactual, as signed features
     where = {names[c]: i for i, c in enumerate(chosen)}
-    signed: tuple[list, list, list] = ([], [], [])
-    for i, r in enumerate(rows):
-        other = identity[i % len(identity)] if identity else None
-        gone = next((g for g in r if g != other), None)
-        for word, sign in ((gone, -1.0), (other, 1.0)):
-            for f in features_of(word) if word else ():
-                if f in where:
-                    for x, v in zip(signed, (i, where[f], sign)):
-                        x.append(v)
-    drow, dcolumn, dsign = np.array(signed[0], np.int64), np.array(signed[1], np.int64), np.array(signed[2])
+    swaps, added = counterfactuals(rows, terms := list(dict.fromkeys(identity)))
+    # what the weights of the features of a term add up to
+    parts = np.zeros((len(terms), len(chosen)))
+    for t, term in enumerate(terms):
+        for f in features_of(term):
+            if f in where:
+                parts[t, where[f]] += 1.0
+    used = np.flatnonzero(parts.any(0))
+    parts, both, pull = parts[:, used], swaps + swaps.T, swaps.sum(0) + swaps.sum(1) + added
     w, b, n = np.zeros(len(chosen)), float(np.log(y.mean() / (1 - y.mean()))), len(y)
     speed, bias_speed = np.zeros_like(w), 0.0
     for step in range(ROUNDS):
         p = 1 / (1 + np.exp(-(b + np.bincount(row, w[column], n))))
         error = p - y
-        change = np.bincount(drow, dsign * w[dcolumn], n) if len(drow) else np.zeros(n)
         slope = np.bincount(column, error[row], len(w)) / n + L2 * w / 100
-        if len(drow):
-            slope += COUNTERFACTUAL * np.bincount(dcolumn, dsign * change[drow], len(w)) / n
+        if len(used):
+            total = parts @ w[used]
+            slope[used] += COUNTERFACTUAL * parts.T @ (pull * total - both @ total) / n
         speed, bias_speed = 0.9 * speed - 2.0 * slope, 0.9 * bias_speed - 0.5 * error.mean()
         w, b = w + speed, b + bias_speed
     return ToxicityModel(b, {names[c]: float(v) for c, v in zip(chosen, w)})
