@@ -75,6 +75,10 @@ def exact_duplicates(docs: DataFrame, capacity: int = 1_000_000, id_col: str = "
 
 
 def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``docs`` without the rows that repeat an earlier row's text, all columns as they were."""
-    gone = exact_duplicates(docs, id_col=id_col, text_col=text_col).where(~F.col("kept") & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("_gone"))
-    return docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
+    """``docs`` without the rows that repeat an earlier row's text, all columns as they were.
+
+    Decided by row: by id and text, so that an id with several texts loses only the copies.  Rows without an id all stay.
+    """
+    gone = exact_duplicates(docs, id_col=id_col, text_col=text_col).where(~F.col("kept") & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("_gone"), F.col("text_sha256").alias("_sha"))
+    sha = F.sha2(normalised(F.coalesce(docs[text_col], F.lit(""))).cast("binary"), 256)
+    return docs.join(gone, (docs[id_col] == gone["_gone"]) & (sha == gone["_sha"]), "left_anti")
