@@ -13,9 +13,11 @@ _OWN: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only where the session names none."""
+    """The folder that driver and executors share; one of our own only in local mode, where the session names none."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir names no folder that driver and executors share")
         base = _OWN.setdefault("dir", tempfile.mkdtemp(prefix="featsift-"))
         spark.sparkContext.setCheckpointDir(base)
     return base
@@ -59,17 +61,18 @@ _WORD_BITS = 20
 
 
 def _place(id_col: str):
-    return F.pmod(F.xxhash64(id_col), F.lit(64 << _WORD_BITS))
+    return F.pmod(F.xxhash64(F.expr(id_col)), F.lit(64 << _WORD_BITS))
 
 
-def maybe_among(rows: DataFrame, ids: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """Adds _maybe: false only if a row's id isn't among ``ids``.
+def maybe_among(rows: DataFrame, ids: DataFrame, id_col: str = "doc_id", other_col: str | None = None) -> DataFrame:
+    """Adds _maybe: false only if a row's id isn't among ``ids`` (there under ``other_col``).  Both must be 64-bit integers.
 
     The bitmap that is broadcast has at most 2^20 rows of two integers; as it fills up it lets more rows through, which
     the join that follows takes out.  It spares that join the texts of most rows.
     """
-    bits = ids.select(F.shiftright(_place(id_col), 6).alias("_word"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64({id_col}), 64) as int))").alias("_bit"))
+    other, own = f"cast({other_col or id_col} as long)", f"cast({id_col} as long)"
+    bits = ids.select(F.shiftright(_place(other), 6).alias("_word"), F.expr(f"shiftleft(1L, cast(pmod(xxhash64({other}), 64) as int))").alias("_bit"))
     words = bits.groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
-    placed = rows.withColumn("_word", F.shiftright(_place(id_col), 6))
-    here = F.expr(f"coalesce(shiftrightunsigned(_bits, cast(pmod(xxhash64({id_col}), 64) as int)) & 1L, 0L) = 1L")
+    placed = rows.withColumn("_word", F.shiftright(_place(own), 6))
+    here = F.expr(f"coalesce(shiftrightunsigned(_bits, cast(pmod(xxhash64({own}), 64) as int)) & 1L, 0L) = 1L")
     return placed.join(F.broadcast(words), "_word", "left").withColumn("_maybe", here).drop("_word", "_bits")

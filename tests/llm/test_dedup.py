@@ -1,4 +1,6 @@
+import hashlib
 import random
+import re
 from fractions import Fraction
 
 import numpy as np
@@ -146,18 +148,46 @@ def test_components_of_chains_and_stars(spark):
     assert got == {i: 10 for i in range(10, 61)} | {i: 100 for i in range(100, 151)}
 
 
-def test_exact_duplicates(spark):
-    texts = ["a  b", "a b", "a\t\n b", "A b", None, "", " ", "é", "a b"]
-    got = {r.doc_id: (r.keep_id, r.group_size, r.kept) for r in exact_dedup.exact_duplicates(frame(spark, texts), capacity=1).collect()}
-    assert got == {0: (0, 3, True), 1: (0, 3, False), 2: (0, 3, False), 3: (3, 1, True), 4: (4, 2, True), 5: (4, 2, False), 6: (6, 1, True), 7: (7, 1, True), 8: (8, 1, True)}
+def brute_exact(texts, ids):
+    groups = {}
+    for i, t in zip(ids, texts):
+        groups.setdefault(re.sub(r"[\x20\x09-\x0D]+", " ", t or ""), []).append(i)
+    least = {t: min((i for i in g if i is not None), default=None) for t, g in groups.items()}
+    out = []
+    for i, t in zip(ids, texts):
+        n = re.sub(r"[\x20\x09-\x0D]+", " ", t or "")
+        out.append((i, least[n], len(groups[n]), i == least[n], hashlib.sha256(n.encode()).hexdigest()))
+    return sorted(out, key=str)
+
+
+@pytest.mark.parametrize("key_bits", [64, 4, 1])
+@pytest.mark.parametrize("capacity", [1, 1000])
+def test_exact_duplicates(spark, key_bits, capacity):
+    """Fewer key bits make chains of different texts, which only their bytes tell apart."""
+    rng = random.Random(3)
+    texts = ["a  b", "a b", "a\t\n b", "A b", None, "", " ", "é", "a b", "x" * 20_000, "x" * 20_000 + "y"] + ["hot\n text"] * 40 + [f"t {rng.randrange(25)}" for _ in range(60)]
+    ids = [*range(len(texts))]
+    ids[30:33] = [None, None, 7]  # null and repeated ids
+    ids[-1] = ids[-2]
+    found = exact_dedup.exact_duplicates(frame(spark, texts, ids).repartition(3), capacity=capacity, key_bits=key_bits)
+    assert sorted((tuple(r) for r in found.select("doc_id", "keep_id", "group_size", "kept", "text_sha256").collect()), key=str) == brute_exact(texts, ids)
+
+
+def test_exact_duplicates_of_nothing(spark):
     assert exact_dedup.exact_duplicates(frame(spark, [])).count() == 0
+    assert exact_dedup.drop_exact_duplicates(frame(spark, [])).count() == 0
     kept = exact_dedup.drop_exact_duplicates(frame(spark, ["x", "x", "x"], [5, 4, None]))
     assert sorted(str(r.doc_id) for r in kept.collect()) == ["4", "None"]
 
 
-def test_directory_splits_only_overfull_buckets(spark):
-    keys = spark.range(2000).selectExpr("xxhash64(id) AS key")
-    first, buckets = exact_dedup.directory(keys, 70)
-    assert len({d for _, d, _ in buckets}) > 1
-    placed = exact_dedup.with_bucket(keys, first, buckets).groupBy("bucket").count().collect()
+@pytest.mark.parametrize("look", [16, 3])
+def test_directory_doubles_only_overfull_buckets(spark, monkeypatch, look):
+    monkeypatch.setattr(exact_dedup, "LOOK_BITS", look)
+    keys = spark.range(2000).selectExpr("CASE WHEN id < 1500 THEN xxhash64(id) ELSE shiftrightunsigned(xxhash64(id), 9) END AS key").distinct()
+    buckets = exact_dedup.directory(keys, 70)
+    assert len({d for d, _ in buckets}) > 1
+    assert sum(2.0**-d for d, _ in buckets) == 1.0  # the ranges cover all keys once
+    placed = exact_dedup.with_bucket(keys, buckets).groupBy("bucket").count().collect()
     assert sum(r["count"] for r in placed) == 2000 and max(r["count"] for r in placed) <= 70
+    assert exact_dedup.directory(keys, 5000) == [(0, 0)]
+    assert exact_dedup.directory(keys.limit(0), 1) == [(0, 0)]
