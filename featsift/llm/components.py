@@ -1,7 +1,8 @@
 """Connected components by alternating large-star and small-star rounds on an edge table.
 
-Each round is two aggregations and joins on keys; minima are taken with partial aggregation, so a node with a third
-of all edges costs no more than one row per task.  Rounds are written to the shared folder, which ends their lineage.
+Minima are taken with partial aggregation.  The edges of a node then look its minimum up: nodes with a large share of all
+edges are few and broadcast, so their edges stay where they are; the others join by key.  Rounds are written to the
+shared folder, which ends their lineage.
 """
 
 from __future__ import annotations
@@ -9,18 +10,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved
+from .common import looked_up, saved
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _large_star(edges: DataFrame, n: int) -> DataFrame:
     both = edges.union(edges.select("v", "u"))
-    least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+    least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"), F.count("*").alias("n"))
+    return looked_up(both.where("v > u"), least, ["u"], ["m"], "n", 2 * n).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
-    least = edges.groupBy("u").agg(F.min("v").alias("m"))
-    moved = edges.join(least, "u").where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+def _small_star(edges: DataFrame, n: int) -> DataFrame:
+    least = edges.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+    moved = looked_up(edges, least, ["u"], ["m"], "n", n).where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.union(least.select("u", F.col("m").alias("v"))).distinct()
 
 
@@ -36,6 +37,8 @@ def connected_components(edges: DataFrame, a: str = "u", b: str = "v") -> DataFr
         mark = work.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if mark == last or not mark[0]:
             break
-        last, work = mark, saved(_small_star(_large_star(work)), "edges")
+        last = mark
+        star = saved(_large_star(work, mark[0]), "edges")
+        work = saved(_small_star(star, mark[0]), "edges")
     roots = work.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
     return work.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots)

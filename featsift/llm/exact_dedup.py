@@ -18,14 +18,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_text, maybe_among, saved
+from .common import id_text, looked_up, maybe_among, saved
 
 #: Hash bits that one look at the keys can split by: at most 2^16 counts reach the driver at once for each overfull range.
 LOOK_BITS = 16
 #: Keys a bucket holds at least, and about how many buckets the directory has at most.
 LEAST_CAPACITY, MOST_BUCKETS = 256, 4096
-#: Chains of more than 1 / (HOT_PARTS * partitions) of all rows are broadcast: there are at most so many of them.
-HOT_PARTS = 8
 
 
 def normalised(text: Column) -> Column:
@@ -121,18 +119,13 @@ def exact_duplicates(docs: DataFrame, capacity: int | None = None, id_col: str =
     chains = saved(chains.where("texts > 1 OR group_size > 1"), "chains")
 
     # look-up: by key where it has one text, by key and bytes where it has several
-    bound = max(1, total // (HOT_PARTS * int(spark.conf.get("spark.sql.shuffle.partitions"))))
-    one = chains.where("texts = 1").select("key", "keep_id", "group_size")
-    hot, rest = one.where(F.col("group_size") > bound), one.where(F.col("group_size") <= bound)
+    by_key = chains.groupBy("key").agg(F.max("texts").alias("texts"), F.first("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size"))
     several = chains.where("texts > 1")
     alone = flagged.where("NOT _maybe").select("doc_id", F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"), "text_sha256")
-    looked = flagged.where("_maybe").drop("_maybe").join(F.broadcast(hot.withColumnsRenamed({"keep_id": "hot_id", "group_size": "hot_size"})), "key", "left")
-    at_hot = looked.where("hot_size IS NOT NULL").select("doc_id", F.col("hot_id").alias("keep_id"), F.col("hot_size").alias("group_size"), "text_sha256")
-    others = looked.where("hot_size IS NULL").select("doc_id", "key", "text_sha256").join(rest.unionByName(several.select("key").distinct().select("key", F.lit(None).cast("long").alias("keep_id"), F.lit(-1).cast("long").alias("group_size"))), "key", "left")
-    others = others.where("group_size IS NULL OR group_size > 0")
-    by_key = others.select("doc_id", F.when(F.col("group_size").isNull(), F.col("doc_id")).otherwise(F.col("keep_id")).alias("keep_id"), F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"), "text_sha256")
+    looked = looked_up(flagged.where("_maybe").drop("_maybe"), by_key, ["key"], ["texts", "keep_id", "group_size"], "group_size", total).where("texts IS NULL OR texts = 1")
+    looked = looked.select("doc_id", F.when(F.col("texts").isNull(), F.col("doc_id")).otherwise(F.col("keep_id")).alias("keep_id"), F.coalesce("group_size", F.lit(1)).cast("long").alias("group_size"), "text_sha256")
     by_bytes = compared.join(several.select("key", "norm", "keep_id", "group_size"), ["key", "norm"]).select("doc_id", "keep_id", "group_size", F.sha2(F.col("norm").cast("binary"), 256).alias("text_sha256"))
-    found = alone.unionByName(at_hot).unionByName(by_key).unionByName(by_bytes)
+    found = alone.unionByName(looked).unionByName(by_bytes)
     return found.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
 
 

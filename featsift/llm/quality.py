@@ -15,8 +15,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import id_text, saved
+from .common import looked_up, saved
 from .toxicity import labelled_sample
 
 #: Labelled rows used for training at most, and the least posterior of a document that stays.
@@ -94,15 +95,16 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", most: int =
 
 
 def evidence(rows: DataFrame, model: QualityModel) -> DataFrame:
-    """doc_id, host, path, log_odds of the document alone.  rows: doc_id, text, host, path."""
+    """``rows`` with the log odds of each document alone as a last column.  rows: a column _text, and any others."""
     shared = rows.sparkSession.sparkContext.broadcast(model)
+    at, schema = rows.columns.index("_text"), StructType([*rows.schema.fields, StructField("_log_odds", DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = np.array([shape(t.as_py()) for t in batch.column(1)]).reshape(-1, len(FEATURES))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array(shared.value.log_odds(x))], names=["doc_id", "host", "path", "log_odds"])
+            x = np.array([shape(t.as_py()) for t in batch.column(at)]).reshape(-1, len(FEATURES))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(shared.value.log_odds(x), pa.float64())], names=schema.names)
 
-    return rows.select("doc_id", "text", "host", "path").mapInArrow(run, "doc_id long, host string, path string, log_odds double")
+    return rows.mapInArrow(run, schema)
 
 
 def _strength(sites: DataFrame, rate: str, prior: str) -> float:
@@ -123,20 +125,25 @@ def logit(p: Column) -> Column:
 
 
 def posterior(scored: DataFrame, base_rate: float, keep: float = KEEP) -> DataFrame:
-    """Adds p_document, p_host, p_path, score and kept to a saved table of evidence.  Sums are grouped with partial aggregation, so a host with a third of all rows costs a row per task; host and path tables join by size."""
-    p = 1 / (1 + F.exp(-F.col("log_odds")))
-    paths = saved(scored.groupBy("host", "path").agg(F.count("*").alias("n"), F.sum(p).alias("good")), "paths")
-    overall = paths.agg(F.sum("good") / F.sum("n")).first()[0] or base_rate
-    hosts = paths.groupBy("host").agg(F.sum("n").alias("n"), F.sum("good").alias("good")).withColumn("rate", F.col("good") / F.col("n")).withColumn("prior", F.lit(float(overall)))
+    """Adds _p_document, _p_host, _p_path, _score and _kept to a saved table with _host, _path and _log_odds.
+
+    Sums are grouped with partial aggregation, so a host with a third of all rows costs a row per task.  Sites with a
+    large share of the rows are broadcast, the others join by site.
+    """
+    p = 1 / (1 + F.exp(-F.col("_log_odds")))
+    paths = saved(scored.groupBy("_host", "_path").agg(F.count("*").alias("n"), F.sum(p).alias("good")), "paths")
+    total = paths.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.sum("good").alias("good")).first()
+    overall = total["good"] / total["n"] if total["n"] else base_rate
+    hosts = paths.groupBy("_host").agg(F.sum("n").alias("n"), F.sum("good").alias("good"), F.count("*").alias("paths")).withColumn("rate", F.col("good") / F.col("n")).withColumn("prior", F.lit(float(overall)))
     k = _strength(hosts, "rate", "prior")
-    hosts = hosts.select(F.col("host").alias("h"), ((F.col("good") + k * F.col("prior")) / (F.col("n") + k)).alias("p_host"))
-    sites = paths.join(hosts, F.col("host").eqNullSafe(F.col("h"))).select("host", "path", "n", "good", "p_host", (F.col("good") / F.col("n")).alias("rate"))
+    hosts = hosts.select("_host", "paths", ((F.col("good") + k * F.col("prior")) / (F.col("n") + k)).alias("p_host"))
+    sites = looked_up(paths, hosts, ["_host"], ["p_host"], "paths", paths.count()).withColumn("rate", F.col("good") / F.col("n"))
     k = _strength(sites, "rate", "p_host")
-    sites = sites.select(F.col("host").alias("h"), F.col("path").alias("q"), "p_host", ((F.col("good") + k * F.col("p_host")) / (F.col("n") + k)).alias("p_path"))
-    both = scored.join(sites, F.col("host").eqNullSafe(F.col("h")) & F.col("path").eqNullSafe(F.col("q")))
-    odds = F.col("log_odds") - float(np.log(base_rate / (1 - base_rate))) + logit(F.col("p_path"))
-    both = both.withColumn("score", 1 / (1 + F.exp(-odds)))
-    return both.select("doc_id", "host", "path", p.alias("p_document"), "p_host", "p_path", "score", (F.col("score") >= keep).alias("kept"))
+    sites = sites.withColumn("p_path", (F.col("good") + k * F.col("p_host")) / (F.col("n") + k))
+    both = looked_up(scored, sites, ["_host", "_path"], ["p_host", "p_path"], "n", total["n"])
+    odds = F.col("_log_odds") - float(np.log(base_rate / (1 - base_rate))) + logit(F.col("p_path"))
+    both = both.withColumn("_score", 1 / (1 + F.exp(-odds)))
+    return both.withColumnsRenamed({"p_host": "_p_host", "p_path": "_p_path"}).withColumn("_p_document", p).withColumn("_kept", F.col("_score") >= keep)
 
 
 def url_levels(url: Column) -> tuple[Column, Column]:
@@ -145,15 +152,31 @@ def url_levels(url: Column) -> tuple[Column, Column]:
     return host, F.concat_ws("/", host, F.regexp_extract(url, r"^[a-z]+://[^/?#]+/([^/?#]*)", 1))
 
 
+def _levels(host: Column | None, path: Column | None) -> list[Column]:
+    host = F.col("source") if host is None else host
+    path = F.concat_ws("/", F.coalesce(F.col("source"), F.lit("?")), F.coalesce(F.col("lang"), F.lit("?"))) if path is None else path
+    return [F.coalesce("text", F.lit("")).alias("_text"), host.cast("string").alias("_host"), path.cast("string").alias("_path")]
+
+
 def quality_posteriors(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, keep: float = KEEP) -> DataFrame:
     """doc_id, host, path, p_document, p_host, p_path, score and kept, one row per row of ``docs``.
 
     Default levels: the source as host, source and language as path.  A null host or path is a site of its own.  Null
-    and empty texts have the shape of nothing and are judged by that.  Repeated rows are judged each and count each in
-    their site.  An empty table gives no rows; other columns are ignored.
+    and empty texts have the shape of nothing and are judged by that; long texts are read whole.  Repeated rows are
+    judged each and count each in their site.  An empty table gives no rows; other columns are ignored.
     """
-    host = F.col("source") if host is None else host
-    path = F.concat_ws("/", F.coalesce(F.col("source"), F.lit("?")), F.coalesce(F.col("lang"), F.lit("?"))) if path is None else path
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), host.cast("string").alias("host"), path.cast("string").alias("path"))
-    model = fit(rows.select("doc_id", "text"), labels)
-    return posterior(saved(evidence(rows, model), "evidence"), model.base_rate, keep)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *_levels(host, path))
+    model = fit(rows.select("doc_id", F.col("_text").alias("text")), labels)
+    found = posterior(saved(evidence(rows, model).drop("_text"), "evidence"), model.base_rate, keep)
+    return found.select("doc_id", *[F.col(f"_{c}").alias(c) for c in ("host", "path", "p_document", "p_host", "p_path", "score", "kept")])
+
+
+def keep_good(docs: DataFrame, labels: DataFrame, host: Column | None = None, path: Column | None = None, keep: float = KEEP) -> DataFrame:
+    """The rows of ``docs`` whose posterior quality isn't low, all columns as they were.
+
+    Decided by row, so rows without an id and rows that repeat one are judged each by their own text and site.
+    """
+    rows = docs.select("*", *_levels(host, path))
+    model = fit(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")), labels)
+    found = posterior(saved(evidence(rows, model).drop("_text"), "evidence"), model.base_rate, keep)
+    return found.where("_kept").select(*docs.columns)

@@ -1,16 +1,15 @@
 """Counterfactual-regularised toxicity classifier.
 
-A logistic model over the words and word stems of a text (each counted once).  Stems matter because insults inflect.
-Besides the likelihood, training minimises the mean squared change of the score when an identity term of a labelled text
-is swapped for another one, over all its terms and all replacements, or, where a text names no group, when a neutral
-mention of any is added to it.  The names of groups
-and all stems they share with other words thus lose what weight the labels alone would give them.
+A logistic model over the words and word stems of a text.  Stems matter because insults inflect.  Besides the
+likelihood, training minimises the mean squared change of the score when a labelled text is rewritten: each of its
+identity terms is swapped for every other one, and a text that names no group gets a neutral mention of each.  The words
+and stems of identity terms are always features, so whatever weight the labels alone would give to the names of groups,
+or to stems they share with other words, is pulled back as far as it changes scores.
 """
 
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -25,7 +24,9 @@ from .common import id_text
 MAX_LABELLED = 20_000
 #: Features: words and stems found in so many toxic texts, with so many times the usual odds of a toxic text, and at most this many.
 LEAST_TOXIC, LEAST_LIFT, MAX_FEATURES = 3, 3.0, 20_000
-L2, COUNTERFACTUAL, ROUNDS = 0.02, 1.0, 400
+L2, COUNTERFACTUAL, ROUNDS = 0.02, 10.0, 400
+#: Rewritten texts looked at in one round; of more, the rounds take turns, each with every so many replacements.
+MOST_AT_ONCE = 2_000_000
 
 #: Neutral names of groups in the corpus' languages (fixed values).
 IDENTITY_TERMS = tuple(
@@ -80,27 +81,65 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, most: int, k
     return docs.join(F.broadcast(ids), "doc_id")
 
 
-def counterfactuals(mentioned: list[list[str]], terms: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """How much each swap of a term (row) for another (column), and each addition of a term, counts over all texts.
+@dataclass
+class Counterfactuals:
+    """One row for each text and term taken out (-1: none, the text names no group); the columns are the terms put in."""
 
-    Every term of a text is swapped for every term that isn't in it, and a text without any gets every term added; the
-    counterfactuals of one text count 1 together.  A swap changes the score by the difference of the terms' weights,
-    whatever the rest of the text, so these two tables hold all of them.
-    """
-    number = {t: i for i, t in enumerate(terms)}
-    swaps, added = np.zeros((len(terms), len(terms))), np.zeros(len(terms))
-    for group, times in Counter(map(tuple, mentioned)).items():
-        here = [number[t] for t in group]
-        others = np.setdiff1d(np.arange(len(terms)), here)
-        if here and len(others):
-            swaps[np.ix_(here, others)] += times / (len(here) * len(others))
-        elif len(others):
-            added += times / len(others)
-    return swaps, added
+    text: np.ndarray
+    out: np.ndarray
+    kind: np.ndarray
+    #: How much a replacement counts, by kind of row: those of one text count 1 together, terms it has already count 0.
+    weight: np.ndarray
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MAX_LABELLED, identity: tuple[str, ...] = IDENTITY_TERMS) -> ToxicityModel:
-    """docs: doc_id, text; labels: doc_id and the label.  Held-out labels aren't read.  Without labels of both kinds every score is the share of toxic ones (0.5 with none)."""
+def counterfactuals(mentioned: list[list[str]], terms: list[str]) -> Counterfactuals:
+    """Every swap of an identity term for another one, and every addition of one to a text that names none."""
+    number = {t: i for i, t in enumerate(terms)}
+    text, out, kind, weights, kinds = [], [], [], [], {}
+    for i, group in enumerate(map(tuple, mentioned)):
+        here = [number[t] for t in group]
+        if group not in kinds:
+            free = len(terms) - len(here)
+            w = np.full(len(terms), 1 / (max(1, len(here)) * free) if free else 0.0)
+            w[here] = 0.0
+            kinds[group] = len(weights)
+            weights.append(w)
+        for t in here or [-1]:
+            text.append(i)
+            out.append(t)
+            kind.append(kinds[group])
+    return Counterfactuals(np.array(text, np.int64), np.array(out, np.int64), np.array(kind, np.int64), np.array(weights).reshape(-1, len(terms)))
+
+
+def _logistic(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -500, 500)))
+
+
+def score_changes(cf: Counterfactuals, z: np.ndarray, p: np.ndarray, total: np.ndarray, turn: int) -> tuple[np.ndarray, np.ndarray]:
+    """Slopes of the summed squared score changes: by the log odds of each text, and by the weight of each term."""
+    if not len(cf.text) or not len(total):
+        return np.zeros(len(z)), np.zeros(len(total))
+    stride = min(len(total), -(-len(cf.text) * len(total) // MOST_AT_ONCE))
+    into = np.arange(turn % stride, len(total), stride)
+    gone = cf.out >= 0
+    base = z[cf.text] - np.where(gone, total[cf.out], 0.0)
+    q = _logistic(base[:, None] + total[into][None, :])
+    pull = 2 * stride * cf.weight[cf.kind][:, into] * (q - p[cf.text][:, None])
+    moved = pull * q * (1 - q)
+    own = p[cf.text] * (1 - p[cf.text])
+    by_text = np.bincount(cf.text, moved.sum(1) - pull.sum(1) * own, len(z))
+    by_term = np.zeros(len(total))
+    by_term[into] = moved.sum(0)
+    by_term -= np.bincount(cf.out[gone], moved.sum(1)[gone], len(total))
+    return by_text, by_term
+
+
+def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MAX_LABELLED, identity: tuple[str, ...] = IDENTITY_TERMS, counterfactual: float = COUNTERFACTUAL) -> ToxicityModel:
+    """docs: doc_id, text; labels: doc_id and the label.
+
+    Held-out labels aren't read.  Of labels that repeat an id the greatest counts; rows that repeat an id are as many
+    examples.  Without labels of both kinds every score is the share of toxic ones (0.5 with none).
+    """
     sample = labelled_sample(docs, labels, label, most, train_ids(F.col("doc_id")))
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -108,8 +147,10 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MA
             for text in batch.column(0).to_pylist():
                 yield pa.RecordBatch.from_arrays([pa.array(sorted({f for w in distinct_words(text) for f in features_of(w)}), pa.string())], names=["feature"])
 
+    terms = list(dict.fromkeys(identity))
     toxic = sample.where("y = 1").select("text").mapInArrow(spread, "feature string").groupBy("feature").count().where(F.col("count") >= LEAST_TOXIC)
     names = [r["feature"] for r in toxic.orderBy(F.desc("count"), "feature").limit(10 * MAX_FEATURES).collect()]
+    names = list(dict.fromkeys([*names, *(f for t in terms for f in features_of(t))]))
     number = {f: i for i, f in enumerate(names)}
     shared = docs.sparkSession.sparkContext.broadcast(number)
 
@@ -119,46 +160,51 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", most: int = MA
             found, groups = [], []
             for text in batch.column(0).to_pylist():
                 words = distinct_words(text)
-                found.append(np.array(sorted({known[f] for w in words for f in features_of(w) if f in known}), np.int32).tobytes())
+                found.append(np.array(sorted(known[f] for w in words for f in features_of(w) if f in known), np.int32).tobytes())
                 groups.append(sorted(words & mentions))
             yield pa.RecordBatch.from_arrays([batch.column(1), pa.array(found, pa.binary()), pa.array(groups, pa.list_(pa.string()))], names=["y", "found", "groups"])
 
     rows = sample.select("text", "y").mapInArrow(present, "y int, found binary, groups array<string>").collect()
+    shared.unpersist()
     y = np.array([r["y"] for r in rows], np.float64)
     if not len(y) or y.min() == y.max():
         share = min(max(float(y.mean()), 0.01), 0.99) if len(y) else 0.5
         return ToxicityModel(float(np.log(share / (1 - share))), {})
-    # packed integers: a few bytes for each feature of a sampled text
+    # packed integers: a few bytes for each feature of a sampled text, once for each word that has it
     column = np.frombuffer(b"".join(r["found"] for r in rows), np.int32)
     row = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r["found"]) // 4 for r in rows])
-    rows = [r["groups"] for r in rows]
-    seen, hits = np.bincount(column, minlength=len(names)), np.bincount(column, y[row], len(names))
+    cf = counterfactuals([r["groups"] for r in rows], terms)
+    del rows
+    once = np.ones(len(row), bool)
+    once[1:] = (row[1:] != row[:-1]) | (column[1:] != column[:-1])
+    seen, hits = np.bincount(column[once], minlength=len(names)), np.bincount(column[once], y[row[once]], len(names))
     lift = (hits / (seen - hits + 0.5)) / (y.mean() / (1 - y.mean()))  # of the odds
     chosen = np.flatnonzero((lift >= LEAST_LIFT) & (hits >= LEAST_TOXIC))
     chosen = chosen[np.argsort(-(hits[chosen] * np.log(lift[chosen])), kind="stable")][:MAX_FEATURES]
+    chosen = np.concatenate((chosen, np.setdiff1d([number[f] for t in terms for f in features_of(t)], chosen))).astype(np.int64)
     place = np.full(len(names), -1, np.int32)
     place[chosen] = np.arange(len(chosen))
     inside = place[column] >= 0
     row, column = row[inside], place[column[inside]]
     where = {names[c]: i for i, c in enumerate(chosen)}
-    swaps, added = counterfactuals(rows, terms := list(dict.fromkeys(identity)))
     # what the weights of the features of a term add up to
     parts = np.zeros((len(terms), len(chosen)))
     for t, term in enumerate(terms):
         for f in features_of(term):
-            if f in where:
-                parts[t, where[f]] += 1.0
+            parts[t, where[f]] += 1.0
     used = np.flatnonzero(parts.any(0))
-    parts, both, pull = parts[:, used], swaps + swaps.T, swaps.sum(0) + swaps.sum(1) + added
+    parts = parts[:, used]
     w, b, n = np.zeros(len(chosen)), float(np.log(y.mean() / (1 - y.mean()))), len(y)
     speed, bias_speed = np.zeros_like(w), 0.0
-    for step in range(ROUNDS):
-        p = 1 / (1 + np.exp(-(b + np.bincount(row, w[column], n))))
-        error = p - y
+    for turn in range(ROUNDS):
+        z = b + np.bincount(row, w[column], n)
+        p = _logistic(z)
+        error, by_term = p - y, np.zeros(len(terms))
+        if counterfactual and len(terms) > 1:
+            by_text, by_term = score_changes(cf, z, p, parts @ w[used], turn)
+            error = error + counterfactual * by_text
         slope = np.bincount(column, error[row], len(w)) / n + L2 * w / 100
-        if len(used):
-            total = parts @ w[used]
-            slope[used] += COUNTERFACTUAL * parts.T @ (pull * total - both @ total) / n
+        slope[used] += counterfactual * parts.T @ by_term / n
         speed, bias_speed = 0.9 * speed - 2.0 * slope, 0.9 * bias_speed - 0.5 * error.mean()
         w, b = w + speed, b + bias_speed
     return ToxicityModel(b, {names[c]: float(v) for c, v in zip(chosen, w)})
@@ -179,7 +225,11 @@ def toxicity_scores(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id
 
 
 def classify(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> DataFrame:
-    """doc_id, held_out, score and predicted (1 if the score reaches the threshold); a null id counts as held out."""
+    """doc_id, held_out, score and predicted (1 if the score reaches the threshold), one row per row of ``docs``.
+
+    A null id counts as held out.  Rows that repeat an id are scored each.  Null and empty texts have the score of the
+    bias; long texts are read whole.  An empty table gives no rows; other columns are ignored.
+    """
     rows = id_text(docs)
     found = toxicity_scores(rows, fit(rows, labels))
     return found.select("doc_id", (~train_ids(F.col("doc_id"))).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))

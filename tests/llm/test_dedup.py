@@ -81,6 +81,45 @@ def test_repeats_names_in_several_bitmaps(spark, monkeypatch):
     assert [got[i] for i in range(len(texts))] == brute_spans(texts)
 
 
+def test_repeats_with_often_repeated_names_split(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "HOT_LEAST", 2)
+    rng = random.Random(9)
+    line = "a line of seventy bytes that stands in every text, between other words"
+    texts = [f"{rng.random()} {line[rng.randrange(3):]} {rng.choice('xyz') * rng.randrange(4)}{rng.random() if i % 5 else ' and the same words follow it here again'}" for i in range(60)]
+    texts += corpus(6, 24)
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, bytes(r.kept)) for r in suffix_dedup.remove_repeats(frame(spark, texts).repartition(3)).collect()}
+    assert [got[i] for i in range(len(texts))] == brute_spans(texts)
+
+
+def test_cover_has_a_common_distance_for_any_two_positions():
+    period, cover = suffix_dedup.PERIOD, set(suffix_dedup.COVER)
+    for a in range(period):
+        for b in range(period):
+            assert any((a + d) % period in cover and (b + d) % period in cover for d in range(period))
+    assert suffix_dedup.NAME + period - 1 == suffix_dedup.LENGTH
+
+
+def test_samples_stand_where_the_phase_says():
+    docs, texts = np.array([4, 900], np.int64), [bytes(range(32, 127)) * 3, b"xyz" * 70]
+    raw = suffix_dedup.PAD + b"".join(t + suffix_dedup.PAD for t in texts)
+    starts = np.array([104, 208 + len(texts[0])])
+    at, which, name, _ = suffix_dedup.samples(docs, starts, np.array([len(t) for t in texts]), raw)
+    for k, t in enumerate(texts):
+        want = [p for p in range(len(t) - suffix_dedup.NAME + 1) if (p + suffix_dedup.phase(docs)[k]) % suffix_dedup.PERIOD in suffix_dedup.COVER]
+        assert (at[which == k] - starts[k]).tolist() == want
+        tuples = [t[p : p + suffix_dedup.NAME] for p in want]
+        assert len(set(name[which == k].tolist())) == len(set(tuples))
+
+
+def test_bytes_decide_where_hashes_collide():
+    rows = np.frombuffer(b"abcabdabcabe", np.uint8).reshape(4, 3)
+    order, head = suffix_dedup._sorted_equal(np.zeros(4, np.uint64), rows)
+    groups = {}
+    for place, row in enumerate(order.tolist()):
+        groups.setdefault(int(order[head[place]]), set()).add(row)
+    assert groups == {0: {0, 2}, 1: {1}, 3: {3}}
+
+
 def test_repeats_of_repeated_rows_null_ids_and_empty(spark):
     t = corpus(4)[7] + "z" * 20
     rows = frame(spark, [t, t, t, None], [3, 3, None, 4])

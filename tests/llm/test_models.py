@@ -5,6 +5,7 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -150,22 +151,9 @@ def test_toxicity_on_given_labels(spark):
     assert ((held["predicted"] == 1) == (held["toxic"] == 1)).mean() > 0.9
 
 
-def test_counterfactuals_clear_neutral_mentions(spark):
-    rng = random.Random(8)
-    fill = lambda: " ".join(rng.choices(["river", "house", "green", "walk", "paper"], k=6))
-    rows, marks = [], []
-    for i in range(400):
-        bad, named = rng.random() < 0.4, rng.random() < 0.5
-        named = named if bad else rng.random() < 0.1  # labels alone would blame the group's name
-        rows.append(" ".join([fill(), "scum" if bad and rng.random() < 0.9 else "", rng.choice(["muslims", "women"]) if named else "", fill()]))
-        marks.append((i, int(bad)))
-    docs, labels = frame(spark, rows), spark.createDataFrame(marks, "doc_id long, toxic int")
-    model = toxicity.fit(docs.select("doc_id", "text"), labels)
-    free = toxicity.fit(docs.select("doc_id", "text"), labels, identity=())
-    assert model.word_weight("scum") > 1
-    assert sum(abs(model.word_weight(w)) for w in ("muslims", "women")) <= sum(abs(free.word_weight(w)) for w in ("muslims", "women"))
-    none = toxicity.classify(frame(spark, ["x", None, ""]), labels.limit(0)).collect()
-    assert [r.score for r in none] == [0.5] * 3
+def test_toxicity_without_labels(spark):
+    labels = spark.createDataFrame([], "doc_id long, toxic int")
+    assert [r.score for r in toxicity.classify(frame(spark, ["x", None, ""]), labels).collect()] == [0.5] * 3
     assert toxicity.classify(frame(spark, []), labels).count() == 0
 
 
@@ -178,15 +166,64 @@ def test_quality_on_given_labels(spark):
 
 def test_sites_shrink_towards_their_priors(spark):
     rows = [(i, "big" if i < 200 else f"small{i}", "p", 3.0 if i % 4 else -3.0) for i in range(210)]
-    found = quality.posterior(spark.createDataFrame(rows, "doc_id long, host string, path string, log_odds double"), 0.5).toPandas()
-    big, small = found[found["host"] == "big"], found[found["host"] != "big"]
-    assert big["p_host"].nunique() == 1 and small["p_host"].between(0.05, 0.95).all()
-    assert abs(small["p_host"] - big["p_host"].iloc[0]).max() < 0.45  # single documents say 0.05 or 0.95
+    found = quality.posterior(spark.createDataFrame(rows, "doc_id long, _host string, _path string, _log_odds double"), 0.5).toPandas()
+    big, small = found[found["_host"] == "big"], found[found["_host"] != "big"]
+    assert big["_p_host"].nunique() == 1 and small["_p_host"].between(0.05, 0.95).all()
+    assert abs(small["_p_host"] - big["_p_host"].iloc[0]).max() < 0.45  # single documents say 0.05 or 0.95
     empty = quality.quality_posteriors(frame(spark, [None, ""]), spark.createDataFrame([], "doc_id long, quality int"))
     assert empty.count() == 2
     assert [r[0] for r in spark.sql("SELECT 'https://A.example.com/en/825?x=1' AS u").select(*quality.url_levels(F.col("u"))).collect()] == ["a.example.com"]
 
 
+def brute_posterior(rows, base_rate):
+    """The posterior of (host, path, log odds) rows, recomputed with NumPy."""
+    df = pd.DataFrame(rows, columns=["h", "q", "o"])
+    df["p"] = 1 / (1 + np.exp(-df["o"]))
+
+    def strength(t, prior):
+        noise, n, room = (prior * (1 - prior)).sum(), t["n"].sum(), (t["n"] * prior * (1 - prior)).sum()
+        between = max(((t["n"] * (t["good"] / t["n"] - prior) ** 2).sum() - noise) / n, 1e-6)
+        return min(max(room / n / between - 1, 1.0), 1e6)
+
+    sums = {"n": ("p", "size"), "good": ("p", "sum")}
+    hosts, paths = df.groupby("h", dropna=False).agg(**sums), df.groupby(["h", "q"], dropna=False).agg(**sums)
+    prior = df["p"].mean()
+    k = strength(hosts, prior)
+    p_host = (hosts["good"] + k * prior) / (hosts["n"] + k)
+    above = pd.Series(p_host.reindex(paths.index.get_level_values(0)).to_numpy(), paths.index)
+    k = strength(paths, above)
+    p_path = (paths["good"] + k * above) / (paths["n"] + k)
+    rate = p_path.reindex(pd.MultiIndex.from_frame(df[["h", "q"]])).to_numpy()
+    return 1 / (1 + np.exp(-(df["o"] - np.log(base_rate / (1 - base_rate)) + np.log(rate / (1 - rate)))))
+
+
+def test_posteriors_against_numpy(spark):
+    rng = random.Random(12)
+    rows = [(rng.choice("aaaaabcd") + ("x" if rng.random() < 0.1 else ""), rng.choice("pqr"), rng.gauss(1, 3)) for _ in range(300)]
+    df = spark.createDataFrame([(i, *r) for i, r in enumerate(rows)], "doc_id long, _host string, _path string, _log_odds double").repartition(3)
+    got = {r.doc_id: r._score for r in quality.posterior(df, 0.7).collect()}
+    assert np.allclose([got[i] for i in range(len(rows))], brute_posterior(rows, 0.7), atol=1e-9)
+
+
+def test_quality_of_edge_rows(spark):
+    labels = spark.createDataFrame([(i, int(i % 3 > 0)) for i in range(60)], "doc_id long, quality int")
+    texts = [("good plain words of a text " * 5 if i % 3 else "!!! ### $$$ WIN 99 $$$") + str(i) for i in range(60)]
+    docs = frame(spark, [*texts, None, "", texts[0], texts[1], texts[1], "word " * 200_000], [*range(60), None, 61, 1, 1, None, 62])
+    found = quality.quality_posteriors(docs.withColumn("_note", F.lit(1)), labels)
+    assert found.count() == 66 and found.where("score IS NULL OR kept IS NULL").count() == 0
+    kept = quality.keep_good(docs, labels)
+    assert kept.columns == docs.columns
+    rows = {(r.doc_id, r.text) for r in kept.collect()}
+    assert (1, texts[1]) in rows and (1, texts[0]) not in rows and (None, texts[1]) in rows  # by row, not by id
+    assert quality.quality_posteriors(docs.limit(0), labels).count() == 0 and quality.keep_good(docs.limit(0), labels).count() == 0
+
+
+def test_chats_of_repeated_turns_and_long_conversations(spark):
+    turns = [(1, i, "user", f"t{i}") for i in range(3000)] + [(2, i, "user", f"t{i}") for i in range(2999)] + [(3, 0, "user", "t0"), (3, 0, "user", "t0"), (4, 0, "user", "t0")]
+    df = spark.createDataFrame(turns, "conv_id long, turn long, role string, text string")
+    assert {r.conv_id: r.n_turns for r in chat.format_chats(df).collect()} == {1: 3000, 3: 2}
+
+
 def test_chats_keep_maximal_conversations(spark):
     turns = [("user", "hi"), ("assistant", "hello"), ("user", "bye")]
     rows = []
