@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from featsift.llm import exact_dedup, minhash_dedup, packing, quality, suffix_dedup
 from featsift.llm.common import saved, table
@@ -11,9 +10,8 @@ from featsift.llm.queries import tokenizer_file
 
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose posterior quality is low go; rows without an id stay."""
-    judged = quality.quality_posteriors(docs, table(spark, sf_dir, "labels"))
-    return docs.join(judged.where(~F.col("kept")).select("doc_id"), "doc_id", "left_anti").select(docs.columns)
+    """Documents whose posterior quality is low go; decided by row."""
+    return quality.keep_good(docs, table(spark, sf_dir, "labels"))
 
 
 def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
