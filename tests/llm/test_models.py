@@ -181,6 +181,7 @@ def brute_posterior(rows, base_rate):
     df["p"] = 1 / (1 + np.exp(-df["o"]))
 
     def strength(t, prior):
+        prior = prior + 0 * t["n"]
         noise, n, room = (prior * (1 - prior)).sum(), t["n"].sum(), (t["n"] * prior * (1 - prior)).sum()
         between = max(((t["n"] * (t["good"] / t["n"] - prior) ** 2).sum() - noise) / n, 1e-6)
         return min(max(room / n / between - 1, 1.0), 1e6)
@@ -208,7 +209,7 @@ def test_posteriors_against_numpy(spark):
 def test_quality_of_edge_rows(spark):
     labels = spark.createDataFrame([(i, int(i % 3 > 0)) for i in range(60)], "doc_id long, quality int")
     texts = [("good plain words of a text " * 5 if i % 3 else "!!! ### $$$ WIN 99 $$$") + str(i) for i in range(60)]
-    docs = frame(spark, [*texts, None, "", texts[0], texts[1], texts[1], "word " * 200_000], [*range(60), None, 61, 1, 1, None, 62])
+    docs = frame(spark, [*texts, None, "", texts[1], texts[0], texts[1], "word " * 200_000], [*range(60), None, 61, 1, 1, None, 62])
     found = quality.quality_posteriors(docs.withColumn("_note", F.lit(1)), labels)
     assert found.count() == 66 and found.where("score IS NULL OR kept IS NULL").count() == 0
     kept = quality.keep_good(docs, labels)
