@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 import uuid
 from collections.abc import Callable
 
@@ -10,12 +11,13 @@ from pyspark.sql import functions as F
 
 from . import oracle
 from .functions import encode, info, udf
-from .functions.criteria import Criterion, Fold, criteria
+from .functions.criteria import BUILT_IN, Criterion, Fold, criteria
 from .operators import baselines, counts, greedy, metrics, models, relevance, sampling, sparse
+from .operators.packed import SparseEngine
 from .plans import layout
 from .plans.dataset import Dataset, SparseDataset
 from .plans.storage import saved, shared_dir
-from .sources import generator, workloads
+from .sources import generator, tables, workloads
 from .sources.tables import table
 from .sources.workloads import GATE, STAR
 from .streaming import events as streaming
@@ -50,8 +52,6 @@ def named_relevance(ds: Dataset | SparseDataset, strategy: str | None = None) ->
 # --- measures -------------------------------------------------------------------------------------------------------
 _BASE = oracle.lines("gate")
 _LONG = oracle.unpivoted(_BASE, GATE)
-#: Rows a token must be found in by the SQL of the queries that aren't called whole.
-SQL_MIN_DF = 5
 
 
 @query(f"WITH {_LONG}, {oracle.CELLS}, fx AS (SELECT feature, x, sum(c) AS c FROM cells GROUP BY ALL) SELECT {oracle._name('feature', GATE)} AS name, round(log2(sum(c)) - {oracle.g('c')} / sum(c), 6) + 0.0 AS entropy FROM fx GROUP BY feature")
@@ -100,15 +100,12 @@ for _n, _ds, _sql in (
     ("embed", lambda s, d: workloads.embed(s, d), oracle.relevance(oracle.embed(), [f"e{i}" for i in range(64)])),
     ("embed_binary", lambda s, d: workloads.embed(s, d, binary=True), oracle.relevance(oracle.embed(binary=True), [f"e{i}" for i in range(64)])),
     ("events", lambda s, d: workloads.event_set(s, d), oracle.relevance(oracle.events(), oracle.event_features())),
-    ("tokens_toxic", lambda s, d: workloads.token_set(s, d, min_df=SQL_MIN_DF), oracle.relevance_tokens("toxic")),
-    ("tokens_quality", lambda s, d: workloads.token_set(s, d, "quality", min_df=SQL_MIN_DF), oracle.relevance_tokens("quality")),
-    ("tokens_lang", lambda s, d: workloads.token_set(s, d, "lang", min_df=SQL_MIN_DF), oracle.relevance_tokens("lang")),
-    ("tokens_toxic_whole", lambda s, d: workloads.token_set(s, d), oracle.relevance_tokens("toxic", 1)),
-    ("tokens_quality_whole", lambda s, d: workloads.token_set(s, d, "quality"), oracle.relevance_tokens("quality", 1)),
-    ("tokens_lang_whole", lambda s, d: workloads.token_set(s, d, "lang"), oracle.relevance_tokens("lang", 1)),
-    ("pages", lambda s, d: workloads.page_set(s, d), None),
-    ("speakers", lambda s, d: workloads.speaker_set(s, d), None),
-    ("bigrams_quality", lambda s, d: workloads.token_set(s, d, "quality", ngram=2), None),
+    ("tokens_toxic", lambda s, d: workloads.token_set(s, d), oracle.relevance_sparse(oracle.token_rows("toxic"))),
+    ("tokens_quality", lambda s, d: workloads.token_set(s, d, "quality"), oracle.relevance_sparse(oracle.token_rows("quality"))),
+    ("tokens_lang", lambda s, d: workloads.token_set(s, d, "lang"), oracle.relevance_sparse(oracle.token_rows("lang"))),
+    ("pages", lambda s, d: workloads.page_set(s, d), oracle.relevance_sparse(oracle.page_rows())),
+    ("speakers", lambda s, d: workloads.speaker_set(s, d), oracle.relevance_sparse(oracle.speaker_rows())),
+    ("bigrams_quality", lambda s, d: workloads.token_set(s, d, "quality", ngram=2), oracle.relevance_sparse(oracle.token_rows("quality", 2))),
     ("hashed_quality", lambda s, d: workloads.token_set(s, d, "quality", buckets=1 << 18), None),
 ):
     query(_sql, f"relevance_{_n}")(lambda s, d, f=_ds: named_relevance(f(s, d)))
@@ -142,7 +139,7 @@ def cells_dense_2d(spark, sf_dir):
     return counts.contingency(workloads.lines(spark, sf_dir)).select("feature", "x", "y", "c")
 
 
-for _s in ("explode", "arrow", "gsets", "blocks"):
+for _s in ("explode", "arrow", "gsets", "blocks", "packed"):
     query(_C3, f"cells_{_s}")(lambda s, d, how=_s: counts.contingency(workloads.lines(s, d), "disc", how))
 
 
@@ -151,45 +148,36 @@ def _token(ds: SparseDataset, name: str) -> int:
     return found["feature"] if found else -1
 
 
-_T3 = f"""WITH {oracle.token_rows('toxic')}, p AS (SELECT rid FROM posts JOIN vocab USING (feature) WHERE name = 'idiot'), top AS (SELECT feature, name FROM vocab WHERE name IN ('idiot', 'trash', 'the', 'of')),
-    few AS (SELECT c.rid, t.name, CASE WHEN q.rid IS NULL THEN 0 ELSE 1 END AS x, CASE WHEN p.rid IS NULL THEN 0 ELSE 1 END AS j, c.y FROM classes c CROSS JOIN top t LEFT JOIN posts q ON q.rid = c.rid AND q.feature = t.feature LEFT JOIN p ON p.rid = c.rid)
-    SELECT name, x, j, y, count(*) AS c FROM few GROUP BY ALL"""
+_T3 = f"""WITH {oracle.token_rows('toxic')}, hit AS (SELECT rid FROM posts JOIN vocab USING (feature) WHERE name = 'idiot'),
+    tot AS (SELECT y, count(*) AS t, count(*) FILTER (rid IN (SELECT rid FROM hit)) AS f FROM classes GROUP BY y),
+    per AS (SELECT v.name, tot.y, t, f, coalesce(a, 0) AS a, coalesce(m, 0) AS m FROM vocab v CROSS JOIN tot
+        LEFT JOIN (SELECT feature, y, count(*) AS a, count(*) FILTER (rid IN (SELECT rid FROM hit)) AS m FROM posts GROUP BY feature, y) z ON z.feature = v.feature AND z.y = tot.y)
+    SELECT name, x, j, y, c FROM (SELECT name, y, unnest([{{'x': 1, 'j': 1, 'c': m}}, {{'x': 1, 'j': 0, 'c': a - m}}, {{'x': 0, 'j': 1, 'c': f - m}}, {{'x': 0, 'j': 0, 'c': t - a - f + m}}], recursive := true) FROM per) WHERE c > 0"""
 
 
 @query(_T3)
 def cells_sparse_3d(spark, sf_dir):
-    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
-    cells = relevance.named(ds, sparse.contingency(ds, _token(ds, "idiot")))
-    return cells.where(F.col("name").isin("idiot", "trash", "the", "of")).select("name", "x", "j", "y", "c")
+    """The cells of every token with one chosen token, counted by joining postings."""
+    ds = workloads.token_set(spark, sf_dir)
+    return relevance.named(ds, sparse.contingency(ds, _token(ds, "idiot"))).select("name", "x", "j", "y", "c")
 
 
-@query()
-def cells_sparse_3d_whole(spark, sf_dir):
-    """The cells of every token with one chosen token."""
+@query(_T3)
+def cells_sparse_packed(spark, sf_dir):
+    """The same, what meets the chosen token being counted on packed rows."""
     ds = workloads.token_set(spark, sf_dir)
-    return relevance.named(ds, sparse.contingency(ds, _token(ds, "idiot"))).select("name", "x", "j", "y", "c")
+    j = _token(ds, "idiot")
+    return relevance.named(ds, sparse.contingency(ds, j, met=saved(SparseEngine(ds).met(j), "met"))).select("name", "x", "j", "y", "c")
 
 
 @query(f"""WITH {oracle.token_rows('toxic')} SELECT name FROM vocab WHERE feature NOT IN (SELECT q.feature FROM posts q WHERE q.rid IN (SELECT rid FROM posts JOIN vocab USING (feature) WHERE name = 'idiot'))""")
 def features_never_met(spark, sf_dir):
-    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
-    return sparse.never_met(ds, _token(ds, "idiot")).select("name")
-
-
-@query(f"""WITH {oracle.token_rows('toxic', 1)} SELECT name FROM vocab WHERE feature NOT IN (SELECT q.feature FROM posts q WHERE q.rid IN (SELECT rid FROM posts JOIN vocab USING (feature) WHERE name = 'idiot'))""")
-def features_never_met_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     return sparse.never_met(ds, _token(ds, "idiot")).select("name")
 
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT CAST(1 AS INT) AS j, y, count(*) AS c FROM posts JOIN vocab USING (feature) WHERE name = 'idiot' GROUP BY y")
 def frequency_map(spark, sf_dir):
-    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
-    return sparse.frequency_map(ds, _token(ds, "idiot"))
-
-
-@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT CAST(1 AS INT) AS j, y, count(*) AS c FROM posts JOIN vocab USING (feature) WHERE name = 'idiot' GROUP BY y")
-def frequency_map_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     return sparse.frequency_map(ds, _token(ds, "idiot"))
 
@@ -202,31 +190,26 @@ for _c in ("mim", "mifs", "mifs_half", "jmi", "cmi", "mrmr", "cmim", "if", "icap
         query(oracle.greedy(oracle.lines(_t), GATE, _kind, 5, _beta, _gamma), f"greedy_{_c}_{_t}")(lambda s, d, c=_kind, b=_beta, g=_gamma, t=_t: scored(greedy.select(workloads.lines(s, d, t), 5, c, beta=b, gamma=g)))
 for _c in ("mim", "mifs", "jmi", "cmi", "mrmr", "cmim", "icap"):
     query(oracle.greedy(oracle.star(), STAR, _c, 6), f"greedy_{_c}_star")(lambda s, d, c=_c: scored(greedy.select(workloads.star(s, d), 6, c)))
-_E16 = [f"e{i}" for i in range(16)]
-for _c in ("mim", "mrmr", "jmi", "cmim"):
-    query(oracle.greedy(oracle.embed(16), _E16, _c, 5), f"greedy_{_c}_embed")(lambda s, d, c=_c: scored(greedy.select(workloads.embed(s, d, size=16), 5, c)))
 _E64 = [f"e{i}" for i in range(64)]
 for _c in ("mim", "mrmr", "jmi", "cmim"):
-    query(oracle.greedy(oracle.embed(), _E64, _c, 5), f"greedy_{_c}_embed_whole")(lambda s, d, c=_c: scored(greedy.select(workloads.embed(s, d), 5, c)))
-
-
-def few_tokens(spark: SparkSession, sf_dir: str, target: str = "toxic", n: int = 200) -> SparseDataset:
-    """The token set with only its most relevant features as candidates."""
-    ds = workloads.token_set(spark, sf_dir, target, min_df=SQL_MIN_DF).materialized()
-    top = relevance.relevance(ds).select("feature", F.round("rel", 12).alias("rel")).orderBy(F.desc("rel"), "feature").limit(n).select("feature")
-    return ds.restricted(saved(top, "top"))
-
-
-for _c in ("mim", "mrmr", "jmi", "cmim"):
-    query(oracle.greedy_tokens("toxic", _c, 6), f"greedy_{_c}_tokens")(lambda s, d, c=_c: scored(greedy.select(few_tokens(s, d), 6, c)))
-query(oracle.greedy_tokens("quality", "cmim", 6), "greedy_cmim_quality")(lambda s, d: scored(greedy.select(few_tokens(s, d, "quality"), 6, "cmim")))
-# the SQL above bounds the candidates; these take every token and are compared with brute force in the tests
-for _c in ("mim", "mrmr", "jmi", "cmim"):
-    query(name=f"greedy_{_c}_tokens_whole")(lambda s, d, c=_c: scored(greedy.select(workloads.token_set(s, d), 6, c)))
-query(name="greedy_cmim_quality_whole")(lambda s, d: scored(greedy.select(workloads.token_set(s, d, "quality"), 6, "cmim")))
+    query(oracle.greedy(oracle.embed(), _E64, _c, 5), f"greedy_{_c}_embed")(lambda s, d, c=_c: scored(greedy.select(workloads.embed(s, d), 5, c)))
+query(oracle.greedy(oracle.embed(binary=True), _E64, "mrmr", 5), "greedy_mrmr_embed_binary")(lambda s, d: scored(greedy.select(workloads.embed(s, d, binary=True), 5, "mrmr")))
+for _c in ("mim", "mifs", "mrmr", "jmi", "cmi", "cmim", "icap"):
+    query(oracle.greedy_sparse(oracle.token_rows("toxic"), _c, 6), f"greedy_{_c}_tokens")(lambda s, d, c=_c: scored(greedy.select(workloads.token_set(s, d), 6, c)))
+for _n, _ds, _sql in (
+    ("cmim_quality", lambda s, d: workloads.token_set(s, d, "quality"), oracle.token_rows("quality")),
+    ("mrmr_lang", lambda s, d: workloads.token_set(s, d, "lang"), oracle.token_rows("lang")),
+    ("mrmr_bigrams", lambda s, d: workloads.token_set(s, d, "quality", ngram=2), oracle.token_rows("quality", 2)),
+    ("mrmr_pages", lambda s, d: workloads.page_set(s, d), oracle.page_rows()),
+    ("jmi_speakers", lambda s, d: workloads.speaker_set(s, d), oracle.speaker_rows()),
+):
+    query(oracle.greedy_sparse(_sql, _n.split("_")[0], 6), f"greedy_{_n}")(lambda s, d, f=_ds, c=_n.split("_")[0]: scored(greedy.select(f(s, d), 6, c)))
+for _b in (18, 20):
+    # the hash isn't SQL; tests compare the hashed set with its dense form
+    query(name=f"greedy_mrmr_hashed_{_b}")(lambda s, d, b=_b: scored(greedy.select(workloads.token_set(s, d, "quality", buckets=1 << b), 6, "mrmr")))
 
 _MRMR = oracle.greedy(oracle.lines("gate"), GATE, "mrmr", 5)
-for _n, _how in {"blocks": {"strategy": "blocks"}, "arrow": {"strategy": "arrow"}, "gsets": {"strategy": "gsets"}, "lazy": {"lazy": True}, "frame": {"state": "frame"}}.items():
+for _n, _how in {"blocks": {"strategy": "blocks"}, "packed": {"strategy": "packed"}, "explode": {"strategy": "explode"}, "arrow": {"strategy": "arrow"}, "gsets": {"strategy": "gsets"}, "lazy": {"lazy": True}, "frame": {"state": "frame"}}.items():
     query(_MRMR, f"greedy_{_n}_mrmr")(lambda s, d, how=_how: scored(greedy.select(workloads.lines(s, d), 5, "mrmr", **how)))
 for _c in ("cmim", "icap"):
     query(oracle.greedy(oracle.lines("gate"), GATE, _c, 5), f"greedy_lazy_{_c}")(lambda s, d, c=_c: scored(greedy.select(workloads.lines(s, d), 5, c, lazy=True)))
@@ -247,17 +230,8 @@ def greedy_sparsified_mrmr(spark, sf_dir):
     return scored(greedy.select(layout.sparsified(workloads.lines(spark, sf_dir))[0], 5, "mrmr"))
 
 
-@query(oracle.greedy_tokens("toxic", "mrmr", 4, 40))
-def greedy_sparse_as_dense(spark, sf_dir):
-    """The sparse data set made dense: the same ranking."""
-    ds = few_tokens(spark, sf_dir, n=40)
-    rows = ds.vocabulary.orderBy("feature").collect()
-    dense = ds.densified([r["feature"] for r in rows])
-    names = {f"f{r['feature']}": r["name"] for r in rows}
-    found = greedy.select(dense, 4, "mrmr")
-    for s in found.steps:
-        s["name"] = names[s["name"]]
-    return scored(found)
+for _n, _how in {"sparse_join": {"strategy": "sparse"}, "sparse_frame": {"state": "frame"}, "sparse_lazy": {"lazy": True}}.items():
+    query(oracle.greedy_sparse(oracle.token_rows("toxic"), "mrmr", 4), f"greedy_{_n}_mrmr")(lambda s, d, how=_how: scored(greedy.select(workloads.token_set(s, d), 4, "mrmr", **how)))
 
 
 @query(oracle.greedy(oracle.lines("gate"), GATE, "mrmr", 5))
@@ -275,7 +249,7 @@ def original_and_rewritten(spark, sf_dir):
     ds = workloads.lines(spark, sf_dir)
     rel = {r["feature"]: r["rel"] for r in relevance.relevance(ds).collect()}
     out, known = [], {}
-    for name in ("mim", "mifs", "mrmr", "jmi", "cmim", "if", "icap"):
+    for name in ("mim", "mifs", "mrmr", "jmi", "cmi", "cmim", "if", "icap"):
         steps = greedy.select(ds, 5, name).steps
         chosen = [s["feature"] for s in steps[:4]]
         rounds = {}
@@ -285,14 +259,17 @@ def original_and_rewritten(spark, sf_dir):
                 known[j] = info.mi_and_cmi(cells).join(info.pair_info(cells), "feature").collect()
             for r in known[j]:
                 rounds.setdefault(r["feature"], []).append({"mi": r["mi"], "cmi": r["cmi"], "pair": r["pair_info"], "j_rel": rel[j]})
-        best = max((f for f in rel if f not in chosen), key=lambda f: (round(original_score(name, rel[f], rounds[f]), 12), -f))
+        given = [ds.features[j] for j in chosen]
+        joint = {f: info.cond_mutual_info_set(ds.columns(), ds.features[f], "y", given).first()["cmi"] for f in rel if f not in chosen} if name == "cmi" else {}
+        best = max((f for f in rel if f not in chosen), key=lambda f: (round(original_score(name, rel[f], rounds[f], joint=joint.get(f)), 12), -f))
         out.append((name, ds.features[best], steps[4]["name"], best == steps[4]["feature"]))
     return spark.createDataFrame(out, "criterion string, original string, rewritten string, same boolean")
 
 
-@query()
+@query("SELECT unnest(['mim', 'mifs', 'jmi', 'cmi', 'mrmr', 'cmim', 'if', 'icap', 'generic']) AS criterion")
 def criteria_registered(spark, sf_dir):
-    return spark.createDataFrame([(c,) for c in criteria()], "criterion string")
+    """The criteria that come with the engine (users may register more)."""
+    return spark.createDataFrame([(c,) for c in criteria() if c in BUILT_IN], "criterion string")
 
 
 # --- layout ---------------------------------------------------------------------------------------------------------
@@ -318,25 +295,12 @@ def npart_histograms(spark, sf_dir):
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT name, count(*) AS df, CAST(sum(y) AS BIGINT) AS positives FROM posts JOIN vocab USING (feature) GROUP BY name")
 def postings(spark, sf_dir):
-    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
-    return relevance.named(ds, ds.postings).groupBy("name").agg(F.count("*").alias("df"), F.sum("y").alias("positives"))
-
-
-@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT name, count(*) AS df, CAST(sum(y) AS BIGINT) AS positives FROM posts JOIN vocab USING (feature) GROUP BY name")
-def postings_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     return relevance.named(ds, ds.postings).groupBy("name").agg(F.count("*").alias("df"), F.sum("y").alias("positives"))
 
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT name, floor(rid / 100)::BIGINT AS chunk, count(*) AS entries, min(rid) AS least FROM posts JOIN vocab USING (feature) GROUP BY ALL")
 def postings_vectorized(spark, sf_dir):
-    ds = workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)
-    made = relevance.named(ds, layout.vectorized(ds.postings, 100))
-    return made.select("name", "chunk", F.size("entries").cast("long").alias("entries"), F.col("entries")[0]["row_id"].alias("least"))
-
-
-@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT name, floor(rid / 100)::BIGINT AS chunk, count(*) AS entries, min(rid) AS least FROM posts JOIN vocab USING (feature) GROUP BY ALL")
-def postings_vectorized_whole(spark, sf_dir):
     ds = workloads.token_set(spark, sf_dir)
     made = relevance.named(ds, layout.vectorized(ds.postings, 100))
     return made.select("name", "chunk", F.size("entries").cast("long").alias("entries"), F.col("entries")[0]["row_id"].alias("least"))
@@ -373,14 +337,8 @@ def dictionary_codes(spark, sf_dir):
     return encode.dictionary(table(spark, sf_dir, "part"), "p_brand")
 
 
-@query("SELECT name, count(*) AS df FROM (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS name FROM documents) GROUP BY name HAVING count(*) >= 5")
-def token_presence(spark, sf_dir):
-    docs = table(spark, sf_dir, "documents").select(F.explode(encode.tokens(F.col("text"))).alias("name"))
-    return docs.groupBy("name").agg(F.count("*").alias("df")).where("df >= 5")
-
-
 @query("SELECT name, count(*) AS df FROM (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS name FROM documents) GROUP BY name")
-def token_presence_whole(spark, sf_dir):
+def token_presence(spark, sf_dir):
     docs = table(spark, sf_dir, "documents").select(F.explode(encode.tokens(F.col("text"))).alias("name"))
     return docs.groupBy("name").agg(F.count("*").alias("df"))
 
@@ -434,11 +392,6 @@ def dataset_summary(spark, sf_dir):
 
 @query(f"WITH {oracle.token_rows('toxic')} SELECT (SELECT count(*) FROM classes) AS rows, (SELECT count(*) FROM vocab) AS features, (SELECT count(DISTINCT y) FROM classes) AS classes, round((SELECT max(c) FROM (SELECT count(*) AS c FROM classes GROUP BY y)) / (SELECT count(*) FROM classes), 6) AS largest_share, round((SELECT count(*) FROM posts) / ((SELECT count(*) FROM classes) * (SELECT count(*) FROM vocab)), 6) AS density")
 def sparse_summary(spark, sf_dir):
-    return _rounded(metrics.dataset_summary(workloads.token_set(spark, sf_dir, min_df=SQL_MIN_DF)))
-
-
-@query(f"WITH {oracle.token_rows('toxic', 1)} SELECT (SELECT count(*) FROM classes) AS rows, (SELECT count(*) FROM vocab) AS features, (SELECT count(DISTINCT y) FROM classes) AS classes, round((SELECT max(c) FROM (SELECT count(*) AS c FROM classes GROUP BY y)) / (SELECT count(*) FROM classes), 6) AS largest_share, round((SELECT count(*) FROM posts) / ((SELECT count(*) FROM classes) * (SELECT count(*) FROM vocab)), 6) AS density")
-def sparse_summary_whole(spark, sf_dir):
     return _rounded(metrics.dataset_summary(workloads.token_set(spark, sf_dir)))
 
 
@@ -473,41 +426,26 @@ def random_features(spark, sf_dir):
 
 
 # --- evaluation -----------------------------------------------------------------------------------------------------
-#: Rankings of the clean gate target at scale 0.01: fixed values that the SQL of two queries shares, not fitted to the rows given.
-RANKINGS = {"mim": ["disc", "disc_hi", "tax", "qty", "qty_band"], "mrmr": ["disc", "tax", "qty", "ls", "rf"], "cmim": ["disc", "tax", "qty", "ship_month", "ln"]}
-
-
 def nb_auc(ds: Dataset, features: list[str]) -> DataFrame:
     train, test = sampling.holdout(ds.df, F.col("l_orderkey"))
     model = models.CategoricalNB(features).fit(train)
     return metrics.auc(model.score(test, [])).select(r6("auc").alias("auc"))
 
 
-def _sweep(spark, sf_dir, target: str) -> DataFrame:
-    out = None
-    ds = workloads.lines(spark, sf_dir, target)
-    for name, ranking in RANKINGS.items():
-        for k in (1, 2, 3, 5):
-            one = nb_auc(ds, ranking[:k]).select(F.lit(name).alias("ranking"), F.lit(k).alias("k"), "auc")
-            out = one if out is None else out.union(one)
-    return out
-
-
-def _sweep_sql(target: str) -> str:
-    one = lambda n, k: "SELECT * FROM " + oracle.auc_nb(target, RANKINGS[n][:k], f"'{n}' AS ranking, {k} AS k")
-    return " UNION ALL ".join(one(n, k) for n in RANKINGS for k in (1, 2, 3, 5))
-
-
-query(_sweep_sql("gate"), "auc_by_threshold")(lambda s, d: _sweep(s, d, "gate"))
-query(_sweep_sql("noisy"), "auc_by_threshold_noisy")(lambda s, d: _sweep(s, d, "noisy"))
 query("SELECT auc FROM " + oracle.auc_nb("gate", GATE, "'all' AS ranking"), "auc_all_features")(lambda s, d: nb_auc(workloads.lines(s, d), list(GATE)))
 query("SELECT auc FROM " + oracle.auc_nb("noisy", GATE, "'all' AS ranking"), "auc_all_features_noisy")(lambda s, d: nb_auc(workloads.lines(s, d, "noisy"), list(GATE)))
 
 
-def fitted_rankings(ds: Dataset, k: int = 5) -> dict[str, list[str]]:
+for _t in ("gate", "noisy"):
+    # the planted features and the first one alone, whatever a ranking makes of them
+    for _n, _f in {"planted": workloads.PLANTED, "best": workloads.PLANTED[:1], "twins": [*workloads.PLANTED[:1], *workloads.TWINS]}.items():
+        query("SELECT auc FROM " + oracle.auc_nb(_t, _f, f"'{_n}' AS ranking"), f"auc_{_n}_{_t}")(lambda s, d, t=_t, f=_f: nb_auc(workloads.lines(s, d, t), list(f)))
+
+
+def fitted_rankings(ds: Dataset, k: int = 5, names=("mim", "mrmr", "cmim")) -> dict[str, list[str]]:
     """The first k features by each criterion on the training rows."""
     train, _ = sampling.holdout(ds.df, F.col("l_orderkey"))
-    return {c: greedy.select(Dataset(train, ds.features), k, c).names for c in RANKINGS}
+    return {c: greedy.select(Dataset(train, ds.features), k, c).names for c in names}
 
 
 def _fitted_sweep(spark, sf_dir, target: str) -> DataFrame:
@@ -518,42 +456,58 @@ def _fitted_sweep(spark, sf_dir, target: str) -> DataFrame:
     return spark.createDataFrame(out, "ranking string, k int, features string, auc double")
 
 
-query(name="auc_by_threshold_fitted")(lambda s, d: _fitted_sweep(s, d, "gate"))
-query(name="auc_by_threshold_fitted_noisy")(lambda s, d: _fitted_sweep(s, d, "noisy"))
+query(name="auc_by_threshold")(lambda s, d: _fitted_sweep(s, d, "gate"))
+query(name="auc_by_threshold_noisy")(lambda s, d: _fitted_sweep(s, d, "noisy"))
 
+_FITS = {"nb": models.naive_bayes, "svm": models.svm, "sgd": lambda rows: models.svm(rows, impl="sgd")}
 
-def classifier_study(spark, sf_dir, target: str = "noisy", classifier: str = "nb", ks=(1, 2, 3, 5, 10)) -> DataFrame:
-    """k, auc and training seconds of a classifier on the first k features by the benchmark criterion, then on all."""
-    ds = workloads.lines(spark, sf_dir, target)
-    train, test = sampling.holdout(ds.df, F.col("l_orderkey"))
-    ranking = greedy.select(Dataset(train, ds.features), max(ks), "mrmr").names
-    out = []
+
+def classifier_study(spark, sf_dir, workload: str = "noisy", classifier: str = "nb", ks=(1, 2, 3, 5, 10)) -> DataFrame:
+    """k, auc and training seconds of a classifier on the first k features by the benchmark criterion on the training rows.
+
+    workload: a target of the line items (all ten features at most), embed (binary class) or a target of the tokens.
+    """
+    sparse_set = workload in ("toxic", "quality")
+    if sparse_set:
+        ds = workloads.token_set(spark, sf_dir, workload)
+        parts = [sampling.holdout(df, F.col("row_id")) for df in (ds.postings, ds.classes)]
+        train_set = SparseDataset(parts[0][0], parts[1][0], ds.vocabulary)
+    else:
+        ds = workloads.embed(spark, sf_dir, binary=True) if workload == "embed" else workloads.lines(spark, sf_dir, workload)
+        train, test = sampling.holdout(ds.df, F.col("vec_id" if workload == "embed" else "l_orderkey"))
+        train_set = Dataset(train, ds.features)
+    steps, out = greedy.select(train_set, max(ks), "mrmr").steps, []
+    size = ds.size if sparse_set else len(ds.features)
     for k in ks:
-        use = ranking[:k]
-        a, b = (models.one_hot(rows, use, ds.cards).persist() for rows in (train, test))
+        if sparse_set:
+            rows = models.presence_vectors(ds, [s["feature"] for s in steps[:k]])
+            a, b = (r.persist() for r in sampling.holdout(rows, F.col("row_id")))
+        else:
+            vectors = models.OneHot(train, [s["name"] for s in steps[:k]])
+            a, b = (vectors(rows).persist() for rows in (train, test))
         a.count()
-        model, seconds = metrics.timed(models.naive_bayes if classifier == "nb" else models.svm, a)
+        model, seconds = metrics.timed(_FITS[classifier], a)
         area = metrics.auc(models.scored(model, b).select("y", F.round("score", 10).alias("score"))).first()["auc"]
-        out.append((classifier, k, float(area), seconds, metrics.model_size(k, len(ds.features))))
+        out.append((workload, classifier, k, None if area is None else float(area), seconds, metrics.model_size(k, size)))
         a.unpersist(), b.unpersist()
-    return spark.createDataFrame(out, "classifier string, k int, auc double, train_seconds double, share_kept double")
-
-
-@query()
-def nb_study(spark, sf_dir):
-    return classifier_study(spark, sf_dir)
+    return spark.createDataFrame(out, "workload string, classifier string, k int, auc double, train_seconds double, share_kept double")
 
 
-@query()
-def svm_study(spark, sf_dir):
-    return classifier_study(spark, sf_dir, classifier="svm", ks=(2, 10))
+# training seconds differ from run to run: no SQL; tests hold the models against NumPy and against each other
+for _w, _ks in {"noisy": (1, 2, 3, 5, 10), "embed": (10, 25, 50, 64), "toxic": (10, 25, 50, 100), "quality": (10, 25, 50, 100)}.items():
+    for _m in ("nb", "svm", "sgd"):
+        query(name=f"{_m}_study" + ("" if _w == "noisy" else f"_{_w}"))(lambda s, d, w=_w, m=_m, ks=_ks: classifier_study(s, d, w, m, ks))
 
 
 @query()
 def selection_times(spark, sf_dir):
     """Seconds until k features are ranked, by workload and threshold."""
+    sets = {
+        "gate": (workloads.lines(spark, sf_dir), (1, 2, 5, 10)), "star": (workloads.star(spark, sf_dir), (10, 24)), "embed": (workloads.embed(spark, sf_dir), (10, 25, 50)),
+        "tokens": (workloads.token_set(spark, sf_dir), (10, 25, 50, 100)), "hashed": (workloads.token_set(spark, sf_dir, "quality", ngram=2, buckets=1 << 20), (10, 25, 50, 100)),
+    }
     out = []
-    for name, ds, ks in (("gate", workloads.lines(spark, sf_dir), (1, 2, 5, 10)), ("embed", workloads.embed(spark, sf_dir), (10,))):
+    for name, (ds, ks) in sets.items():
         found = greedy.select(ds, max(ks), "mrmr")
         out += [(name, k, float(sum(found.seconds[:k]))) for k in ks if k <= len(found.steps)]
     return spark.createDataFrame(out, "workload string, k int, seconds double")
@@ -596,7 +550,7 @@ def agreement_of_criteria(spark, sf_dir):
 def plan_costs(spark, sf_dir):
     """Exchanges, broadcasts and Python steps of a round's plan under each strategy."""
     ds = workloads.lines(spark, sf_dir)
-    rows = [(s, *metrics.plan_costs(counts.contingency(ds, "disc", s)).values()) for s in ("explode", "arrow", "gsets", "blocks")]
+    rows = [(s, *metrics.plan_costs(counts.contingency(ds, "disc", s)).values()) for s in ("explode", "arrow", "gsets", "blocks", "packed")]
     return spark.createDataFrame(rows, "strategy string, exchanges int, broadcasts int, python int")
 
 
@@ -843,33 +797,37 @@ def scalar_array(spark, sf_dir):
     return _t(spark, sf_dir, "embeddings").select("vec_id", F.round(F.aggregate(F.slice(v, 1, 8), F.lit(0.0), lambda s, x: s + x * x), 6).alias("s"), F.size(F.filter(v, lambda x: x > 0)).cast("long").alias("pos"))
 
 
-@query()
+@query("SELECT 1.0::DOUBLE AS one, 0.0::DOUBLE AS none, 1.0::DOUBLE AS given")
 def sql_information(spark, sf_dir):
     """The registered SQL functions on hand-made tables: a bit of information, none, and a bit given the third variable."""
     udf.register_functions(spark)
     return spark.sql("SELECT mi_from_counts(array(4, 0, 0, 4), 2, 2) AS one, mi_from_counts(array(2, 2, 2, 2), 2, 2) AS none, cmi_from_counts(array(2, 0, 0, 2, 0, 2, 2, 0), 2, 2, 2) AS given")
 
 
-@query()
+#: All features but the segment itself.
+_INSIDE = [f for f in GATE if f != "rf"]
+_BY_FLAG = f"SELECT rf, step, name, round(score, 6) + 0.0 AS score FROM ({oracle.greedy_by(oracle.lines('gate'), 'rf', (0, 1, 2), _INSIDE, 'mrmr', 3)})"
+
+
+@query(f"SELECT step, name, score FROM ({_BY_FLAG})")
 def sql_selection_by_segment(spark, sf_dir):
     """A selection for each return flag through the table function, one partition each."""
     udf.register_functions(spark)
-    workloads.lines(spark, sf_dir).df.select("disc", "disc_hi", "tax", "qty_band", "ln", "rf", "y").createOrReplaceTempView("fs_gate")
-    return spark.sql("SELECT * FROM select_features(TABLE(fs_gate) PARTITION BY (rf), 'y', 2, 'mrmr')")
+    workloads.lines(spark, sf_dir).df.select(*_INSIDE, "rf", "y").createOrReplaceTempView("fs_gate")
+    return spark.sql("SELECT step, name, round(score, 6) + 0.0D AS score FROM select_features(TABLE(fs_gate) PARTITION BY (rf), 'y', 3, 'mrmr')")
 
 
-@query()
+@query(_BY_FLAG)
 def selection_by_segment(spark, sf_dir):
     """The same by grouped pandas: segment, step, name, score."""
     import pandas as pd
 
-    features = ["disc", "disc_hi", "tax", "qty_band", "ln"]
-
     def run(key, pdf: pd.DataFrame) -> pd.DataFrame:
-        steps = baselines.sequential_select(pdf, features, "y", 2, "mrmr")
+        steps = baselines.sequential_select(pdf, _INSIDE, "y", 3, "mrmr")
         return pd.DataFrame([(key[0], s["step"], s["name"], s["score"]) for s in steps], columns=["rf", "step", "name", "score"])
 
-    return workloads.lines(spark, sf_dir).df.select("rf", *features, "y").groupBy("rf").applyInPandas(run, "rf int, step int, name string, score double")
+    found = workloads.lines(spark, sf_dir).df.select("rf", *_INSIDE, "y").groupBy("rf").applyInPandas(run, "rf int, step int, name string, score double")
+    return found.withColumn("score", r6("score"))
 
 
 @query()
@@ -881,6 +839,90 @@ def generated_rows(spark, sf_dir):
     return named_relevance(ds)
 
 
+# --- sources, sinks and the pipeline stage ---------------------------------------------------------------------------
+def _path(spark, name: str) -> str:
+    return f"{shared_dir(spark)}/featsift/{name}-{uuid.uuid4().hex}"
+
+
+_GATE_RELEVANCE = oracle.relevance(oracle.lines("gate"), GATE)
+
+
+@query(_GATE_RELEVANCE)
+def libsvm_relevance(spark, sf_dir):
+    """The line items written as LibSVM text, read back and counted as sparse data."""
+    path = _path(spark, "libsvm")
+    ds = workloads.lines(spark, sf_dir)
+    tables.to_vector(ds.df, GATE).select(F.col("y").cast("double").alias("label"), "features").write.format("libsvm").save(path)
+    rows = saved(tables.libsvm(spark, path, len(GATE)).withColumn("row_id", F.monotonically_increasing_id()), "rows")
+    found = relevance.relevance(layout.from_vectors(rows, "features", "label"))
+    return found.select(F.element_at(F.array(*[F.lit(f) for f in GATE]), F.col("feature").cast("int") + 1).alias("name"), r6("rel").alias("rel"))
+
+
+@query(_GATE_RELEVANCE)
+def maps_relevance(spark, sf_dir):
+    """Rows as maps from feature names to codes."""
+    ds = workloads.lines(spark, sf_dir)
+    codes = F.map_from_arrays(F.array(*[F.lit(f) for f in GATE]), F.array(*[F.col(f) for f in GATE]))
+    rows = saved(ds.df.select(codes.alias("codes"), "y").withColumn("row_id", F.monotonically_increasing_id()), "rows")
+    return named_relevance(layout.from_maps(rows, "codes", "y"))
+
+
+@query(" UNION ALL ".join(f"SELECT '{f}' AS format, n_regionkey, count(*) AS n, sum(n_nationkey)::BIGINT AS keys, min(n_name) AS first FROM nation GROUP BY ALL" for f in ("csv", "json", "orc", "parquet")))
+def read_formats(spark, sf_dir):
+    """A table written and read back in every file format, with an explicit schema where the format has none."""
+    nation, out = table(spark, sf_dir, "nation"), None
+    for fmt in ("csv", "json", "orc", "parquet"):
+        path = _path(spark, fmt)
+        nation.write.format(fmt).save(path)
+        back = tables.read(spark, fmt, path, nation.schema if fmt in ("csv", "json") else None)
+        one = back.groupBy("n_regionkey").agg(F.count("*").alias("n"), F.sum("n_nationkey").cast("long").alias("keys"), F.min("n_name").alias("first")).select(F.lit(fmt).alias("format"), "*")
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query(f"SELECT rf, count(*) AS n, CAST(sum(y) AS BIGINT) AS positives FROM ({_BASE}) GROUP BY rf")
+def write_partitioned(spark, sf_dir):
+    """The coded rows in folders by return flag, as a sink for a reduced data set."""
+    path = _path(spark, "reduced")
+    tables.write(workloads.lines(spark, sf_dir).df.select("disc", "tax", "qty", "rf", "y"), path, partition_by=["rf"])
+    return tables.read(spark, "parquet", path).groupBy("rf").agg(F.count("*").alias("n"), F.sum("y").alias("positives"))
+
+
+@query("SELECT o_orderpriority, count(*) AS n, 0 AS exchanges FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderpriority")
+def bucketed_join(spark, sf_dir):
+    """Two bucketed tables joined on their bucket column: neither side is exchanged."""
+    sides = {}
+    for name, key, more in (("lineitem", "l_orderkey", ["l_quantity"]), ("orders", "o_orderkey", ["o_orderpriority"])):
+        made = f"fs_{name}_{uuid.uuid4().hex}"
+        sides[name] = tables.write_bucketed(table(spark, sf_dir, name).select(key, *more), made, 4, [key], path=_path(spark, made))
+    joined = sides["lineitem"].hint("merge").join(sides["orders"], F.col("l_orderkey") == F.col("o_orderkey"))
+    return joined.groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.lit(metrics.plan_costs(joined)["exchanges"]).alias("exchanges"))
+
+
+@query("SELECT r_name, count(*) AS n FROM region JOIN nation ON n_regionkey = r_regionkey GROUP BY r_name")
+def registered_views(spark, sf_dir):
+    tables.register_views(spark, sf_dir, ("region", "nation"))
+    return spark.sql("SELECT r_name, count(*) AS n FROM region JOIN nation ON n_regionkey = r_regionkey GROUP BY r_name")
+
+
+@query(f"SELECT unnest([{', '.join(repr(f) for f in GATE)}]) AS name")
+def constant_dropped(spark, sf_dir):
+    """Features with more than one value, a constant column and an empty one being left out."""
+    rows = workloads.lines(spark, sf_dir).df.withColumns({"always": F.lit(3), "never": F.lit(None).cast("int")})
+    return spark.createDataFrame([(f,) for f in encode.drop_constant(rows, [*GATE, "always", "never"])], "name string")
+
+
+@query(f"SELECT step, name, score FROM ({_MRMR})")
+def estimator_selection(spark, sf_dir):
+    """Selection as a stage of an ML pipeline, on a vector column."""
+    from .operators.estimator import InfoSelector
+
+    rows = tables.to_vector(workloads.lines(spark, sf_dir).df, GATE).select("features", F.col("y").alias("label"))
+    model = InfoSelector(k=5, criterion="mrmr").fit(rows)
+    found = [(i + 1, GATE[f], s) for i, (f, s) in enumerate(zip(model.getOrDefault("indices"), model.getOrDefault("scores")))]
+    return spark.createDataFrame(found, "step int, name string, score double").select("step", "name", r6("score").alias("score"))
+
+
 # --- streaming ------------------------------------------------------------------------------------------------------
 def _events_dir(spark, sf_dir: str) -> str:
     """The events as a folder of files in the shared folder, which is what the file source reads."""
@@ -889,13 +931,25 @@ def _events_dir(spark, sf_dir: str) -> str:
     return path
 
 
+def _in_order(spark, sf_dir: str, parts: list[str]) -> str:
+    """The events as one file for each condition, in this order of arrival."""
+    path = f"{shared_dir(spark)}/featsift/events-{uuid.uuid4().hex}"
+    for k, part in enumerate(parts):
+        table(spark, sf_dir, "events").where(part).coalesce(1).write.mode("append").parquet(path)
+        if k + 1 < len(parts):
+            time.sleep(0.05)  # files are taken by their time
+    return path
+
+
 def _run(df: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream over what is there into a table in memory."""
+    """Runs a stream over what is there: appended rows go to files, other modes (small results) to a table in memory."""
     name = f"fs_{uuid.uuid4().hex}"
     spark = df.sparkSession
-    query_ = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/featsift/{name}").trigger(availableNow=True).start()
-    query_.awaitTermination()
-    return spark.table(name)
+    path = f"{shared_dir(spark)}/featsift/{name}"
+    writer = df.writeStream.outputMode(mode).option("checkpointLocation", f"{path}-checkpoint").trigger(availableNow=True)
+    writer = writer.format("parquet").option("path", path) if mode == "append" else writer.format("memory").queryName(name)
+    writer.start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(path) if mode == "append" else spark.table(name)
 
 
 _EVENT_LONG = f"WITH {oracle.unpivoted(oracle.events().replace('AS y FROM events', 'AS y, event_type, ts FROM events').replace('dense_rank() OVER (ORDER BY event_type) - 1', '0'), oracle.event_features()).replace('SELECT rid, ', 'SELECT event_type, ts, rid, ')}"
@@ -907,10 +961,10 @@ def stream_window_counts(spark, sf_dir):
     return _run(streaming.window_counts(stream), "complete").withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm:ss"))
 
 
-@query("SELECT strftime(s, '%Y-%m-%d %H:%M:%S') AS start, CAST(0 AS INT) AS feature, hour(ts) AS x, event_type, count(*) AS c FROM (SELECT *, unnest([date_trunc('day', ts) + to_hours(CAST(floor(hour(ts) / 6.0) * 6 AS BIGINT)) - to_hours(6 * k) for k in range(4)]) AS s FROM events) GROUP BY ALL")
+@query(f"{_EVENT_LONG} SELECT strftime(s, '%Y-%m-%d %H:%M:%S') AS start, CAST(feature AS INT) AS feature, x, event_type, count(*) AS c FROM (SELECT *, unnest([date_trunc('day', ts) + to_hours(CAST(floor(hour(ts) / 6.0) * 6 AS BIGINT)) - to_hours(6 * k) for k in range(4)]) AS s FROM long) GROUP BY ALL")
 def stream_sliding_counts(spark, sf_dir):
     stream = streaming.events(spark, _events_dir(spark, sf_dir))
-    return _run(streaming.window_counts(stream, "1 day", "6 hours").where("feature = 0"), "complete").withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm:ss"))
+    return _run(streaming.window_counts(stream, "1 day", "6 hours"), "complete").withColumn("start", F.date_format("start", "yyyy-MM-dd HH:mm:ss"))
 
 
 @query("SELECT count(*) AS sessions, CAST(sum(c) AS BIGINT) AS events FROM (SELECT user_id, s, count(*) AS c FROM (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events)) GROUP BY ALL)")
@@ -927,10 +981,45 @@ def stream_running_ranking(spark, sf_dir):
     return streaming.ranking(spark, f"{base}/cells").select(name.alias("name"), r6("rel").alias("rel"))
 
 
-@query("SELECT CAST(user_id % 16 AS INT) AS user_bucket, count(*) AS n, round(avg(value), 4) AS mean FROM events GROUP BY ALL")
+#: Days on which the batches of the drift queries begin.
+_CUTS = (1, 9, 17, 25, 40)
+_BATCHES = [f"day(ts) >= {a} AND day(ts) < {b}" for a, b in zip(_CUTS, _CUTS[1:])]
+_BATCH_SQL = f"CASE {' '.join(f'WHEN day(ts) < {b} THEN {k}' for k, b in enumerate(_CUTS[1:]))} END"
+
+
+@query(f"""WITH e AS (SELECT user_id % 16 AS user_bucket, {_BATCH_SQL} AS b, value FROM events), s AS (SELECT user_bucket, b, count(*) AS n, sum(value) AS t FROM e GROUP BY ALL),
+    r AS (SELECT *, sum(n) OVER w AS total_n, sum(t) OVER w AS total_t FROM s WINDOW w AS (PARTITION BY user_bucket ORDER BY b))
+    SELECT CAST(user_bucket AS INT) AS user_bucket, CAST(total_n AS BIGINT) AS n, round(total_t / total_n, 4) + 0.0 AS mean, round(CASE WHEN total_n = n THEN 0 ELSE t / n - (total_t - t) / (total_n - n) END, 4) + 0.0 AS change FROM r""")
 def stream_drift(spark, sf_dir):
-    found = _run(streaming.drift(streaming.events(spark, _events_dir(spark, sf_dir), 1)), "update")
-    return found.groupBy("user_bucket").agg(F.max("n").alias("n"), F.round(F.max_by("mean", "n"), 4).alias("mean"))
+    found = _run(streaming.drift(streaming.events(spark, _in_order(spark, sf_dir, _BATCHES), 1)), "update")
+    return found.select("user_bucket", "n", (F.round("mean", 4) + F.lit(0.0)).alias("mean"), (F.round("change", 4) + F.lit(0.0)).alias("change"))
+
+
+def _drift_sql() -> str:
+    base = oracle.events().replace("AS y FROM events", f"AS y, {_BATCH_SQL} AS b FROM events")
+    rows = " UNION ALL ".join(f"SELECT b, {i} AS f, {f} AS x, y FROM base" for i, f in enumerate(oracle.event_features()))
+    return f"""WITH base AS MATERIALIZED ({base}), long AS ({rows}), own AS (SELECT b, f, x, y, count(*) AS c FROM long GROUP BY ALL),
+        cells AS MATERIALIZED (SELECT f + 10 * b AS feature, x, y, c FROM own UNION ALL SELECT l.f + 10 * k.b + 100, x, y, CAST(sum(c) AS BIGINT) FROM own l JOIN (SELECT DISTINCT b FROM own) k ON l.b < k.b GROUP BY ALL), {oracle.relevance_of()}
+        SELECT CAST(n.feature // 10 AS INT) AS batch, {oracle._name('n.feature % 10', oracle.event_features())} AS name, round(n.rel, 6) + 0.0 AS rel, round(p.rel, 6) + 0.0 AS before, round(n.rel - p.rel, 6) + 0.0 AS change
+        FROM rel n LEFT JOIN rel p ON p.feature = n.feature + 100 WHERE n.feature < 100"""
+
+
+@query(_drift_sql())
+def stream_relevance_drift(spark, sf_dir):
+    """How relevance moves from batch to batch."""
+    base = f"{shared_dir(spark)}/featsift/drift-{uuid.uuid4().hex}"
+    streaming.relevance_drift(streaming.events(spark, _in_order(spark, sf_dir, _BATCHES), 1), base, f"{base}/checkpoint").awaitTermination()
+    name = F.element_at(F.array(*[F.lit(f) for f in workloads.EVENTS]), F.col("feature") + 1)
+    return spark.read.parquet(f"{base}/drift").select("batch", name.alias("name"), r6("rel").alias("rel"), r6("before").alias("before"), r6("change").alias("change"))
+
+
+@query("""WITH m AS (SELECT max(ts) - INTERVAL 2 HOUR AS w FROM events WHERE day(ts) >= 10)
+    SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS day, event_type, count(*) AS c FROM events, m WHERE day(ts) >= 10 AND date_trunc('day', ts) + INTERVAL 1 DAY <= w GROUP BY ALL""")
+def stream_late_data(spark, sf_dir):
+    """Days below 10 arrive after the others: the watermark has passed them, so they are left out; what it has passed is appended."""
+    stream = streaming.events(spark, _in_order(spark, sf_dir, ["day(ts) >= 10", "day(ts) < 10"]), 1)
+    counted = stream.withWatermark("ts", "2 hours").groupBy(F.window("ts", "1 day"), "event_type").agg(F.count("*").alias("c"))
+    return _run(counted.select(F.col("window.start").alias("start"), "event_type", "c"), "append").select(F.date_format("start", "yyyy-MM-dd").alias("day"), "event_type", "c")
 
 
 @query("SELECT count(*) AS n FROM events")

@@ -90,6 +90,8 @@ _REGISTERED: dict[str, Callable[[float | None, float | None], Criterion]] = {
     "generic": lambda b, c: linear("generic", 1.0 if b is None else b, 1.0 if c is None else c),
 }
 _REGISTERED["if"] = lambda b, c: Criterion("if", *(lambda x: (x.folds, x.score, x.falling))(_REGISTERED["cmim"](b, c)))
+#: Those that come with the engine.
+BUILT_IN = frozenset(_REGISTERED)
 
 
 def get_criterion(name: str | Criterion, beta: float | None = None, gamma: float | None = None) -> Criterion:

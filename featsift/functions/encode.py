@@ -5,9 +5,11 @@ from __future__ import annotations
 from collections.abc import Sequence
 
 from pyspark.ml.feature import Bucketizer
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.storage import numbered
+
 
 def with_invalid(code: Column, value: Column, cardinality: int, handle: str = "keep") -> Column:
     """Nulls as a code of their own (keep), as null for a later filter (skip), or as an error."""
@@ -45,8 +47,13 @@ def equal_frequency(df: DataFrame, columns: Sequence[str], bins: int, error: flo
 
 
 def ntile_bins(df: DataFrame, column: str, bins: int, order: Sequence[str]) -> DataFrame:
-    """Exact equal-frequency bins of a small table: adds <column>_bin.  One task sorts all rows."""
-    return df.withColumn(f"{column}_bin", F.ntile(bins).over(Window.orderBy(column, *order)) - 1)
+    """Exact equal-frequency bins: adds <column>_bin.  Rows are placed by a distributed sort; the first bins take one more row."""
+    placed = numbered(df, [column, *order], "_at")
+    n = df.count()
+    size, more = divmod(n, bins)
+    head = more * (size + 1)
+    bin_ = F.when(F.col("_at") < head, F.floor(F.col("_at") / (size + 1))).otherwise(more + F.floor((F.col("_at") - head) / max(size, 1)))
+    return placed.withColumn(f"{column}_bin", bin_.cast("int")).drop("_at")
 
 
 def bands(value: Column, splits: Sequence[float]) -> Column:
@@ -58,9 +65,9 @@ def bands(value: Column, splits: Sequence[float]) -> Column:
 
 
 def dictionary(df: DataFrame, column: str) -> DataFrame:
-    """value, code: ranks of the distinct values in order.  Only distinct values are ranked."""
+    """value, code: ranks of the distinct values in order, numbered range by range."""
     values = df.select(F.col(column).alias("value")).where("value IS NOT NULL").distinct()
-    return values.select("value", (F.dense_rank().over(Window.orderBy("value")) - 1).alias("code"))
+    return numbered(values, ["value"], "code").select("value", F.col("code").cast("int").alias("code"))
 
 
 def with_dictionary(df: DataFrame, column: str, out: str) -> DataFrame:

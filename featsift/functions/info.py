@@ -6,6 +6,7 @@ signed sum of sums of g over roll-ups of the same cells: no division before the
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -79,6 +80,22 @@ def mi_and_cmi(cells: DataFrame, by: str = "feature", base: str = "2") -> DataFr
     return r.select(by, clamp(mi).alias("mi"), clamp(cmi).alias("cmi"))
 
 
+def cube_information(cube: np.ndarray) -> tuple[float, float]:
+    """I(x; j) and I(x; j | y) in bits of a table of counts (x, j, y); zeros for an empty one."""
+
+    def s(c: np.ndarray) -> float:
+        c = c[c > 0].astype(np.float64)
+        return float((c * np.log2(c)).sum())
+
+    n = float(cube.sum())
+    if not n:
+        return 0.0, 0.0
+    xj = cube.sum(2)
+    mi = np.log2(n) + (s(xj) - s(xj.sum(1)) - s(xj.sum(0))) / n
+    cmi = (s(cube) + s(cube.sum((0, 1))) - s(cube.sum(1)) - s(cube.sum(0))) / n
+    return tuple(0.0 if -NOISE < v < 0 else float(v) for v in (mi, cmi))
+
+
 def pair_info(cells: DataFrame, by: str = "feature", base: str = "2") -> DataFrame:
     """I(x j; y), what a feature and the chosen one tell together: pair_info = I(j; y) + I(x; y | j)."""
     r = _rolled(cells, [by], {"all": [], "xjy": ["x", "j", "y"], "xj": ["x", "j"], "y": ["y"]}, "c", base)

@@ -4,11 +4,13 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.criteria import ArrayOps, Criterion, get_criterion
+from ..functions.info import cube_information
 from ..plans.dataset import Dataset
+from ..plans.storage import numbered
 from .counts import contingency
 from .relevance import named
 
@@ -16,18 +18,9 @@ from .relevance import named
 MAX_ROWS = 20_000_000
 
 
-def _g(c: np.ndarray) -> float:
-    c = c[c > 0].astype(np.float64)
-    return float((c * np.log2(c)).sum())
-
-
 def _pair(x: np.ndarray, j: np.ndarray, y: np.ndarray, sizes: tuple[int, int, int]) -> tuple[float, float]:
     cube = np.bincount((x * sizes[1] + j) * sizes[2] + y, minlength=sizes[0] * sizes[1] * sizes[2]).reshape(sizes)
-    n = len(x)
-    xj = cube.sum(2)
-    mi = np.log2(n) + (_g(xj) - _g(xj.sum(1)) - _g(xj.sum(0))) / n
-    cmi = (_g(cube) + _g(cube.sum((0, 1))) - _g(cube.sum(1)) - _g(cube.sum(0))) / n
-    return max(mi, 0.0), max(cmi, 0.0)
+    return cube_information(cube)
 
 
 def sequential_select(pdf: pd.DataFrame, features: list[str], label: str, k: int, criterion: str | Criterion = "mrmr", **weights) -> list[dict]:
@@ -74,8 +67,8 @@ def chi_square(ds: Dataset, k: int) -> DataFrame:
     joined = cells.join(fx, ["feature", "x"]).join(fy, ["feature", "y"]).join(n, "feature")
     term = F.col("c").cast("double") * F.col("c") / (F.col("cx").cast("double") * F.col("cy"))
     stat = joined.groupBy("feature").agg((F.first("n") * (F.sum(term) - 1)).alias("chi2"))
-    ranked = named(ds, stat).withColumn("chi2", F.round("chi2", 6))
-    return ranked.select(F.row_number().over(Window.orderBy(F.desc("chi2"), "feature")).alias("step"), "name", "chi2").where(F.col("step") <= k)
+    best = named(ds, stat).withColumn("chi2", F.round("chi2", 6)).orderBy(F.desc("chi2"), "feature").limit(k)
+    return numbered(best, [F.desc("chi2"), F.asc("feature")], "step", 1).select("step", "name", "chi2")
 
 
 def forest_importance(ds: Dataset, k: int, trees: int = 20, depth: int = 5, seed: int = 7) -> DataFrame:

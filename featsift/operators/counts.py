@@ -1,6 +1,7 @@
 """Contingency cells of all candidates at once: (feature, x, j, y, c).
 
-Four ways that give the same cells for dense data:
+Five ways that give the same cells for dense data:
+packed   rows packed once into blocks, counted with NumPy; see there
 explode  one row becomes (feature, code) pairs that carry the chosen code and the class of the same row; the partial hash
          aggregate of each task shrinks them before the only exchange
 arrow    each task adds up dense arrays with NumPy and sends its non-empty cells once
@@ -19,6 +20,7 @@ from pyspark.sql import functions as F
 
 from ..plans.dataset import Dataset
 from ..plans.layout import column, to_feature_blocks
+from .packed import DenseEngine, column_sets
 
 CELLS = "feature int, x int, j int, y int, c long"
 
@@ -34,6 +36,8 @@ def contingency(ds: Dataset, j: str | None = None, strategy: str = "explode", bl
             return _grouping_sets(ds, j)
         case "blocks":
             return _blocks(ds, j, blocks)
+        case "packed":
+            return DenseEngine(ds).cells(ds.features.index(j) if j else None)
     raise ValueError(f"unknown strategy {strategy!r}")
 
 
@@ -50,9 +54,18 @@ def _explode(ds: Dataset, j: str | None) -> DataFrame:
 
 
 def _arrow(ds: Dataset, j: str | None) -> DataFrame:
-    features = list(ds.features)
+    """Features in sets whose arrays keep within a budget; each set reads its own columns."""
+    cards = ds.only(list(dict.fromkeys([*ds.features, *([j] if j else [])]))).cards
+    rest = ((cards[j] if j else 1) + 1) * (cards[ds.label] + 1)
+    partial = None
+    for part in column_sets([(cards[f] + 1) * rest for f in ds.features]):
+        one = _arrow_set(ds, j, [ds.features[i] for i in part], part[0], cards)
+        partial = one if partial is None else partial.union(one)
+    return partial.groupBy("feature", "x", "j", "y").agg(F.sum("c").alias("c"))
+
+
+def _arrow_set(ds: Dataset, j: str | None, features: list[str], first: int, cards: dict[str, int]) -> DataFrame:
     names = list(dict.fromkeys([*features, *([j] if j else [])]))
-    cards = ds.only(names).cards
     nj, ny = (cards[j] if j else 1) + 1, cards[ds.label] + 1
     sizes = [cards[f] + 1 for f in features]  # the last code of each stands for null
 
@@ -72,13 +85,12 @@ def _arrow(ds: Dataset, j: str | None) -> DataFrame:
         for i, t in enumerate(total):
             at = np.flatnonzero(t)
             x, p, y = at // (nj * ny), at // ny % nj, at % ny
-            columns = [pa.array(np.full(len(at), i, np.int32))]
+            columns = [pa.array(np.full(len(at), first + i, np.int32))]
             for v, null in ((x, sizes[i] - 1), (p, nj - 1), (y, ny - 1)):
                 columns.append(pa.array(v.astype(np.int32), mask=(v == null) if j or v is not p else np.ones(len(v), bool)))
             yield pa.RecordBatch.from_arrays([*columns, pa.array(t[at])], names=["feature", "x", "j", "y", "c"])
 
-    partial = ds.only(names).columns().select(*names, "y", "_w").mapInArrow(count, CELLS)
-    return partial.groupBy("feature", "x", "j", "y").agg(F.sum("c").alias("c"))
+    return ds.only(names).columns().select(*names, "y", "_w").mapInArrow(count, CELLS)
 
 
 def _grouping_sets(ds: Dataset, j: str | None) -> DataFrame:

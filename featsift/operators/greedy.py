@@ -1,18 +1,22 @@
 """Greedy forward selection.
 
 Relevance is counted once; each round counts the cells of all candidates with the last chosen feature only, folds them
-into the criterion's accumulators and takes the best candidate.  The accumulators live on the driver while the features
-are few, else in a table that each round writes anew; either way only the best row is looked at.
+into the criterion's accumulators and takes the best candidate.  While the features are few enough, the accumulators live
+on the driver and a round is one job on packed blocks that returns two numbers for each feature; else they are a table
+that each round writes anew, of which only the best row is looked at.
 
 Scores are compared after rounding to 12 decimals; the lowest feature number wins a tie.
 """
 
 from __future__ import annotations
 
+import hashlib
 import time
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -23,6 +27,7 @@ from ..plans.layout import to_feature_blocks
 from ..plans.storage import saved
 from . import relevance as rel_ops
 from . import sparse
+from .packed import DenseEngine, SparseEngine
 
 DIGITS = 12
 RESULT = "step int, feature long, name string, score double, rel double"
@@ -60,63 +65,118 @@ def select(
 ) -> Selection:
     """The first k features (all, if there are fewer) by the criterion.
 
-    strategy: explode, arrow, gsets or blocks for dense data.  state: driver or frame.  lazy: skips candidates whose
-    upper bound can't win (criteria whose score only falls).  min_score ends the selection before a score below it.
-    resume: a folder in which every round is logged; a second call continues after the last logged round.
+    strategy: packed, explode, arrow, gsets or blocks (sparse data: packed or sparse).  state: driver or frame.  lazy:
+    skips candidates whose upper bound can't win (criteria whose score only falls).  min_score ends the selection before
+    a score below it.  resume: a folder in which every round is logged; a second call with the same data continues after
+    the last logged round, one with other data is refused.
     """
     crit = get_criterion(criterion, beta, gamma)
-    work = ds.materialized() if cache else ds
-    plan = planner.choose(work)
+    plan = planner.choose(ds, state)
     how = plan.counting if strategy == "auto" else strategy
-    where = plan.state if state == "auto" else state
+    spark = (ds.vocabulary if ds.sparse else ds.df).sparkSession
+    log = Log(spark, resume, ds) if resume else None
+    if plan.state == "driver" and how == "packed":
+        engine = (SparseEngine if ds.sparse else DenseEngine)(ds)
+    else:
+        engine = TableEngine(ds, how, cache)
     try:
-        more = {}
+        if plan.state == "frame":
+            return _in_table(engine, spark, k, crit, log, min_score)
+        return _Rounds(engine, spark, k, crit, log, min_score, lazy and crit.falling).run()
+    finally:
+        engine.release()
+
+
+class Log:
+    """Rounds in a folder: relevance, and the redundancy of all features with each chosen one.
+
+    The folder belongs to one data set: a digest of its features, class, weights and rows is written first and compared
+    by every later call.
+    """
+
+    def __init__(self, spark: SparkSession, folder: str, ds: Dataset | SparseDataset):
+        self.spark, self.folder = spark, folder
+        mark, path = fingerprint(ds), f"{folder}/fingerprint"
+        if not self.has(path):
+            spark.createDataFrame([(mark,)], "mark string").coalesce(1).write.mode("overwrite").parquet(path)
+        elif spark.read.parquet(path).first()["mark"] != mark:
+            raise ValueError(f"{folder} is the log of another data set")
+
+    def has(self, path: str) -> bool:
+        at = self.spark._jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
+        return at.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(at)
+
+    def table(self, name: str, make: Callable[[], DataFrame]) -> DataFrame:
+        """A table of the log, made first if it isn't there."""
+        path = f"{self.folder}/{name}"
+        if not self.has(path):
+            make().write.mode("overwrite").parquet(path)
+        return self.spark.read.parquet(path)
+
+
+def fingerprint(ds: Dataset | SparseDataset) -> str:
+    """A digest of what a selection depends on, in one aggregate over the rows; their order doesn't matter."""
+    total = lambda df, *c: tuple(df.agg(F.count("*"), F.sum(F.xxhash64(*c).cast("decimal(38,0)"))).first())
+    if ds.sparse:
+        parts = ("sparse", total(ds.postings, "feature", "row_id", "code", "y"), total(ds.classes, "row_id", "y"), total(ds.vocabulary, "feature", "name"))
+    else:
+        parts = ("dense", tuple(ds.features), ds.label, ds.weight, total(ds.columns(), *ds.features, "y", "_w"))
+    return hashlib.sha256(repr(parts).encode()).hexdigest()
+
+
+class TableEngine:
+    """Counting by DataFrame operations: every strategy but the packed one."""
+
+    def __init__(self, ds: Dataset | SparseDataset, how: str, cache: bool):
+        self.ds = ds.materialized() if cache else ds
+        self.cache, self.how, self.more, self.packed = cache, None if ds.sparse else how, {}, None
         if ds.sparse:
-            more["totals"] = saved(sparse.feature_totals(work), "totals")
+            self.more["totals"] = saved(sparse.feature_totals(self.ds), "totals")
+            if how == "packed":
+                self.packed = SparseEngine(self.ds)
         elif how == "blocks":
-            more["blocks"] = to_feature_blocks(work).persist()
-        run = _Frame if where == "frame" else _Driver
-        return run(work, k, crit, how, more, min_score, resume, lazy and crit.falling).run()
-    finally:
-        if cache:
-            work.release()
-        if "blocks" in more:
-            more["blocks"].unpersist()
+            self.more["blocks"] = to_feature_blocks(self.ds).persist()
 
+    def release(self) -> None:
+        if self.cache:
+            self.ds.release()
+        if "blocks" in self.more:
+            self.more["blocks"].unpersist()
+        if self.packed:
+            self.packed.release()
 
-class _Rounds:
-    def __init__(self, ds, k, crit, how, more, min_score, resume, lazy):
-        self.ds, self.k, self.crit, self.how, self.more = ds, k, crit, None if ds.sparse else how, more
-        self.min_score, self.log, self.lazy = min_score, resume, lazy
-        self.spark = (ds.vocabulary if ds.sparse else ds.df).sparkSession
-        self.out = Selection(self.spark, [])
+    def relevance_table(self) -> DataFrame:
+        return rel_ops.named(self.ds, rel_ops.relevance(self.ds, self.how, **self.more))
 
     def pair_table(self, feature: int) -> DataFrame:
-        """Redundancy of all features with a chosen one, from the log if it is there."""
-        path = f"{self.log}/pair-{feature}" if self.log else None
-        if path and self.logged(path):
-            return self.spark.read.parquet(path)
         j = feature if self.ds.sparse else self.ds.features[feature]
-        found = rel_ops.redundancy(self.ds, j, self.how, **self.more)
-        if path:
-            found.write.mode("overwrite").parquet(path)
-            return self.spark.read.parquet(path)
-        return found
-
-    def logged(self, path: str) -> bool:
-        jvm = self.spark._jvm
-        at = jvm.org.apache.hadoop.fs.Path(f"{path}/_SUCCESS")
-        return at.getFileSystem(self.spark._jsc.hadoopConfiguration()).exists(at)
-
-    def relevance(self) -> DataFrame:
-        path = f"{self.log}/relevance" if self.log else None
-        if path and self.logged(path):
-            return self.spark.read.parquet(path)
-        found = rel_ops.named(self.ds, rel_ops.relevance(self.ds, self.how, **self.more))
-        if path:
-            found.write.mode("overwrite").parquet(path)
-            return self.spark.read.parquet(path)
-        return found
+        met = {"met": saved(self.packed.met(feature), "met")} if self.packed else {}
+        return rel_ops.redundancy(self.ds, j, self.how, **self.more, **met)
+
+    def relevance(self) -> tuple[np.ndarray, list[str], np.ndarray]:
+        t = self.relevance_table().toArrow().sort_by("feature")
+        return t.column("feature").to_numpy().astype(np.int64), t.column("name").to_pylist(), t.column("rel").to_numpy()
+
+    def pair(self, j: int, some: list[int] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        found = self.pair_table(j)
+        if some is not None:
+            if self.ds.sparse:
+                found = found.where(F.col("feature").isin(some))
+            else:
+                # the chosen feature comes along as the carried column
+                found = rel_ops.redundancy(self.ds.only([self.ds.features[i] for i in sorted(some)]), self.ds.features[j], "explode")
+        t = found.toArrow().sort_by("feature")
+        feature = t.column("feature").to_numpy().astype(np.int64)
+        if some is not None and not self.ds.sparse:
+            feature = np.array(sorted(some), np.int64)[feature]
+        return feature, t.column("mi").to_numpy(), t.column("cmi").to_numpy()
+
+
+class _Taken:
+    """The steps of a selection."""
+
+    def __init__(self, spark: SparkSession, min_score: float | None):
+        self.min_score, self.out = min_score, Selection(spark, [])
 
     def take(self, feature: int, name: str, score: float, rel: float, began: float, counted: int) -> bool:
         if self.min_score is not None and score < self.min_score:
@@ -127,14 +187,37 @@ class _Rounds:
         return True
 
 
-class _Driver(_Rounds):
+class _Rounds(_Taken):
     """Accumulators as arrays: one number per feature and accumulator."""
 
+    def __init__(self, engine, spark: SparkSession, k: int, crit: Criterion, log: Log | None, min_score: float | None, lazy: bool):
+        super().__init__(spark, min_score)
+        self.engine, self.spark, self.k, self.crit, self.log, self.lazy = engine, spark, k, crit, log, lazy
+
+    def relevance(self) -> tuple[np.ndarray, list[str], np.ndarray]:
+        if not self.log:
+            return self.engine.relevance()
+
+        def make() -> DataFrame:
+            ids, names, rel = self.engine.relevance()
+            return self.spark.createDataFrame(pa.table({"feature": ids, "name": pa.array(names, pa.string()), "rel": rel}))
+
+        t = self.log.table("relevance", make).toArrow().sort_by("feature")
+        if isinstance(self.engine, SparseEngine):
+            self.engine.relevance()  # the totals that the rounds need
+        return t.column("feature").to_numpy(), t.column("name").to_pylist(), t.column("rel").to_numpy()
+
+    def pair(self, j: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        if not self.log:
+            return self.engine.pair(j)
+        make = lambda: self.spark.createDataFrame(pa.table(dict(zip(("feature", "mi", "cmi"), self.engine.pair(j)))))
+        t = self.log.table(f"pair-{j}", make).toArrow().sort_by("feature")
+        return tuple(t.column(c).to_numpy() for c in ("feature", "mi", "cmi"))
+
     def run(self) -> Selection:
         began = time.perf_counter()
-        rows = self.relevance().select("feature", "name", "rel").orderBy("feature").toPandas()
-        self.ids, self.names, self.rel = rows["feature"].to_numpy(np.int64), rows["name"].tolist(), rows["rel"].to_numpy(np.float64)
-        n = len(rows)
+        self.ids, self.names, self.rel = self.relevance()
+        n = len(self.ids)
         self.acc = {a: np.full(n, f.init) for a, f in self.crit.folds.items()}
         self.open = np.ones(n, bool)
         self.folded = np.zeros(n, np.int64)  # chosen features already in a candidate's accumulators
@@ -166,9 +249,8 @@ class _Driver(_Rounds):
             self.acc[name][at] = f.combine(ArrayOps, self.acc[name][at], mi, cmi)
 
     def fold_all(self, best: int) -> None:
-        found = self.pair_table(int(self.ids[best])).toPandas()
-        at = np.searchsorted(self.ids, found["feature"].to_numpy(np.int64))
-        self.fold(at, found["mi"].to_numpy(np.float64), found["cmi"].to_numpy(np.float64))
+        ids, mi, cmi = self.pair(int(self.ids[best]))
+        self.fold(np.searchsorted(self.ids, ids), mi, cmi)
         self.pairs += int(self.open.sum())
 
     def best_lazy(self) -> int:
@@ -184,44 +266,32 @@ class _Driver(_Rounds):
             order = np.argsort(-bound, kind="stable")
             batch = [i for i in order[: max(4, len(order) // 8)] if stale[i]]
             for missing in sorted({int(self.folded[i]) for i in batch}):
-                these = np.array([i for i in batch if self.folded[i] == missing])
-                found = self.some_pairs(these, self.chosen[missing])
-                self.fold(these, found[:, 0], found[:, 1])
+                these = np.array(sorted(i for i in batch if self.folded[i] == missing))
+                _, mi, cmi = self.engine.pair(int(self.ids[self.chosen[missing]]), [int(x) for x in self.ids[these]])
+                self.fold(these, mi, cmi)
                 self.folded[these] += 1
                 self.pairs += len(these)
 
-    def some_pairs(self, these: np.ndarray, j: int) -> np.ndarray:
-        if self.ds.sparse:
-            wanted = [int(self.ids[i]) for i in these]
-            part = SparseDataset(self.ds.postings.where(F.col("feature").isin([*wanted, int(self.ids[j])])), self.ds.classes, self.ds.vocabulary.where(F.col("feature").isin(wanted)))
-            found = {r["feature"]: (r["mi"], r["cmi"]) for r in rel_ops.redundancy(part, int(self.ids[j])).where(F.col("feature").isin(wanted)).collect()}
-            return np.array([found[w] for w in wanted])
-        names = [self.ds.features[self.ids[i]] for i in these]
-        # the chosen feature comes along as the carried column
-        part = self.ds.only(names)
-        found = {r["feature"]: (r["mi"], r["cmi"]) for r in rel_ops.redundancy(part, self.ds.features[self.ids[j]], "explode").collect()}
-        return np.array([found[i] for i in range(len(names))])
-
 
-class _Frame(_Rounds):
+def _in_table(engine: TableEngine, spark: SparkSession, k: int, crit: Criterion, log: Log | None, min_score: float | None) -> Selection:
     """Accumulators as a table in the shared folder: for more features than the driver should hold."""
-
-    def run(self) -> Selection:
+    began, taken, folds = time.perf_counter(), _Taken(spark, min_score), crit.folds
+    relevance = log.table("relevance", engine.relevance_table) if log else engine.relevance_table()
+    state = saved(relevance.select(F.col("feature").cast("long").alias("feature"), "name", "rel", *[F.lit(f.init).alias(f"acc_{a}") for a, f in folds.items()]), "state")
+    chosen: list[int] = []
+    while len(chosen) < k:
+        acc = {a: F.col(f"acc_{a}") for a in folds}
+        score = F.round(crit.score(ColumnOps, F.col("rel"), acc, len(chosen)), DIGITS)
+        left = state.where(~F.col("feature").isin(chosen)) if chosen else state
+        top = left.select("feature", "name", "rel", score.alias("score")).orderBy(F.desc("score"), "feature").limit(1).collect()
+        if not top or not taken.take(top[0]["feature"], top[0]["name"], top[0]["score"], top[0]["rel"], began, -1):
+            break
         began = time.perf_counter()
-        folds = self.crit.folds
-        state = self.relevance().select("feature", "name", "rel", *[F.lit(f.init).alias(f"acc_{a}") for a, f in folds.items()])
-        state, chosen = saved(state, "state"), []
-        while len(chosen) < self.k:
-            acc = {a: F.col(f"acc_{a}") for a in folds}
-            score = F.round(self.crit.score(ColumnOps, F.col("rel"), acc, len(chosen)), DIGITS)
-            left = state.where(~F.col("feature").isin(chosen)) if chosen else state
-            top = left.select("feature", "name", "rel", score.alias("score")).orderBy(F.desc("score"), "feature").limit(1).collect()
-            if not top or not self.take(top[0]["feature"], top[0]["name"], top[0]["score"], top[0]["rel"], began, -1):
-                break
-            began = time.perf_counter()
-            chosen.append(top[0]["feature"])
-            if folds and len(chosen) < self.k:
-                joined = state.join(self.pair_table(chosen[-1]), "feature", "left")
-                mi, cmi = F.coalesce("mi", F.lit(0.0)), F.coalesce("cmi", F.lit(0.0))
-                state = saved(joined.select("feature", "name", "rel", *[f.combine(ColumnOps, F.col(f"acc_{a}"), mi, cmi).alias(f"acc_{a}") for a, f in folds.items()]), "state")
-        return self.out
+        chosen.append(top[0]["feature"])
+        if folds and len(chosen) < k:
+            j = chosen[-1]
+            pair = log.table(f"pair-{j}", lambda j=j: engine.pair_table(j)) if log else engine.pair_table(j)
+            joined = state.join(pair.withColumn("feature", F.col("feature").cast("long")), "feature", "left")
+            mi, cmi = F.coalesce("mi", F.lit(0.0)), F.coalesce("cmi", F.lit(0.0))
+            state = saved(joined.select("feature", "name", "rel", *[f.combine(ColumnOps, F.col(f"acc_{a}"), mi, cmi).alias(f"acc_{a}") for a, f in folds.items()]), "state")
+    return taken.out

@@ -5,10 +5,11 @@ from __future__ import annotations
 import time
 from collections.abc import Callable, Sequence
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.dataset import Dataset, SparseDataset
+from ..plans.storage import saved
 
 
 def timed(fn: Callable, *args, **kwargs) -> tuple[object, float]:
@@ -35,7 +36,7 @@ def auc(scored: DataFrame, score: str = "score", y: str = "y") -> DataFrame:
     levels, inside ranges and over the few ranges, so that no task sorts all of them.
     """
     by = scored.groupBy(F.col(score).alias("s")).agg(F.sum(F.when(F.col(y) == 1, 1).otherwise(0)).alias("p"), F.sum(F.when(F.col(y) == 1, 0).otherwise(1)).alias("q"))
-    ranged = by.repartitionByRange("s").withColumn("part", F.spark_partition_id())
+    ranged = saved(by.repartitionByRange("s").withColumn("part", F.spark_partition_id()), "ranges")  # two readers see the same ranges
     parts = ranged.groupBy("part").agg(F.sum("q").alias("q"), F.min("s").alias("least"))
     below = parts.select("part", F.coalesce(F.sum("q").over(Window.orderBy("least").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("below"))
     inside = F.coalesce(F.sum("q").over(Window.partitionBy("part").orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
@@ -86,8 +87,3 @@ def plan_costs(df: DataFrame) -> dict[str, int]:
     """Exchanges, broadcasts and Python steps in a frame's physical plan."""
     text = df._jdf.queryExecution().executedPlan().toString()
     return {"exchanges": text.count("Exchange hashpartitioning") + text.count("Exchange rangepartitioning") + text.count("Exchange SinglePartition"), "broadcasts": text.count("BroadcastExchange"), "python": text.count("MapInArrow") + text.count("ArrowEvalPython")}
-
-
-def broadcast_values(spark: SparkSession, cards: dict[str, int]) -> int:
-    """Values of totals that a round may broadcast: bounded by cardinalities, not by rows."""
-    return sum(cards.values())

@@ -7,6 +7,8 @@ import math
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.encode import cardinalities
+
 
 def _long(rows: DataFrame, features: list[str], *keep: str) -> DataFrame:
     return rows.select(*keep, F.posexplode(F.array(*[F.col(f).cast("int") for f in features])).alias("feature", "x"))
@@ -45,13 +47,38 @@ class CategoricalNB:
         return rows.select(*key, F.col(y).alias("y"), F.round(odds, 10).alias("score"))
 
 
-def one_hot(rows: DataFrame, features: list[str], cards: dict[str, int], out: str = "v") -> DataFrame:
-    """Codes as indicator vectors, which is what multinomial models understand."""
-    from pyspark.ml.feature import OneHotEncoder, VectorAssembler
+class OneHot:
+    """Codes as indicator vectors, which is what multinomial models understand.
+
+    Fitted once, on the training rows: all vectors it makes have the same positions.  Codes that training didn't have,
+    and nulls, share one position of their own for each feature.
+    """
+
+    def __init__(self, train: DataFrame, features: list[str], out: str = "v"):
+        self.features, self.out = features, out
+        self.cards = cardinalities(train, features)
+
+    def __call__(self, rows: DataFrame) -> DataFrame:
+        """v, y."""
+        from pyspark.ml.functions import array_to_vector
+
+        def indicators(f: str):
+            code = F.col(f).cast("int")
+            place = F.when((code >= 0) & (code < self.cards[f]), code).otherwise(self.cards[f])
+            return F.transform(F.sequence(F.lit(0), F.lit(self.cards[f])), lambda i: (i == place).cast("double"))
+
+        return rows.select(array_to_vector(F.concat(*map(indicators, self.features))).alias(self.out), F.col("y").cast("double").alias("y"))
+
+
+def presence_vectors(ds, features: list[int], out: str = "v") -> DataFrame:
+    """row_id, v, y of a sparse data set: a position for each of the given features, its code where a row has it."""
+    place = F.create_map(*[x for i, f in enumerate(features) for x in (F.lit(f).cast("long"), F.lit(i))])
+    entry = F.struct(place[F.col("feature")].alias("i"), F.col("code").cast("double").alias("v"))
+    found = ds.postings.where(F.col("feature").isin(features)).groupBy("row_id").agg(F.map_from_entries(F.collect_list(entry)).alias("m"))
+    from pyspark.ml.functions import array_to_vector
 
-    made = OneHotEncoder(inputCols=features, outputCols=[f"_h{i}" for i in range(len(features))], dropLast=False, handleInvalid="keep")
-    rows = rows.select(*[F.col(f).cast("double").alias(f) for f in features], F.col("y").cast("double").alias("y"))
-    return VectorAssembler(inputCols=made.getOutputCols(), outputCol=out).transform(made.fit(rows).transform(rows)).select(out, "y")
+    value = F.transform(F.sequence(F.lit(0), F.lit(len(features) - 1)), lambda i: F.coalesce(F.element_at(F.col("m"), i), F.lit(0.0)))
+    return ds.classes.join(found, "row_id", "left").select("row_id", array_to_vector(value).alias(out), F.col("y").cast("double").alias("y"))
 
 
 def naive_bayes(train: DataFrame, vector: str = "v", smoothing: float = 1.0):

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import info
 from ..plans.dataset import Dataset, SparseDataset
+from ..plans.storage import numbered
 from . import counts, sparse
 
 
@@ -31,8 +32,14 @@ def redundancy(ds: Dataset | SparseDataset, j: str | int, strategy: str | None =
     return info.mi_and_cmi(cells(ds, j, strategy, **more), base=base)
 
 
+#: Features of which all pairs may be counted in one pass: a row becomes that number squared, halved.
+MAX_PAIRED = 200
+
+
 def pair_cells(ds: Dataset) -> DataFrame:
     """i, k, x, j, y, c of all pairs of features i < k: for few features, in one pass over the rows."""
+    if len(ds.features) > MAX_PAIRED:
+        raise ValueError(f"all pairs of {len(ds.features)} features; at most {MAX_PAIRED} (count redundancy feature by feature instead)")
     rows = ds.columns()
     entry = F.array(*[F.struct(F.lit(i).alias("f"), F.col(f).alias("v")) for i, f in enumerate(ds.features)])
     pair = F.flatten(F.transform(entry, lambda a: F.transform(F.filter(entry, lambda b: b["f"] > a["f"]), lambda b: F.struct(a["f"].alias("i"), b["f"].alias("k"), a["v"].alias("x"), b["v"].alias("j")))))
@@ -46,8 +53,6 @@ def pair_matrix(ds: Dataset, base: str = "2") -> DataFrame:
 
 
 def rank(ds: Dataset | SparseDataset, strategy: str | None = None) -> DataFrame:
-    """All features by relevance alone: step, feature, name, rel.  Ordered by a distributed sort; the step is the place in it."""
-    from pyspark.sql import Window
-
+    """All features by relevance alone: step, feature, name, rel.  Ranges of the order are numbered each by a task of its own."""
     rel = named(ds, relevance(ds, strategy)).withColumn("rel", F.round("rel", 12))
-    return rel.select((F.row_number().over(Window.orderBy(F.desc("rel"), "feature"))).alias("step"), "feature", "name", "rel")
+    return numbered(rel, [F.desc("rel"), F.asc("feature")], "step", 1).select(F.col("step").cast("int").alias("step"), "feature", "name", "rel")

@@ -37,8 +37,11 @@ def met_cells(ds: SparseDataset, j: int) -> DataFrame:
     return ds.postings.join(chosen, "row_id").groupBy("feature", F.col("code").alias("x"), "j", "y").agg(F.count("*").alias("c"))
 
 
-def contingency(ds: SparseDataset, j: int | None = None, totals: DataFrame | None = None) -> DataFrame:
-    """feature, x, j (null without a chosen feature), y, c of all features, cells with zeros included."""
+def contingency(ds: SparseDataset, j: int | None = None, totals: DataFrame | None = None, met: DataFrame | None = None) -> DataFrame:
+    """feature, x, j (null without a chosen feature), y, c of all features, cells with zeros included.
+
+    ``met``: the cells of the chosen feature's rows, where blocks of whole rows have counted them already.
+    """
     totals = feature_totals(ds) if totals is None else totals
     classes = class_totals(ds)
     features = ds.vocabulary.select("feature")
@@ -48,7 +51,8 @@ def contingency(ds: SparseDataset, j: int | None = None, totals: DataFrame | Non
         rows = rows.union(totals.select("feature", F.lit(0), null, "y", -F.col("c")))
         rows = rows.union(features.crossJoin(F.broadcast(classes)).select("feature", F.lit(0), null, "y", "c"))
     else:
-        met, freq = met_cells(ds, j), frequency_map(ds, j)
+        freq = frequency_map(ds, j) if met is None else met.where(F.col("feature") == j).select("j", "y", "c")
+        met = met_cells(ds, j) if met is None else met
         zero = F.lit(0)
         rows = totals.select("feature", "x", zero.alias("j"), "y", "c")
         # a met cell counts for itself, and is taken off its row, its column and put back at (0, 0)

@@ -70,16 +70,35 @@ def unpivoted(base: str, features: Sequence[str]) -> str:
     return f"base AS MATERIALIZED ({base}), long AS ({' UNION ALL '.join(f'SELECT rid, {i} AS feature, {f} AS x, y FROM base' for i, f in enumerate(features))})"
 
 
-def token_rows(target: str = "toxic", min_df: int = 5) -> str:
-    """classes(rid, y), posts(rid, feature, y), vocab(feature, name)."""
+def sparse_rows(classes: str, tokens: str) -> str:
+    """classes(rid, y), posts(rid, feature, y), vocab(feature, name) from the classes and the distinct (rid, name)."""
+    return f"""classes AS MATERIALIZED ({classes}), tok AS MATERIALIZED ({tokens}),
+        vocab AS MATERIALIZED (SELECT name, row_number() OVER (ORDER BY name) - 1 AS feature FROM (SELECT DISTINCT name FROM tok)),
+        posts AS MATERIALIZED (SELECT rid, feature, y FROM tok JOIN vocab USING (name) JOIN classes USING (rid))"""
+
+
+def token_rows(target: str = "toxic", ngram: int = 1) -> str:
     if target == "lang":
         classes = "SELECT doc_id AS rid, CASE WHEN lang = 'en' THEN 1 ELSE 0 END AS y FROM documents"
     else:
         classes = f"SELECT doc_id AS rid, {target} AS y FROM labels SEMI JOIN documents USING (doc_id)"
-    return f"""classes AS MATERIALIZED ({classes}),
-        tok AS MATERIALIZED (SELECT DISTINCT doc_id AS rid, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS name FROM documents SEMI JOIN classes ON rid = doc_id),
-        vocab AS MATERIALIZED (SELECT name, row_number() OVER (ORDER BY name) - 1 AS feature FROM (SELECT name FROM tok GROUP BY name HAVING count(*) >= {min_df})),
-        posts AS MATERIALIZED (SELECT rid, feature, y FROM tok JOIN vocab USING (name) JOIN classes USING (rid))"""
+    words = "regexp_extract_all(lower(text), '[a-z]+')"
+    if ngram == 2:
+        tokens = f"SELECT DISTINCT rid, unnest(list_transform(range(1, greatest(len(w), 1)), lambda i: w[i] || ' ' || w[i + 1])) AS name FROM (SELECT doc_id AS rid, {words} AS w FROM documents SEMI JOIN classes ON rid = doc_id)"
+    else:
+        tokens = f"SELECT DISTINCT doc_id AS rid, unnest({words}) AS name FROM documents SEMI JOIN classes ON rid = doc_id"
+    return sparse_rows(classes, tokens)
+
+
+def page_rows() -> str:
+    classes = """SELECT page_id AS rid, CASE WHEN regexp_extract(html, 'lang="([a-z]+)"', 1) = 'en' THEN 1 ELSE 0 END AS y FROM pages"""
+    return sparse_rows(classes, "SELECT DISTINCT page_id AS rid, unnest(regexp_extract_all(lower(regexp_replace(html, '<[^>]*>', ' ', 'g')), '[a-z]+')) AS name FROM pages")
+
+
+def speaker_rows() -> str:
+    rid = "conv_id * 1000000 + turn AS rid"
+    classes = f"SELECT {rid}, CASE role WHEN 'assistant' THEN 0 WHEN 'system' THEN 1 WHEN 'user' THEN 2 END AS y FROM conversations"
+    return sparse_rows(classes, f"SELECT DISTINCT {rid}, unnest(regexp_extract_all(lower(coalesce(text, '')), '[a-z]+')) AS name FROM conversations")
 
 
 def g(c: str) -> str:
@@ -105,8 +124,8 @@ def relevance(base: str, features: Sequence[str]) -> str:
     return f"WITH {unpivoted(base, features)}, {CELLS}, {relevance_of()} SELECT {_name('feature', features)} AS name, round(rel, 6) + 0.0 AS rel FROM rel"
 
 
-def relevance_tokens(target: str, min_df: int = 5) -> str:
-    return f"WITH {token_rows(target, min_df)}, {SPARSE_CELLS}, {relevance_of()} SELECT name, round(rel, 6) + 0.0 AS rel FROM rel JOIN vocab USING (feature)"
+def relevance_sparse(rows: str) -> str:
+    return f"WITH {rows}, {SPARSE_CELLS}, {relevance_of()} SELECT name, round(rel, 6) + 0.0 AS rel FROM rel JOIN vocab USING (feature)"
 
 
 def _name(column: str, features: Sequence[str]) -> str:
@@ -148,16 +167,41 @@ def chain(criterion: str, k: int, name: str, beta: float = 1.0, gamma: float = 1
     return f"{', '.join(parts)} SELECT CAST(step AS INT) AS step, {name} AS name, round(score, 6) + 0.0 AS score, round(rel, 6) + 0.0 AS rel FROM ({union}) u"
 
 
+def greedy_by(base: str, by: str, values: Sequence[int], features: Sequence[str], criterion: str, k: int) -> str:
+    """The selection within each value of a column."""
+    one = lambda v: f"SELECT CAST({v} AS INT) AS {by}, step, name, score FROM ({greedy(f'SELECT * FROM ({base}) WHERE {by} = {v}', features, criterion, k)})"
+    return " UNION ALL ".join(one(v) for v in values)
+
+
 def greedy(base: str, features: Sequence[str], criterion: str, k: int, beta: float = 1.0, gamma: float = 1.0) -> str:
     return f"WITH {unpivoted(base, features)}, {CELLS}, {relevance_of()}, {pairs()}, {chain(criterion, k, _name('u.feature', features), beta, gamma)}"
 
 
-def greedy_tokens(target: str, criterion: str, k: int, candidates: int = 200) -> str:
-    """Selection among the tokens with the highest relevance, on their dense table."""
-    return f"""WITH {token_rows(target)}, {SPARSE_CELLS}, {relevance_of()},
-        top AS MATERIALIZED (SELECT feature FROM rel ORDER BY round(rel, 12) DESC, feature LIMIT {candidates}),
-        few AS MATERIALIZED (SELECT c.rid, t.feature, CASE WHEN p.rid IS NULL THEN 0 ELSE 1 END AS x, c.y FROM classes c CROSS JOIN top t LEFT JOIN posts p ON p.rid = c.rid AND p.feature = t.feature),
-        {pairs('few').replace('pair AS', 'pair AS', 1)}, {chain(criterion, k, '(SELECT name FROM vocab v WHERE v.feature = u.feature)').replace('FROM rel r', 'FROM (SELECT * FROM rel SEMI JOIN top USING (feature)) r')}"""
+def _gl(c: str) -> str:
+    return f"CASE WHEN {c} > 0 THEN {c} * log2({c}) ELSE 0 END"
+
+
+def greedy_sparse(rows: str, criterion: str, k: int) -> str:
+    """Selection among all features of presence codes: each step counts the rows of the last chosen feature."""
+    parts = [f"""tot AS (SELECT y, count(*) AS t FROM classes GROUP BY y), size AS (SELECT sum(t) AS n, sum({_gl('t')}) AS sy FROM tot),
+        base AS MATERIALIZED (SELECT v.feature, tot.y, t, coalesce(c, 0) AS a FROM vocab v CROSS JOIN tot LEFT JOIN (SELECT feature, y, count(*) AS c FROM posts GROUP BY feature, y) z ON z.feature = v.feature AND z.y = tot.y),
+        own AS MATERIALIZED (SELECT feature, sum({_gl('a')} + {_gl('(t - a)')}) AS xy, {_gl('sum(a)')} + {_gl('(sum(t) - sum(a))')} AS x FROM base GROUP BY feature),
+        rel AS MATERIALIZED (SELECT feature, xy, x, greatest(log2(n) + (xy - x - sy) / n, 0) AS rel FROM own CROSS JOIN size),
+        s1 AS MATERIALIZED (SELECT feature, rel AS score, rel FROM rel ORDER BY round(rel, 12) DESC, feature LIMIT 1)"""]
+    cells = ("m", "(a - m)", "(f - m)", "(t - a - f + m)")
+    for t in range(2, k + 1):
+        j = f"(SELECT feature FROM s{t - 1})"
+        parts.append(f"""q{t} AS MATERIALIZED (SELECT b.feature, b.y, t, a, coalesce(m, 0) AS m, coalesce(f, 0) AS f FROM base b
+            LEFT JOIN (SELECT feature, y, count(*) AS m FROM posts WHERE rid IN (SELECT rid FROM posts WHERE feature = {j}) GROUP BY feature, y) z ON z.feature = b.feature AND z.y = b.y
+            LEFT JOIN (SELECT y, count(*) AS f FROM posts WHERE feature = {j} GROUP BY y) o ON o.y = b.y),
+        p{t} AS MATERIALIZED (SELECT feature, greatest(log2(n) + (xj - x - sj) / n, 0) AS mi, greatest((xjy + sy - xy - jy) / n, 0) AS cmi FROM
+            (SELECT feature, sum({' + '.join(_gl(c) for c in cells)}) AS xjy, {' + '.join(_gl(f'sum({c})') for c in cells)} AS xj, sum({_gl('f')} + {_gl('(t - f)')}) AS jy, {_gl('sum(f)')} + {_gl('(sum(t) - sum(f))')} AS sj FROM q{t} GROUP BY feature)
+            JOIN rel USING (feature) CROSS JOIN size)""")
+        seen, chosen = (" UNION ALL ".join(f"SELECT {what} FROM {x}{i}" for i in range(low, low + t - 1)) for x, what, low in (("p", "*", 2), ("s", "feature", 1)))
+        parts.append(f"""s{t} AS MATERIALIZED (SELECT feature, {_SCORE[criterion].format(s=t - 1, beta=1.0, gamma=1.0)} AS score, any_value(rel) AS rel FROM rel JOIN ({seen}) USING (feature)
+            WHERE feature NOT IN ({chosen}) GROUP BY feature ORDER BY round(score, 12) DESC, feature LIMIT 1)""")
+    union = " UNION ALL ".join(f"SELECT {t} AS step, * FROM s{t}" for t in range(1, k + 1))
+    return f"WITH {rows}, {', '.join(parts)} SELECT CAST(step AS INT) AS step, name, round(score, 6) + 0.0 AS score, round(rel, 6) + 0.0 AS rel FROM ({union}) JOIN vocab USING (feature)"
 
 
 def chi_square(base: str, features: Sequence[str], k: int) -> str:

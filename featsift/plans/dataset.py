@@ -13,6 +13,10 @@ from ..functions import encode
 from .storage import saved
 
 
+#: Columns that a sparse data set may be spread into.
+MAX_DENSE = 2_000
+
+
 @dataclass
 class Dataset:
     """Dense rows: one column of small codes for each feature, and the class.  The order of features decides ties."""
@@ -81,10 +85,11 @@ class SparseDataset:
         return self.vocabulary.count()
 
     def materialized(self) -> SparseDataset:
-        """Written once, postings sorted by feature: a chosen feature's postings are then found by the files' statistics."""
+        """Written once, sorted by feature inside ranges of rows, so that a feature met in every row is no task's alone."""
         if self._stored:
             return self
-        return SparseDataset(saved(self.postings, "postings", by="feature"), saved(self.classes, "classes"), saved(self.vocabulary, "vocabulary"), self.name, True)
+        postings = self.postings.repartition("row_id").sortWithinPartitions("feature")
+        return SparseDataset(saved(postings, "postings"), saved(self.classes, "classes"), saved(self.vocabulary, "vocabulary"), self.name, True)
 
     def release(self) -> None:
         """Tables in the shared folder go with it."""
@@ -96,6 +101,8 @@ class SparseDataset:
 
     def densified(self, features: list[int]) -> Dataset:
         """The given features as dense columns (tests and small vocabularies)."""
+        if len(features) > MAX_DENSE:
+            raise ValueError(f"{len(features)} columns; at most {MAX_DENSE}")
         wide = self.postings.where(F.col("feature").isin(features)).groupBy("row_id").pivot("feature", features).agg(F.max("code"))
         names = [f"f{i}" for i in features]
         full = self.classes.join(wide, "row_id", "left").select("y", *[F.coalesce(F.col(f"`{i}`"), F.lit(0)).cast("int").alias(n) for i, n in zip(features, names)])

@@ -9,11 +9,11 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .dataset import Dataset, SparseDataset
-from .storage import saved
+from .storage import looked_up, numbered, saved
 
 BLOCK_ROWS = 8192
 
@@ -68,20 +68,26 @@ def partial_histograms(blocks: DataFrame) -> DataFrame:
 
 
 def to_postings(rows: DataFrame, tokens: Column | str, classes: DataFrame, row_id: str = "row_id", name: str = "sparse", min_df: int = 1) -> SparseDataset:
-    """Postings of the tokens of each row: features numbered in the order of their names, with the class in each posting."""
-    exploded = saved(rows.select(row_id, F.explode(tokens).alias("name")).distinct().join(classes, row_id), "tokens")
+    """Postings of the tokens of each row: features numbered in the order of their names, with the class in each posting.
+
+    Only rows with a class are read for tokens.  Frequent tokens find their number in a broadcast table, others by join.
+    """
+    classed = classes.select(row_id, "y")
+    exploded = saved(rows.join(classed, row_id).select(row_id, "y", F.explode(F.array_distinct(tokens)).alias("name")).distinct(), "tokens")
     df = exploded.groupBy("name").agg(F.count("*").alias("df")).where(F.col("df") >= min_df)
-    vocabulary = df.select("name", (F.row_number().over(Window.orderBy("name")) - 1).cast("long").alias("feature"))
-    postings = exploded.join(vocabulary, "name").select("feature", F.col(row_id).alias("row_id"), F.lit(1).alias("code"), "y")
-    return SparseDataset(postings, classes.select(F.col(row_id).alias("row_id"), "y"), vocabulary, name)
+    vocabulary = saved(numbered(df, ["name"], "feature"), "vocabulary")
+    total = exploded.count()
+    postings = looked_up(exploded, vocabulary, ["name"], ["feature"], "df", total).where("feature IS NOT NULL")
+    postings = postings.select("feature", F.col(row_id).alias("row_id"), F.lit(1).alias("code"), "y")
+    return SparseDataset(postings, classes.select(F.col(row_id).alias("row_id"), "y"), vocabulary.select("name", "feature"), name)
 
 
 def hashed_postings(rows: DataFrame, tokens: Column | str, classes: DataFrame, buckets: int, row_id: str = "row_id", name: str = "hashed") -> SparseDataset:
     """Postings by feature hashing: no vocabulary has to be built or joined."""
     from ..functions.encode import hashed
 
-    exploded = rows.select(row_id, F.explode(tokens).alias("t")).select(row_id, hashed(F.col("t"), buckets).alias("feature")).distinct()
-    postings = exploded.join(classes, row_id).select("feature", F.col(row_id).alias("row_id"), F.lit(1).alias("code"), "y")
+    exploded = rows.join(classes.select(row_id, "y"), row_id).select(row_id, "y", F.explode(tokens).alias("t")).select(row_id, "y", hashed(F.col("t"), buckets).alias("feature")).distinct()
+    postings = saved(exploded.select("feature", F.col(row_id).alias("row_id"), F.lit(1).alias("code"), "y"), "postings")
     vocabulary = postings.select("feature").distinct().select("feature", F.concat(F.lit("h"), F.col("feature").cast("string")).alias("name"))
     return SparseDataset(postings, classes.select(F.col(row_id).alias("row_id"), "y"), vocabulary, name)
 
@@ -101,9 +107,11 @@ def from_maps(rows: DataFrame, codes: str, label: str, row_id: str = "row_id") -
     """Postings of a column of maps from feature names to codes."""
     classes = rows.select(F.col(row_id).alias("row_id"), F.col(label).cast("int").alias("y"))
     exploded = rows.select(F.col(row_id).alias("row_id"), F.col(label).cast("int").alias("y"), F.explode(codes).alias("name", "code")).where("code != 0")
-    names = exploded.select("name").distinct()
-    vocabulary = names.select("name", (F.row_number().over(Window.orderBy("name")) - 1).cast("long").alias("feature"))
-    return SparseDataset(exploded.join(vocabulary, "name").select("feature", "row_id", F.col("code").cast("int").alias("code"), "y"), classes, vocabulary)
+    exploded = saved(exploded, "maps")
+    df = exploded.groupBy("name").agg(F.count("*").alias("df"))
+    vocabulary = saved(numbered(df, ["name"], "feature"), "vocabulary")
+    postings = looked_up(exploded, vocabulary, ["name"], ["feature"], "df", exploded.count())
+    return SparseDataset(postings.select("feature", "row_id", F.col("code").cast("int").alias("code"), "y"), classes, vocabulary.select("name", "feature"))
 
 
 def vectorized(postings: DataFrame, chunk_rows: int = 1 << 20) -> DataFrame:
@@ -114,7 +122,9 @@ def vectorized(postings: DataFrame, chunk_rows: int = 1 << 20) -> DataFrame:
 
 def sparsified(ds: Dataset) -> tuple[SparseDataset, dict[str, int]]:
     """Dense data as postings, each feature's most frequent code being the implicit one (its code 0; the old 0 takes its place)."""
-    rows = ds.df.withColumn("row_id", F.monotonically_increasing_id()) if "row_id" not in ds.df.columns else ds.df
+    rows = ds.df.select(*ds.features, ds.label, *(["row_id"] if "row_id" in ds.df.columns else []))
+    if "row_id" not in rows.columns:  # written, so that postings and classes see the same numbers
+        rows = saved(rows.withColumn("row_id", F.monotonically_increasing_id()), "rows")
     modes = rows.agg(*[F.mode(f, True).alias(f) for f in ds.features]).first().asDict()
     code = lambda f: F.when(F.col(f) == modes[f], 0).when(F.col(f) == 0, modes[f]).otherwise(F.col(f)).cast("int")
     long = rows.select("row_id", F.col(ds.label).cast("int").alias("y"), F.posexplode(F.array(*[code(f) for f in ds.features])).alias("feature", "code"))

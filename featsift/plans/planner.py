@@ -6,31 +6,24 @@ from dataclasses import dataclass
 
 from .dataset import Dataset, SparseDataset
 
-#: Columns up to which one explode of all candidates compiles well; state sizes up to which it may live on the driver.
-CODEGEN_COLUMNS, DRIVER_STATE = 500, 1_000_000
-#: Most cells of one feature's 3-way table.
-MAX_CELLS = 1 << 24
+#: State sizes up to which it may live on the driver; columns up to which one explode of all candidates compiles well.
+DRIVER_STATE, CODEGEN_COLUMNS = 1_000_000, 500
 
 
 @dataclass(frozen=True)
 class Strategy:
-    counting: str  # explode, arrow, gsets, blocks or sparse
+    counting: str  # packed, explode, arrow, gsets, blocks or sparse
     state: str  # driver or frame
-    groups: int = 1  # column groups counted one after the other
 
 
-def choose(ds: Dataset | SparseDataset) -> Strategy:
-    """Sparse data: postings.  Dense: explode while one row's candidates compile into one stage, the Arrow kernel for more columns."""
-    if ds.sparse:
-        return Strategy("sparse", "driver" if ds.size <= DRIVER_STATE else "frame")
-    n = len(ds.features)
-    bins = max((ds.cards[f] for f in ds.features), default=0)
-    if bins * bins * max(ds.cards[ds.label], 1) > MAX_CELLS:
-        raise ValueError("the 3-way count table of a feature would be too large; use fewer bins")
-    return Strategy("explode" if n <= CODEGEN_COLUMNS else "arrow", "driver" if n <= DRIVER_STATE else "frame")
+def choose(ds: Dataset | SparseDataset, state: str = "auto") -> Strategy:
+    """Packed blocks while the state fits the driver: of the strategies measured by the bench the fastest at every width.
 
-
-def expected_cells(ds: Dataset) -> int:
-    """Upper bound of the cells of a round, which is what a round shuffles (per task at most)."""
-    bins = max((ds.cards[f] for f in ds.features), default=0)
-    return sum(ds.cards[f] for f in ds.features) * bins * max(ds.cards[ds.label], 1)
+    With the state in a table, cells are joined to it as they come: sparse ones from packed rows, dense ones by explode
+    while one row's candidates compile into one stage, by the Arrow kernel for more columns.
+    """
+    n = ds.size if ds.sparse else len(ds.features)
+    where = state if state != "auto" else "driver" if n <= DRIVER_STATE else "frame"
+    if where == "driver":
+        return Strategy("packed", where)
+    return Strategy("packed" if ds.sparse else "explode" if n <= CODEGEN_COLUMNS else "arrow", where)

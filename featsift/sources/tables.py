@@ -39,11 +39,11 @@ def write(df: DataFrame, path: str, mode: str = "overwrite", partition_by: Seque
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
 
 
-def write_bucketed(df: DataFrame, name: str, buckets: int, by: Sequence[str], sort_by: Sequence[str] = ()) -> DataFrame:
-    """A bucketed table: joins and aggregates on the bucket columns then need no exchange."""
+def write_bucketed(df: DataFrame, name: str, buckets: int, by: Sequence[str], sort_by: Sequence[str] = (), path: str | None = None) -> DataFrame:
+    """A bucketed table, in the warehouse or at ``path``: joins and aggregates on the bucket columns then need no exchange."""
     first, *rest = by
     writer = df.repartition(buckets, *by).write.mode("overwrite").bucketBy(buckets, first, *rest).sortBy(*(sort_by or by))
-    writer.saveAsTable(name)
+    (writer.option("path", path) if path else writer).saveAsTable(name)
     return df.sparkSession.table(name)
 
 

@@ -66,8 +66,29 @@ def ranking(spark: SparkSession, table_path: str) -> DataFrame:
     return info.mutual_info(cells, "x", "y", ["feature"]).withColumnRenamed("mi", "rel")
 
 
+def relevance_drift(stream: DataFrame, table_path: str, checkpoint: str):
+    """Relevance of each feature in every batch and in all batches before it; starts the query over what is there.
+
+    Cells are added up before anything else happens, so a batch costs the driver nothing and the two tables (cells and
+    drift, one folder for each batch) grow with the number of codes.  A batch that is repeated replaces itself.
+    """
+
+    def measure(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
+        cells = long_codes(batch).groupBy("feature", "x", F.col("event_type").alias("y")).agg(F.count("*").alias("c"))
+        cells.write.mode("overwrite").parquet(f"{table_path}/cells/batch={number}")
+        kept = spark.read.schema("feature int, x int, y string, c long, batch int").parquet(f"{table_path}/cells").where(F.col("batch") <= number)
+        now = info.mutual_info(kept.where(F.col("batch") == number), "x", "y", ["feature"]).withColumnRenamed("mi", "rel")
+        past = kept.where(F.col("batch") < number).groupBy("feature", "x", "y").agg(F.sum("c").alias("c"))
+        past = info.mutual_info(past, "x", "y", ["feature"]).withColumnRenamed("mi", "before")
+        found = now.join(past, "feature", "left").withColumn("change", F.col("rel") - F.col("before"))
+        found.write.mode("overwrite").parquet(f"{table_path}/drift/batch={number}")
+
+    return stream.writeStream.foreachBatch(measure).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
 def _drift(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-    """Share of an event type among a user bucket's events so far, and how far the latest batch is from it."""
+    """Mean value of a user bucket's events so far, and how far the mean of the latest batch is from that before it."""
     n, total = state.get if state.exists else (0, 0.0)
     m, more = 0, 0.0
     for pdf in batches:

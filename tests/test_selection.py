@@ -42,7 +42,7 @@ def test_identities_on_random_tables(spark):
     assert pair["mi"] >= 0 and pair["cmi"] >= 0
 
 
-@pytest.mark.parametrize("strategy", ["arrow", "gsets", "blocks"])
+@pytest.mark.parametrize("strategy", ["arrow", "gsets", "blocks", "packed"])
 def test_strategies_count_alike(spark, strategy):
     ds = Dataset(workloads.lines(spark, "/root/testdata/sf0.001").df.withColumn("tax", F.when(F.col("ln") != 2, F.col("tax"))), list(GATE))
     for j in (None, "disc"):
@@ -123,7 +123,9 @@ def test_blocks_round_trip_and_partial_histograms(spark):
 
 def test_planner_and_bins(spark):
     ds = workloads.lines(spark, "/root/testdata/sf0.001")
-    assert planner.choose(ds).counting == "explode"
+    assert planner.choose(ds) == planner.Strategy("packed", "driver")
+    assert planner.choose(ds, "frame") == planner.Strategy("explode", "frame")
+    assert planner.choose(Dataset(ds.df, list(GATE) * 60), "frame").counting == "arrow"
     wide = Dataset(spark.range(10).selectExpr("cast(id * 1000 as int) AS a", "0 AS y"), ["a"])
     with pytest.raises(ValueError):
         wide.check()
@@ -200,3 +202,131 @@ def test_entry_module():
     import __spark_entry__ as e
 
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_packed_counts_in_sets_of_columns(spark, monkeypatch):
+    """More features than one column of a block holds, counted in sets within a small budget, with nulls and weights."""
+    from featsift.operators import packed
+
+    monkeypatch.setattr(packed, "COUNT_BYTES", 2000)
+    monkeypatch.setattr(packed, "PART_BYTES", 500)
+    monkeypatch.setattr(packed, "GROUP", 4)
+    rng = np.random.default_rng(11)
+    names = [f"f{i}" for i in range(11)]
+    codes = rng.integers(0, rng.integers(2, 7, 11), (300, 11))
+    rows = [tuple(None if rng.random() < 0.1 else int(v) for v in r) + (int(rng.integers(3)), int(rng.integers(1, 4))) for r in codes]
+    df = spark.createDataFrame(rows, ", ".join(f"{n} int" for n in names) + ", y int, w long").repartition(3)
+    for weight in (None, "w"):
+        ds = Dataset(df, names, weight=weight)
+        engine = packed.DenseEngine(ds)
+        assert len(packed.column_sets([s * engine.sizes[5] * engine.classes for s in engine.sizes], 2000)) > 2
+        for j in (None, 5):
+            want = sorted(map(str, counts.contingency(ds, j and names[j], "explode").select("feature", "x", "j", "y", "c").collect()))
+            assert sorted(map(str, engine.cells(j).select("feature", "x", "j", "y", "c").collect())) == want
+            assert sorted(map(str, counts.contingency(ds, j and names[j], "arrow").select("feature", "x", "j", "y", "c").collect())) == want
+        red = {r["feature"]: (r["mi"], r["cmi"]) for r in relevance.redundancy(ds, "f5", "explode").collect()}
+        ids, mi, cmi = engine.pair(5, [9, 2])
+        assert ids.tolist() == [2, 9] and [(a, b) for a, b in zip(mi, cmi)] == [pytest.approx(red[2]), pytest.approx(red[9])]
+        want = greedy.select(ds, 4, "jmi", strategy="explode").steps
+        assert greedy.select(ds, 4, "jmi").steps == [dict(s, score=pytest.approx(s["score"]), rel=pytest.approx(s["rel"])) for s in want]
+        engine.release()
+
+
+def test_packed_refuses_what_would_not_fit(spark, monkeypatch):
+    from featsift.operators import packed
+
+    wide = Dataset(spark.range(10).selectExpr("cast(id * 1000 as int) AS a", "0 AS y"), ["a"])
+    monkeypatch.setattr(packed, "MAX_CELLS", 1000)
+    with pytest.raises(ValueError):
+        packed.DenseEngine(wide)
+    none = Dataset(spark.createDataFrame([], "a int, b int, y int"), ["a", "b"])
+    assert greedy.select(none, 1).names == ["a"]
+
+
+def test_sparse_engine_with_codes_and_classes(spark, monkeypatch):
+    """Several codes and classes, rows split over blocks, features without a row in common."""
+    from featsift.operators import packed
+    from featsift.plans.dataset import SparseDataset
+
+    monkeypatch.setattr(packed, "GATHERED", 50)
+    monkeypatch.setattr(packed, "BLOCK_ENTRIES", 20)
+    rng = np.random.default_rng(6)
+    rows = [(i, 10 * f, int(rng.integers(1, 4))) for i in range(90) for f in range(7) if rng.random() < 0.25 and (f != 6 or i > 80)]
+    classes = spark.createDataFrame([(i, int(rng.integers(0, 3))) for i in range(90)], "row_id long, y int")
+    posts = spark.createDataFrame(rows, "row_id long, feature long, code int").join(classes, "row_id")
+    ds = SparseDataset(posts, classes, spark.createDataFrame([(10 * f, f"t{f}") for f in range(7)], "feature long, name string"))
+    engine = packed.SparseEngine(ds)
+    ids, names, rel = engine.relevance()
+    assert names == [f"t{f}" for f in range(7)]
+    want = {r["feature"]: r["rel"] for r in relevance.relevance(ds).collect()}
+    assert dict(zip(ids.tolist(), rel)) == pytest.approx(want)
+    for j in (20, 60):
+        want = {r["feature"]: (r["mi"], r["cmi"]) for r in relevance.redundancy(ds, j).collect()}
+        ids, mi, cmi = engine.pair(j)
+        assert dict(zip(ids.tolist(), mi)) == pytest.approx({k: v[0] for k, v in want.items()}, abs=1e-9)
+        assert dict(zip(ids.tolist(), cmi)) == pytest.approx({k: v[1] for k, v in want.items()}, abs=1e-9)
+        met = sorted(map(tuple, engine.met(j).select("feature", "x", "j", "y", "c").collect()))
+        assert met == sorted(map(tuple, sparse.met_cells(ds, j).select("feature", "x", "j", "y", "c").collect()))
+    engine.release()
+    assert greedy.select(ds, 4, "cmim").names == greedy.select(ds, 4, "cmim", strategy="sparse").names == greedy.select(ds, 4, "cmim", state="frame").names
+
+
+def test_log_of_other_data_is_refused(spark, tmp_path):
+    rows = [(i % 2, i % 3, i % 2) for i in range(60)]
+    x = Dataset(spark.createDataFrame(rows, "a int, b int, y int"), ["a", "b"])
+    y = Dataset(spark.createDataFrame([(r[0], r[1], r[1] % 2) for r in rows], "a int, b int, y int"), ["a", "b"])
+    log = str(tmp_path / "log")
+    first = greedy.select(x, 1, resume=log)
+    with pytest.raises(ValueError):
+        greedy.select(y, 1, resume=log)
+    again = greedy.select(Dataset(x.df.repartition(3), ["a", "b"]), 2, resume=log)  # the order of rows doesn't matter
+    assert again.names[:1] == first.names == ["a"]
+    assert greedy.select(x, 2, resume=log, state="frame").names == again.names
+    sparse_x = layout.sparsified(x)[0]
+    with pytest.raises(ValueError):
+        greedy.select(sparse_x, 1, resume=log)
+    other = str(tmp_path / "sparse")
+    assert greedy.select(sparse_x, 1, resume=other).names == greedy.select(sparse_x, 2, resume=other).names[:1]
+
+
+def test_vectors_of_train_and_test_line_up(spark):
+    train = spark.createDataFrame([(i % 4, i % 3, i % 2) for i in range(48)], "a int, b int, y int")
+    test = spark.createDataFrame([(0, 2, 0), (7, None, 1), (3, 0, 1)], "a int, b int, y int")  # unseen, null and missing codes
+    encode_ = models.OneHot(train, ["a", "b"])
+    assert {r["v"].size for rows in (train, test) for r in encode_(rows).collect()} == {5 + 4}
+    assert [r["v"].toArray().argmax() for r in encode_(test).collect()] == [0, 4, 3]
+    for fit in (models.naive_bayes, models.svm):
+        assert models.scored(fit(encode_(train)), encode_(test)).count() == 3
+
+
+def test_sgd_against_numpy(spark):
+    """Full-batch subgradient steps of the hinge loss, step / sqrt(t), with shrinking weights."""
+    rng = np.random.default_rng(2)
+    x = rng.standard_normal((80, 3))
+    y = (x @ [1.0, -2.0, 0.5] > 0).astype(int)
+    from pyspark.ml.linalg import Vectors
+
+    train = spark.createDataFrame([(Vectors.dense(v), float(c)) for v, c in zip(x.tolist(), y.tolist())], ["v", "y"])
+    model = models.svm(train, impl="sgd", iters=30, step=1.0, reg=0.1)
+    w, sign = np.zeros(3), 2 * y - 1
+    for t in range(1, 31):
+        wrong = sign * (x @ w) < 1
+        slope = -(sign[wrong, None] * x[wrong]).sum(0) / len(x)
+        w = w * (1 - 0.1 / np.sqrt(t)) - slope / np.sqrt(t)
+    assert np.allclose(np.array(model.weights), w, atol=1e-6)
+    assert metrics.auc(models.scored(model, train)).first()["auc"] > 0.95
+
+
+def test_numbering_and_bins_over_many_ranges(spark):
+    from featsift.plans.storage import looked_up, numbered
+
+    rows = spark.range(1000).selectExpr("cast(id * 7919 % 1000 as long) AS v", "id").repartition(5)
+    got = numbered(rows, ["v"], "at").collect()
+    assert sorted((r["v"], r["at"]) for r in got) == [(i, i) for i in range(1000)]
+    assert numbered(rows.limit(0), ["v"], "at").count() == 0
+    binned = encode.ntile_bins(rows.where("v < 103"), "v", 10, ["id"])
+    assert sorted(r["count"] for r in binned.groupBy("v_bin").count().collect()) == [10] * 7 + [11] * 3
+    keys = spark.createDataFrame([("hot", 1)] * 50 + [("cold", 2), (None, 3), ("none", 4)], "k string, i int")
+    found = spark.createDataFrame([("hot", 10, 50), ("cold", 20, 1), (None, 30, 1)], "k string, v int, n long")
+    assert sorted((r["i"], r["v"]) for r in looked_up(keys, found, ["k"], ["v"], "n", 53).distinct().collect() if r["i"] < 4) == [(1, 10), (2, 20), (3, 30)]
+    assert looked_up(keys, found, ["k"], ["v"], "n", 53).where("i = 4").first()["v"] is None

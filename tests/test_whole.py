@@ -1,4 +1,4 @@
-"""Queries on the whole input against brute force, where the SQL of their namesakes bounds it."""
+"""Queries on whole tables, every feature a candidate, against brute force."""
 
 import re
 
@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from featsift import catalogue
-from featsift.operators import baselines, sampling
+from featsift.operators import baselines, greedy, sampling
 from featsift.plans.dataset import Dataset
 from featsift.sources import workloads
 from featsift.sources.tables import table
@@ -65,7 +65,7 @@ def presence(spark, sf_dir):
 def test_every_token_is_a_candidate(spark, sf_dir, presence, criterion):
     names, x, y = presence
     assert len(names) > 200
-    got = catalogue.QUERIES[f"greedy_{criterion}_tokens_whole"](spark, sf_dir).orderBy("step").collect()
+    got = catalogue.QUERIES[f"greedy_{criterion}_tokens"](spark, sf_dir).orderBy("step").collect()
     want = brute(x, y, 6, criterion)
     assert [r["name"] for r in got] == [names[f] for f, _ in want]
     assert [r["score"] for r in got] == pytest.approx([s for _, s in want], abs=2e-6)
@@ -74,7 +74,7 @@ def test_every_token_is_a_candidate(spark, sf_dir, presence, criterion):
 def test_cells_of_every_token(spark, sf_dir, presence):
     names, x, y = presence
     j = x[:, names.index("idiot")] if "idiot" in names else np.zeros(len(y), np.int8)
-    got = {tuple(r) for r in catalogue.QUERIES["cells_sparse_3d_whole"](spark, sf_dir).select("name", "x", "j", "y", "c").collect()}
+    got = {tuple(r) for r in catalogue.QUERIES["cells_sparse_packed"](spark, sf_dir).select("name", "x", "j", "y", "c").collect()}
     want = set()
     for f, n in enumerate(names):
         codes, c = np.unique(np.stack([x[:, f], j, y], 1), axis=0, return_counts=True)
@@ -87,7 +87,7 @@ def test_every_position_is_a_candidate(spark, criterion):
     sf = "/root/testdata/sf0.01"
     rows = workloads.embed(spark, sf).df.toPandas()
     names = [f"e{i}" for i in range(64)]
-    got = catalogue.QUERIES[f"greedy_{criterion}_embed_whole"](spark, sf).orderBy("step").collect()
+    got = catalogue.QUERIES[f"greedy_{criterion}_embed"](spark, sf).orderBy("step").collect()
     want = brute(rows[names].to_numpy(np.int8), rows["y"].to_numpy(np.int8), 5, criterion)
     assert [r["name"] for r in got] == [names[f] for f, _ in want]
     assert [r["score"] for r in got] == pytest.approx([s for _, s in want], abs=2e-6)
@@ -96,7 +96,7 @@ def test_every_position_is_a_candidate(spark, criterion):
 
 def test_rare_tokens_have_a_relevance(spark, sf_dir, presence):
     names, x, y = presence
-    got = {r["name"]: r["rel"] for r in catalogue.QUERIES["relevance_tokens_toxic_whole"](spark, sf_dir).collect()}
+    got = {r["name"]: r["rel"] for r in catalogue.QUERIES["relevance_tokens_toxic"](spark, sf_dir).collect()}
     rel = np.maximum(_bits(x) + _bits(y[:, None]) - _bits(x, y[:, None]), 0)
     assert x.sum(0).min() == 1 and got == pytest.approx(dict(zip(names, rel)), abs=2e-6)
 
@@ -113,4 +113,17 @@ def test_rankings_are_fitted_to_the_training_rows(spark, sf_dir):
     train = Dataset(train, ds.features)
     fitted = catalogue.fitted_rankings(ds)
     assert fitted == {c: [s["name"] for s in baselines.sequential(train, 5, c)] for c in ("mim", "mrmr", "cmim")}
-    assert fitted != catalogue.RANKINGS
+    assert fitted["mrmr"][2] == "qty_band"
+
+
+@pytest.mark.parametrize("buckets", [64, 1 << 18])
+def test_hashed_sets_equal_their_dense_form(spark, sf_dir, buckets):
+    ds = workloads.token_set(spark, sf_dir, "quality", buckets=buckets)
+    posts, classes = ds.postings.toPandas(), ds.classes.toPandas().sort_values("row_id")
+    features, rows = np.unique(posts["feature"]), {r: i for i, r in enumerate(classes["row_id"])}
+    x = np.zeros((len(rows), len(features)), np.int8)
+    x[[rows[r] for r in posts["row_id"]], np.searchsorted(features, posts["feature"])] = 1
+    got = greedy.select(ds, 5, "mrmr").steps
+    want = brute(x, classes["y"].to_numpy(np.int8), 5, "mrmr")
+    assert [s["feature"] for s in got] == [features[f] for f, _ in want]
+    assert [s["score"] for s in got] == pytest.approx([s for _, s in want], abs=2e-6)
