@@ -4,11 +4,14 @@
    band keys.  Equal sets need no comparison.
 2. Rows that share a band key are candidates.  Each task links the rows of a key to one leader and sends on only the
    leader, so a key that a third of all rows share arrives once per task; connected candidates form neighbourhoods.
-3. Distinct sets of a neighbourhood meet in blocks of bounded bytes (pairs of blocks where there are several).
-   Signatures are compared batch by batch; a pair leaves as soon as the posterior probability that its similarity
-   reaches the threshold falls below the miss probability.  Survivors are verified on the full sets in order of their
-   estimate, except those whose ends already belong together.
-4. Verified links give the components.
+3. Distinct sets of a neighbourhood meet in blocks of bounded bytes.  Signatures are compared batch by batch; a pair
+   leaves as soon as the posterior probability that its similarity reaches the threshold falls below the miss
+   probability.  Survivors are verified on the full sets in order of their estimate, except those whose ends already
+   belong together.
+4. Where a neighbourhood has several blocks, one set of each group found so far meets the others', and then every set
+   that isn't in the neighbourhood's largest group meets all blocks.  Pairs inside one group add nothing, so a group of
+   near copies of any size costs about its own bytes, not their square; no other pair of the neighbourhood is left out.
+5. Verified links give the components.
 """
 
 from __future__ import annotations
@@ -24,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_text, maybe_among, saved
+from .common import id_text, looked_up, maybe_among, saved
 from .components import connected_components
 
 BANDS, ROWS = 42, 6
@@ -32,7 +35,7 @@ BANDS, ROWS = 42, 6
 BATCH = 36
 MISS = 1e-7
 #: Bytes of signatures and sets in one block.
-BLOCK_BYTES = 24 << 20
+BLOCK_BYTES = 2 << 20
 
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
@@ -126,15 +129,16 @@ def similar(a: np.ndarray, b: np.ndarray, threshold: Fraction) -> bool:
     return common * threshold.denominator >= (len(both) - common) * threshold.numerator
 
 
-def link_block(sigs: np.ndarray, sets: list[np.ndarray], threshold: Fraction, split: int | None = None) -> list[tuple[int, int]]:
-    """Links that connect a block as all its links would.  ``split``: only pairs across this position count."""
+def link_block(sigs: np.ndarray, sets: list[np.ndarray], threshold: Fraction, split: int | None = None, groups: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """Links that connect a block as all its links would.  ``split``: only pairs across this position count.  ``groups``: what belongs together already."""
     n = len(sets)
     if n < 2:
         return []
     t, hashes = float(threshold), sigs.shape[1]
     low = np.ascontiguousarray(sigs.astype(np.uint16).T)
     sizes = np.array([len(s) for s in sets], np.int64)
-    label, members, links = np.arange(n), {i: [i] for i in range(n)}, []
+    label, links = np.arange(n) if groups is None else np.unique(groups, return_inverse=True)[1], []
+    members = {g: np.flatnonzero(label == g).tolist() for g in np.unique(label).tolist()}
     found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
 
     def join(i: int, j: int) -> None:
@@ -279,65 +283,102 @@ def candidate_edges(rows: DataFrame, buckets: int) -> DataFrame:
     return first.where("payload IS NULL").select("u", "v").union(across).distinct()
 
 
-def verified_links(docs: DataFrame, groups: DataFrame, width: int, threshold: Fraction, block_bytes: int = BLOCK_BYTES) -> DataFrame:
-    """(u, v) of verified links inside each group.  groups: doc_id, component, n_shingles; one row per distinct set."""
-    spark = docs.sparkSession
-    size = F.col("n_shingles") * 8 + 4 * BANDS * ROWS
-    blocks = groups.groupBy("component").agg(F.ceil(F.sum(size) / block_bytes).cast("int").alias("blocks"), F.count("*").alias("n")).where("n > 1")
-    placed = groups.join(blocks, "component").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int"))
-    placed = saved(placed.select("doc_id", "component", "block", "blocks"), "placed")
-    text = maybe_among(docs, placed).where("_maybe").join(placed, "doc_id")
+def _in_blocks(groups: DataFrame, size: str, block_bytes: int, out: str) -> DataFrame:
+    """``groups`` of more than one row with the number of blocks of each component (``out``s) and the block of each row (``out``)."""
+    blocks = groups.groupBy("component").agg(F.ceil(F.sum(size) / block_bytes).cast("int").alias(f"{out}s"), F.count("*").alias("n"))
+    placed = looked_up(groups, saved(blocks, "blocks"), ["component"], [f"{out}s", "n"], "n", groups.count()).where("n > 1").drop("n")
+    return placed.withColumn(out, F.pmod(F.xxhash64("doc_id"), F.col(f"{out}s")).cast("int"))
 
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                found = [shingles(t.as_py(), width) for t in part.column(1)]
-                yield pa.RecordBatch.from_arrays([part.column(0), *part.columns[2:], pa.array([signature(s).tobytes() for s in found], pa.binary()), pa.array([s.tobytes() for s in found], pa.binary())], names=["doc_id", "component", "block", "blocks", "sig", "members"])
 
-    with_sets = text.select("doc_id", "text", "component", "block", "blocks").mapInArrow(sets, "doc_id long, component long, block int, blocks int, sig binary, members binary")
-    # a block meets itself and every other block of its group
-    pair = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda other: F.struct(F.least(other, F.col("block")).alias("i"), F.greatest(other, F.col("block")).alias("j")))
-    dealt = with_sets.select("doc_id", "component", "block", "sig", "members", F.explode(pair).alias("pair")).select("doc_id", "component", "pair.i", "pair.j", "block", "sig", "members")
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    dealt = dealt.repartition(4 * parts, "component", "i", "j").sortWithinPartitions("component", "i", "j", "block", "doc_id")
+def _linked(dealt: DataFrame, keys: list[str], threshold: Fraction, parts: int) -> DataFrame:
+    """(u, v) of the verified links inside each key, or across its two sides.  dealt: keys, side (0, 1 or null for none), label, doc_id, sig, members."""
+    dealt = dealt.select(*keys, "side", "label", "doc_id", "sig", "members").repartition(parts, *keys).sortWithinPartitions(*keys, "side", "doc_id")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids: list[int] = []
-        sigs: list[bytes] = []
-        members: list[bytes] = []
-        blocks: list[int] = []
-        key = None
+        now, held = None, []
         u: list[int] = []
         v: list[int] = []
 
         def close():
-            if len(ids) > 1:
-                s = np.frombuffer(b"".join(sigs), np.uint32).reshape(len(ids), -1)
-                split = None if key[1] == key[2] else blocks.count(key[1])
-                for i, j in link_block(s, [np.frombuffer(m, np.uint64) for m in members], threshold, split):
-                    u.append(ids[i])
-                    v.append(ids[j])
-            for x in (ids, sigs, members, blocks):
-                x.clear()
+            if len(held) > 1:
+                side, label, ids, sigs, sets = zip(*held)
+                split = None if side[0] is None else side.count(0)
+                if split is None or 0 < split < len(held):
+                    s = np.frombuffer(b"".join(sigs), np.uint32).reshape(len(ids), -1)
+                    for i, j in link_block(s, [np.frombuffer(m, np.uint64) for m in sets], threshold, split, None if label[0] is None else np.array(label)):
+                        u.append(ids[i])
+                        v.append(ids[j])
+            held.clear()
 
         for batch in batches:
-            for doc, *k, block, sig, member in zip(*(c.to_pylist() for c in batch.columns)):
-                if k != key:
+            for row in zip(*(c.to_pylist() for c in batch.columns)):
+                if row[: len(keys)] != now:
                     close()
-                    key = k
-                ids.append(doc)
-                blocks.append(block)
-                sigs.append(sig)
-                members.append(member)
+                    now = row[: len(keys)]
+                held.append(row[len(keys) :])
             yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["u", "v"])
-            u, v = [], []
+            u.clear()
+            v.clear()
         close()
         yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], names=["u", "v"])
 
     return dealt.mapInArrow(verify, "u long, v long")
 
 
+def _labelled(rows: DataFrame, links: DataFrame) -> DataFrame:
+    """``rows`` with the smallest id that each is linked to so far as label."""
+    found = connected_components(links).select(F.col("node"), F.col("component").alias("label"))
+    return rows.join(found, rows.doc_id == found.node, "left").drop("node").withColumn("label", F.coalesce("label", "doc_id"))
+
+
+def verified_links(docs: DataFrame, groups: DataFrame, width: int, threshold: Fraction, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """(u, v) of links that connect each group as all its links would.  groups: doc_id, component, n_shingles; one row per distinct set."""
+    parts = 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    sized = groups.select("doc_id", "component", (F.col("n_shingles") * 8 + 4 * BANDS * ROWS).alias("size"))
+    placed = saved(_in_blocks(sized, "size", block_bytes, "block"), "placed")
+    several = placed.where("blocks > 1")
+    many = bool(several.limit(1).count())
+    text = maybe_among(docs, placed).where("_maybe").join(placed, "doc_id")
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 500):
+                part = batch.slice(at, 500)
+                found = [shingles(t.as_py(), width) for t in part.column(1)]
+                yield pa.RecordBatch.from_arrays([part.column(0), *part.columns[2:], pa.array([signature(s).tobytes() for s in found], pa.binary()), pa.array([s.tobytes() for s in found], pa.binary())], names=["doc_id", "component", "block", "blocks", "sig", "members"])
+
+    with_sets = text.select("doc_id", "text", "component", "block", "blocks").mapInArrow(sets, "doc_id long, component long, block int, blocks int, sig binary, members binary")
+    if many:
+        with_sets = saved(with_sets, "sets")
+    none = [F.lit(None).cast("int").alias("side"), F.lit(None).cast("long").alias("label")]
+    links = _linked(with_sets.select("*", *none), ["component", "block"], threshold, parts)
+    if not many:
+        return links
+    sets_of = with_sets.select("doc_id", "sig", "members")
+
+    # the smallest id of each group stands for it
+    links = saved(links, "links")
+    labelled = saved(_labelled(several.select("doc_id", "component", "size", "block", "blocks"), links), "labelled")
+    heads = saved(_in_blocks(labelled.where("doc_id = label").select("doc_id", "component", "size"), "size", block_bytes, "part"), "heads")
+    links = saved(links.union(_linked(heads.join(sets_of, "doc_id").select("*", *none), ["component", "part"], threshold, parts)), "links")
+
+    # what isn't in the largest group of its component meets every block
+    labelled = saved(_labelled(labelled.drop("label"), links), "labelled")
+    often = labelled.groupBy("component", "label").agg(F.count("*").alias("n"))
+    largest = often.groupBy("component").agg(F.max_by("label", F.struct("n", "label")).alias("main"), F.sum("n").alias("n"))
+    largest = saved(largest, "largest")
+    labelled = saved(looked_up(labelled, largest, ["component"], ["main"], "n", labelled.count()), "labelled")
+    others = labelled.where("label != main")
+    chunks = others.groupBy("component").agg(F.ceil(F.sum("size") / block_bytes).cast("int").alias("parts"))
+    chunks = saved(chunks.join(largest.select("component", "n"), "component"), "chunks")
+    labelled = saved(looked_up(labelled, chunks, ["component"], ["parts"], "n", labelled.count()).where("parts IS NOT NULL"), "labelled")
+    others = labelled.where("label != main").withColumn("part", F.pmod(F.xxhash64("doc_id"), F.col("parts")).cast("int"))
+    here = labelled.select("doc_id", "label", "component", "block", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), F.lit(0).alias("side"))
+    there = others.select("doc_id", "label", "component", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "part", F.lit(1).alias("side"))
+    across = _linked(here.unionByName(there).join(sets_of, "doc_id"), ["component", "block", "part"], threshold, parts)
+    return links.union(across)
+
+
 def near_duplicates(docs: DataFrame, width: int = 5, threshold: Fraction = Fraction(3, 4), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_shingles, component_id (smallest id reachable by links) and kept, one row per row of ``docs``.
 
@@ -351,8 +392,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, threshold: Fraction = Fract
     near = saved(connected_components(candidate_edges(rows, buckets)), "neighbours")
     members = saved(rows.join(near, rows.doc_id == near.node).select("doc_id", "n_shingles", "key", "component"), "members")
     # one row for each distinct set; its other rows link to it
-    first = members.groupBy("component", "key").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n_shingles"))
-    equal = members.join(first.select("component", "key", F.col("doc_id").alias("v")), ["component", "key"]).where("doc_id != v").select(F.col("doc_id").alias("u"), "v")
+    first = saved(members.groupBy("component", "key").agg(F.min("doc_id").alias("doc_id"), F.first("n_shingles").alias("n_shingles"), F.count("*").alias("n")), "first")
+    total = members.count()
+    equal = looked_up(members, first.withColumnRenamed("doc_id", "v"), ["component", "key"], ["v"], "n", total).where("doc_id != v").select(F.col("doc_id").alias("u"), "v")
     links = verified_links(id_text(docs, id_col, text_col), first.select("doc_id", "component", "n_shingles"), width, threshold)
     found = connected_components(links.union(equal)).withColumnRenamed("node", "doc_id")
     out = rows.select("doc_id", "n_shingles").join(found, "doc_id", "left").withColumn("component_id", F.coalesce("component", "doc_id"))

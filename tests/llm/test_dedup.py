@@ -160,7 +160,7 @@ def near_corpus(seed):
     return texts + [None, "", "  \n", "one", "ONE", "a b c d", "é É"]
 
 
-@pytest.mark.parametrize("block_bytes", [24 << 20, 30_000])
+@pytest.mark.parametrize("block_bytes", [2 << 20, 30_000, 6_000])
 def test_near_duplicates_against_brute_force(spark, monkeypatch, block_bytes):
     monkeypatch.setattr(minhash_dedup.verified_links, "__defaults__", (block_bytes,))
     texts = near_corpus(5)
@@ -168,6 +168,25 @@ def test_near_duplicates_against_brute_force(spark, monkeypatch, block_bytes):
     assert [got[i] for i in range(len(texts))] == [(n, c, c == i) for i, (n, c) in enumerate(brute_near(texts))]
 
 
+def test_near_copies_in_one_large_group_and_bridges_between_blocks(spark, monkeypatch):
+    """Many near copies of one text, texts that only one of them is similar to, and two looser groups."""
+    monkeypatch.setattr(minhash_dedup.verified_links, "__defaults__", (8_000,))
+    rng = random.Random(4)
+    base = [f"w{i}" for i in range(60)]
+    texts = []
+    for i in range(80):
+        words = list(base)
+        words[rng.randrange(60)] = f"x{i}"
+        texts.append(" ".join(words))
+    drift = list(base)
+    for i in range(30):  # a chain that leaves the group step by step
+        drift[i] = f"d{i}"
+        texts.append(" ".join(drift))
+    rng.shuffle(texts)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in minhash_dedup.near_duplicates(frame(spark, texts).repartition(3)).collect()}
+    assert [got[i] for i in range(len(texts))] == brute_near(texts)
+
+
 def test_near_duplicates_edge_rows(spark):
     rows = frame(spark, ["a b c d e f", "a b c d e f", None, "a b c d e f", "g"], [7, 7, 8, None, None])
     got = sorted(((r.doc_id, r.component_id, r.kept) for r in minhash_dedup.near_duplicates(rows).collect()), key=str)
