@@ -26,7 +26,7 @@ MAX_LABELLED = 20_000
 LEAST_TOXIC, LEAST_LIFT, MAX_FEATURES = 3, 3.0, 20_000
 L2, COUNTERFACTUAL, ROUNDS = 0.02, 10.0, 400
 #: Rewritten texts looked at in one round; of more, the rounds take turns, each with every so many replacements.
-MOST_AT_ONCE = 2_000_000
+MOST_AT_ONCE = 400_000
 
 #: Neutral names of groups in the corpus' languages (fixed values).
 IDENTITY_TERMS = tuple(

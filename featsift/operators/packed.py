@@ -89,7 +89,15 @@ class DenseEngine:
 
         schema = "n int, top array<int>, y binary, w binary" + "".join(f", g{k} binary" for k in range(len(groups)))
         self.blocks = ds.columns().select(*self.features, "y", "_w").mapInArrow(pack, schema).persist(StorageLevel.MEMORY_AND_DISK)
-        tops = {r["pos"]: r["top"] for r in self.blocks.select(F.posexplode("top")).groupBy("pos").agg(F.max("col").alias("top")).collect()}
+        placed = self.blocks.select(F.spark_partition_id().alias("p"), F.posexplode("top"))
+        found = placed.groupBy("pos").agg(F.max("col").alias("top"), F.count_distinct("p").alias("spread"), F.count("*").alias("blocks")).collect()
+        tops = {r["pos"]: r["top"] for r in found}
+        cores = ds.df.sparkSession.sparkContext.defaultParallelism
+        if found and found[0]["spread"] < min(cores, found[0]["blocks"]):
+            # rows that came in fewer partitions than there are cores: their blocks are dealt anew
+            blocks, self.blocks = self.blocks, self.blocks.repartition(cores).persist(StorageLevel.MEMORY_AND_DISK)
+            self.blocks.count()
+            blocks.unpersist()
         #: Codes of each feature and of the class, null included.
         self.sizes, self.classes = [tops.get(i, 0) + 1 for i in range(n)], tops.get(n, 0) + 1
         bins = max(self.sizes, default=0)
@@ -233,7 +241,9 @@ class SparseEngine:
                 yield block(*(np.concatenate(c) for c in zip(*held)))
 
         rows = ds.postings.select(F.col("row_id").cast("long").alias("row_id"), F.col("feature").cast("long").alias("feature"), F.col("code").cast("int").alias("code"), F.col("y").cast("int").alias("y"))
-        dealt = rows.repartition("row_id").sortWithinPartitions("row_id")
+        spark = ds.vocabulary.sparkSession
+        parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+        dealt = rows.repartition(parts, "row_id").sortWithinPartitions("row_id")
         self.blocks = dealt.mapInArrow(pack, "ptr binary, feature binary, code binary, y binary").persist(StorageLevel.MEMORY_AND_DISK)
         self.class_counts = {int(r["y"]): r["c"] for r in ds.classes.groupBy("y").agg(F.count("*").alias("c")).collect()}
 

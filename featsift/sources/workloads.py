@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions import encode
 from ..plans.dataset import Dataset, SparseDataset
 from ..plans.layout import hashed_postings, to_postings
-from .tables import table
+from .tables import spread, table
 
 #: Feature orders (fixed values: they decide ties).
 GATE = ["qty", "qty_band", "disc", "disc_hi", "tax", "rf", "ls", "ln", "ship_month", "ship_quarter"]
@@ -53,7 +53,7 @@ def targets() -> dict[str, Column]:
 def lines(spark: SparkSession, sf_dir: str, target: str = "gate") -> Dataset:
     """The ten-column set of line items with the class ``target``: gate, xor, rare or noisy."""
     codes = line_codes()
-    df = table(spark, sf_dir, "lineitem").select(*[c.alias(f) for f, c in codes.items()], targets()[target].cast("int").alias("y"), "l_orderkey")
+    df = spread(table(spark, sf_dir, "lineitem")).select(*[c.alias(f) for f, c in codes.items()], targets()[target].cast("int").alias("y"), "l_orderkey")
     return Dataset(df, list(GATE), name=target)
 
 
@@ -74,7 +74,7 @@ def star(spark: SparkSession, sf_dir: str, widen: int = 0, target: str = "gate")
     part = encode.with_dictionary(encode.with_dictionary(part, "p_brand", "brand"), "p_type", "ptype").drop("p_brand", "p_type")
     supplier = t("supplier").select("s_suppkey", F.col("s_nationkey").cast("int").alias("snation"))
     codes = line_codes()
-    line = t("lineitem").select("l_orderkey", "l_partkey", "l_suppkey", *[c.alias(f) for f, c in codes.items()], (F.year("l_shipdate") - 1995).cast("int").alias("ship_year"), targets()[target].cast("int").alias("y"))
+    line = spread(t("lineitem")).select("l_orderkey", "l_partkey", "l_suppkey", *[c.alias(f) for f, c in codes.items()], (F.year("l_shipdate") - 1995).cast("int").alias("ship_year"), targets()[target].cast("int").alias("y"))
     df = line.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(customer, F.col("o_custkey") == F.col("c_custkey"))
     df = df.join(part, F.col("l_partkey") == F.col("p_partkey")).join(supplier, F.col("l_suppkey") == F.col("s_suppkey"))
     features = list(STAR)
@@ -113,7 +113,7 @@ def embed(spark: SparkSession, sf_dir: str, bins: int = 4, size: int = 64, binar
 
 def token_set(spark: SparkSession, sf_dir: str, target: str = "toxic", min_df: int = 1, ngram: int = 1, buckets: int | None = None) -> SparseDataset:
     """Tokens in the documents: those with labels (toxic, quality), or all with the class lang = 'en' (lang)."""
-    docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("row_id"), "text", "lang")
+    docs = spread(table(spark, sf_dir, "documents").select(F.col("doc_id").alias("row_id"), "text", "lang"))
     if target == "lang":
         classes = docs.select("row_id", F.when(F.col("lang") == "en", 1).otherwise(0).alias("y"))
     else:
