@@ -28,6 +28,8 @@ from .minhash_dedup import WORDS, mix, words_of
 BASE, PROBES, BITS_PER_ENTRY = 1.6, 3, 10
 #: Most bytes of words and filter in one broadcast.
 SEGMENT_BYTES = 320 << 20
+#: Word groups at least, and texts for each of the cells they make: what one task sorts.
+LEAST_GROUPS, TEXTS_OF_A_CELL = 16, 10_000
 #: Weight of the pair estimate.
 MIX = 0.3
 END = np.uint64(0xA5A5F00DCAFE1234)
@@ -283,9 +285,9 @@ def language_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     spark = docs.sparkSession
     rows = id_text(docs, id_col, text_col).select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
     if groups is None:  # cells of a size that one task sorts, whatever the corpus
-        groups = 8
+        groups = LEAST_GROUPS
         n = docs.count()
-        while groups * groups * 100_000 < n:
+        while groups * groups * TEXTS_OF_A_CELL < n:
             groups *= 2
     counts = count_ngrams(rows, groups)
     kinds = {r["kind"]: r for r in counts.groupBy("kind").agg(F.sum("n").alias("n"), F.sum("total").alias("total"), F.sum("steps").alias("steps")).collect()}
@@ -296,11 +298,16 @@ def language_scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     while segments < groups and 12 * distinct * (2 if segments > 1 else 1) / segments + pair_bytes / segments**2 > segment_bytes:
         segments *= 2
     sides = [range(i * groups // segments, (i + 1) * groups // segments) for i in range(segments)]
-    passes = [score_pass(rows, spark.sparkContext.broadcast(Model(blocks, groups, a, b)), total, distinct) for a in sides for b in sides]
-    found = passes[0]
-    if len(passes) > 1:
-        for more in passes[1:]:
-            found = found.union(more)
+    if segments == 1:
+        found = score_pass(rows, spark.sparkContext.broadcast(Model(blocks, groups, sides[0], sides[0])), total, distinct)
+    else:  # one model at a time: a pass is written before the next one is broadcast
+        found = None
+        for a in sides:
+            for b in sides:
+                model = spark.sparkContext.broadcast(Model(blocks, groups, a, b))
+                one = saved(score_pass(rows, model, total, distinct), "pass")
+                model.destroy()
+                found = one if found is None else found.union(one)
         found = found.groupBy("row", "doc_id").agg(*(F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")))
     held_out = (F.crc32(F.col("doc_id").cast("string").cast("binary")) % 10 == 0) | F.col("doc_id").isNull()
     return found.select("doc_id", held_out.alias("held_out"), "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), "base_score", "score")
