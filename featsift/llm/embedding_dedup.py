@@ -3,8 +3,10 @@
 Equal vectors are one node first.  Each table hashes a vector to ``k`` quantised Gaussian projections; vectors that
 agree in all of them share a bucket.  ``k`` follows from the number of vectors (so that buckets stay short) and the
 number of tables from the chance of a pair at the threshold to meet, so recall is the same at every size.  Buckets
-longer than a block are compared block by block.  A pair is counted by the first table in which it meets, so links
-can be counted without ever being listed; what leaves a task is a count per vector and a star per local component.
+longer than a block are compared block by block.  What travels to the buckets is a sketch of each vector, the signs of
+more projections; the vectors themselves follow only where a sketch is near another one's.  A pair is counted by the
+first table in which it meets, so links can be counted without ever being listed; what leaves a task is a count per
+vector and a star per local component.
 """
 
 from __future__ import annotations
@@ -17,12 +19,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved
+from .common import looked_up, saved
 from .components import connected_components
 from .minhash_dedup import mix
 
 #: Width of a projection's cells, vectors in a block, chance of a pair at the threshold to be missed.
 WIDTH, BLOCK, MISSED = 1.0, 1024, 0.002
+#: Signs of a sketch, and the chance of a pair at the threshold to be taken for a distant one.
+SKETCH, SKETCH_MISSED = 128, 1e-9
 
 
 def meeting_chance(distance: float, width: float = WIDTH) -> float:
@@ -53,6 +57,22 @@ def bucket_keys(x: np.ndarray, k: int, tables: int) -> np.ndarray:
     return key
 
 
+def sketch_bound(threshold: float) -> int:
+    """Signs in which two vectors may differ: pairs at the threshold differ in more with a chance below SKETCH_MISSED."""
+    p, tail = math.acos(threshold) / math.pi, 1.0
+    for h in range(SKETCH + 1):
+        tail -= math.comb(SKETCH, h) * p**h * (1 - p) ** (SKETCH - h)
+        if tail < SKETCH_MISSED:
+            return h
+    return SKETCH
+
+
+def sketches(x: np.ndarray) -> np.ndarray:
+    """Signs of SKETCH projections as 64-bit words, one row for each vector."""
+    signs = x @ np.random.default_rng(40_961).standard_normal((x.shape[1], SKETCH)) > 0
+    return np.packbits(signs, axis=1).view(np.int64)
+
+
 def _usable(values) -> np.ndarray | None:
     """The vector in double precision, or None if it links with nothing."""
     if values is None or not values or any(v is None for v in values):
@@ -110,17 +130,48 @@ def bucket_links(nodes: DataFrame, threshold: float, k: int, tables: int, kind:
             blobs = batch.column(1).to_pylist()
             for size in sorted({len(b) for b in blobs}):
                 at = [i for i, b in enumerate(blobs) if len(b) == size]
-                keys = normalised([blobs[i] for i in at])[1].view(np.int64)
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(at)), pa.array(list(keys), pa.list_(pa.int64()))], names=["node", "keys"])
+                x, keys = normalised([blobs[i] for i in at])
+                signs = sketches(x)
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(at)), pa.array(list(keys.view(np.int64)), pa.list_(pa.int64())), pa.array(signs[:, 0]), pa.array(signs[:, 1])], names=["node", "keys", "s0", "s1"])
 
-    dealt = saved(nodes.select("node", "x").mapInArrow(hashed, "node long, keys array<long>"), "hashed")
-    dealt = dealt.select("node", F.posexplode("keys").alias("t", "key"))
+    dealt = saved(nodes.select("node", "x").mapInArrow(hashed, "node long, keys array<long>, s0 long, s1 long"), "hashed")
+    dealt = dealt.select("node", "s0", "s1", F.posexplode("keys").alias("t", "key"))
     sizes = dealt.groupBy("t", "key").agg(F.count("*").alias("size")).where("size > 1")
-    placed = dealt.join(sizes, ["t", "key"]).withColumn("blocks", F.ceil(F.col("size") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+    placed = looked_up(dealt, saved(sizes, "sizes"), ["t", "key"], ["size"], "size", nodes.count() * tables).where("size IS NOT NULL").withColumn("blocks", F.ceil(F.col("size") / BLOCK).cast("int")).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     pair = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda o: F.struct(F.least(o, F.col("block")).alias("i"), F.greatest(o, F.col("block")).alias("j")))
-    placed = placed.select("node", "t", "key", "block", F.explode(pair).alias("p")).select("node", "t", "key", "p.i", "p.j", "block")
-    full = placed.join(nodes, "node")
-    parts = 4 * int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    placed = placed.select("node", "s0", "s1", "t", "key", "block", F.explode(pair).alias("p")).select("t", "key", "p.i", "p.j", "block", "node", "s0", "s1")
+    parts, bound = 4 * int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")), sketch_bound(threshold)
+
+    def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows with another one of their blocks within the bound."""
+        now, held = None, []
+
+        def close():
+            if len(held) < 2:
+                return None
+            block, node, s0, s1 = zip(*held)
+            a, b = np.array(s0, np.int64).view(np.uint64), np.array(s1, np.int64).view(np.uint64)
+            link = np.bitwise_count(a[:, None] ^ a) + np.bitwise_count(b[:, None] ^ b) <= bound
+            np.fill_diagonal(link, False)
+            if now[2] != now[3]:
+                split = block.count(now[2])
+                link[:split, :split] = link[split:, split:] = False
+            found = np.flatnonzero(link.any(axis=1))
+            columns = [pa.array([v] * len(found), k) for v, k in zip(now, (pa.int32(), pa.int64(), pa.int32(), pa.int32()))]
+            return pa.RecordBatch.from_arrays([*columns, pa.array(np.array(block, np.int32)[found]), pa.array(np.array(node, np.int64)[found])], names=["t", "key", "i", "j", "block", "node"])
+
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns)):
+                if row[:4] != now:
+                    if (out := close()) is not None:
+                        yield out
+                    now, held = row[:4], []
+                held.append(row[4:])
+        if (out := close()) is not None:
+            yield out
+
+    sifted = placed.repartition(parts, "t", "key", "i", "j").sortWithinPartitions("t", "key", "i", "j", "block", "node")
+    full = sifted.mapInArrow(near, "t int, key long, i int, j int, block int, node long").join(nodes, "node")
     full = full.select("t", "key", "i", "j", "block", "node", "n", "x").repartition(parts, "t", "key", "i", "j").sortWithinPartitions("t", "key", "i", "j", "block", "node")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -106,6 +106,19 @@ def test_embedding_links_against_brute_force(spark, monkeypatch):
     assert embedding_dedup.near_vectors(df.limit(0)).count() == 0
 
 
+def test_sketches_keep_pairs_at_the_threshold():
+    bound = embedding_dedup.sketch_bound(0.95)
+    assert 20 < bound < 45
+    rng = np.random.default_rng(9)
+    a = rng.standard_normal((3000, 24))
+    a /= np.linalg.norm(a, axis=1)[:, None]
+    b = rng.standard_normal((3000, 24))
+    b -= (a * b).sum(1)[:, None] * a
+    b = 0.95 * a + math.sqrt(1 - 0.95**2) * b / np.linalg.norm(b, axis=1)[:, None]
+    words = (embedding_dedup.sketches(a) ^ embedding_dedup.sketches(b)).view(np.uint64)
+    assert np.bitwise_count(words).sum(axis=1).max() <= bound
+
+
 @pytest.mark.parametrize("segment_bytes", [1 << 30, 4000])
 def test_language_scores(spark, segment_bytes):
     rng = random.Random(6)
