@@ -12,10 +12,10 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import DoubleType, StructField, StructType
 
 from .common import looked_up, saved
 from .toxicity import labelled_sample
@@ -95,16 +95,13 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", most: int =
 
 
 def evidence(rows: DataFrame, model: QualityModel) -> DataFrame:
-    """``rows`` with the log odds of each document alone as a last column.  rows: a column _text, and any others."""
+    """``rows`` with the log odds of each document alone in place of its _text.  Only texts go to Python, and one number comes back."""
     shared = rows.sparkSession.sparkContext.broadcast(model)
-    at, schema = rows.columns.index("_text"), StructType([*rows.schema.fields, StructField("_log_odds", DoubleType())])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            x = np.array([shape(t.as_py()) for t in batch.column(at)]).reshape(-1, len(FEATURES))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(shared.value.log_odds(x), pa.float64())], names=schema.names)
+    def log_odds(texts: pd.Series) -> pd.Series:
+        return pd.Series(shared.value.log_odds(np.array([shape(t) for t in texts]).reshape(-1, len(FEATURES))))
 
-    return rows.mapInArrow(run, schema)
+    return rows.withColumn("_log_odds", F.pandas_udf(log_odds, "double")("_text")).drop("_text")
 
 
 def _strength(sites: DataFrame, rate: str, prior: str) -> float:
@@ -167,7 +164,7 @@ def quality_posteriors(docs: DataFrame, labels: DataFrame, host: Column | None =
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *_levels(host, path))
     model = fit(rows.select("doc_id", F.col("_text").alias("text")), labels)
-    found = posterior(saved(evidence(rows, model).drop("_text"), "evidence"), model.base_rate, keep)
+    found = posterior(saved(evidence(rows, model), "evidence"), model.base_rate, keep)
     return found.select("doc_id", *[F.col(f"_{c}").alias(c) for c in ("host", "path", "p_document", "p_host", "p_path", "score", "kept")])
 
 
@@ -178,5 +175,5 @@ def keep_good(docs: DataFrame, labels: DataFrame, host: Column | None = None, pa
     """
     rows = docs.select("*", *_levels(host, path))
     model = fit(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")), labels)
-    found = posterior(saved(evidence(rows, model).drop("_text"), "evidence"), model.base_rate, keep)
+    found = posterior(saved(evidence(rows, model), "evidence"), model.base_rate, keep)
     return found.where("_kept").select(*docs.columns)
