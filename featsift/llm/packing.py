@@ -166,7 +166,7 @@ def place_pieces(pieces: DataFrame, capacity: int = 1024, each: int = 200_000) -
     """
     spark = pieces.sparkSession
     histogram = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
-    buckets = parts_for(sum(histogram.values()), each)
+    buckets = parts_for(sum(histogram.values()), each, int(spark.conf.get("spark.sql.shuffle.partitions")))
     intervals: dict[int, list[tuple]] = {}
     used, sequence = dict.fromkeys(histogram, 0), 0
     for often, pattern in plan_windows(histogram, capacity):
