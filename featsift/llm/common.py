@@ -2,25 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_OWN: dict[str, str] = {}
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; one of our own only in local mode, where the session names none."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not base:
-        if not spark.sparkContext.master.startswith("local"):
-            raise RuntimeError("spark.checkpoint.dir names no folder that driver and executors share")
-        base = _OWN.setdefault("dir", tempfile.mkdtemp(prefix="featsift-"))
-        spark.sparkContext.setCheckpointDir(base)
-    return base
+from ..plans.storage import looked_up, shared_dir  # noqa: F401
 
 
 def saved(df: DataFrame, name: str) -> DataFrame:
@@ -76,25 +64,3 @@ def maybe_among(rows: DataFrame, ids: DataFrame, id_col: str = "doc_id", other_c
     placed = rows.withColumn("_word", F.shiftright(_place(own), 6))
     here = F.expr(f"coalesce(shiftrightunsigned(_bits, cast(pmod(xxhash64({own}), 64) as int)) & 1L, 0L) = 1L")
     return placed.join(F.broadcast(words), "_word", "left").withColumn("_maybe", here).drop("_word", "_bits")
-
-
-#: Keys of more than 1 / (HOT_PARTS * partitions) of all rows are broadcast: there are at most HOT_PARTS * partitions.
-HOT_PARTS = 8
-
-
-def looked_up(rows: DataFrame, found: DataFrame, keys: list[str], values: list[str], weight: str, total: int) -> DataFrame:
-    """``rows`` with the values that ``found`` has for their keys, null where it has none; null keys are equal.
-
-    ``found`` has one row for each key and in ``weight`` the number of rows that have it.  Keys with a large share of the
-    ``total`` are few whatever the size, so they are broadcast and their rows stay where they are; all others join by key.
-    ``rows`` is read twice.
-    """
-    bound = max(1, int(total) // (HOT_PARTS * int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    named = found.select(*[F.col(k).alias(f"_k{i}") for i, k in enumerate(keys)], *[F.col(v).alias(f"_v{i}") for i, v in enumerate(values)], F.col(weight).alias("_n"), F.lit(True).alias("_here"))
-    match = F.lit(True)
-    for i, k in enumerate(keys):
-        match = match & F.col(k).eqNullSafe(F.col(f"_k{i}"))
-    hot = rows.join(F.broadcast(named.where(F.col("_n") > bound)), match, "left")
-    rest = hot.where("_here IS NULL").select(*rows.columns).join(named.where(F.col("_n") <= bound), match, "left")
-    both = hot.where("_here").unionByName(rest)
-    return both.select(*rows.columns, *[F.col(f"_v{i}").alias(v) for i, v in enumerate(values)])

@@ -50,6 +50,18 @@ def test_packing_places_every_id_once(spark):
     assert packing.pack(frame(spark, []), path).count() == 0
 
 
+def test_rows_without_id_and_with_repeated_ids_are_texts_of_their_own(spark):
+    texts, ids = ["one two", "three", "three", None, "x " * 5000], [7, 7, None, None, 7]
+    pieces = packing.pack(frame(spark, texts, ids), tokenizer_file("byte_bpe_50k.json")).collect()
+    assert sorted(str(r.doc_id) for r in pieces if r.start == 0) == ["7", "7", "7", "None", "None"]
+    path = tokenizer_file("piece_bpe_32k.model")
+    coded = sentencepiece_codec.codec_digest(frame(spark, texts, ids), path)
+    assert coded.count() == 5 and coded.where("doc_id IS NULL").count() == 2
+    assert sentencepiece_codec.codec_digest(frame(spark, []), path).count() == 0
+    scores = ngram_lm.language_scores(frame(spark, texts, ids)).collect()
+    assert sorted((str(r.doc_id), r.n_tokens, r.held_out) for r in scores) == [("7", 2, False), ("7", 3, False), ("7", 5001, False), ("None", 1, True), ("None", 2, True)]
+
+
 def test_bin_slack_plan_uses_up_the_histogram():
     rng = random.Random(2)
     for _ in range(20):
