@@ -10,25 +10,27 @@ from featsift.llm.queries import tokenizer_file
 
 
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose posterior quality is low go; decided by row."""
+    """Documents whose posterior quality is low go; decided by row, so null and repeated ids make no difference.  Null texts are judged as empty; no rows give none."""
     return quality.keep_good(docs, table(spark, sf_dir, "labels"))
 
 
 def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of equal texts the smallest id stays; decided by id and text.  Null texts are empty; rows without an id stay; no rows give none."""
     return exact_dedup.drop_exact_duplicates(docs)
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays."""
+    """One document of each group of near-duplicates stays.  Rows that repeat an id are one document and share its fate; rows without an id or without words stay; no rows give none."""
     return minhash_dedup.drop_near_duplicates(docs)
 
 
 def repeats_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Passages of 100 bytes and more that stand earlier in the corpus are cut out."""
+    """Passages of 100 bytes and more that stand earlier in the corpus are cut out; all rows stay.  Null texts stay null, rows without an id are left as they are; no rows give none."""
     return suffix_dedup.without_repeats(docs)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every row's ids in sequences of 1024 at most, rows that repeat an id each on its own; null texts are empty; no rows give none."""
     return packing.pack(docs, tokenizer_file("byte_bpe_50k.json"))
 
 
@@ -40,7 +42,7 @@ STAGES = [
     ("packing", packing_stage),
 ]
 
-#: The classifier, MinHash components and tokenizer aren't SQL; tests compare every stage with brute force.
+#: The classifier, MinHash components and tokenizer aren't SQL; tests compare every stage, and run(), with brute force on all documents of the smallest scale.
 ORACLE_SQL = None
 
 

@@ -537,11 +537,17 @@ def extrapolated_times(spark, sf_dir):
     return spark.createDataFrame([(x, round(metrics.extrapolate_linear(points, x), 2)) for x in (40, 80)], "rows int, seconds double")
 
 
-@query()
+_RANKED = ("mrmr", "mim", "mifs", "jmi", "cmi", "cmim", "icap")
+
+
+@query(f"""WITH r AS MATERIALIZED ({' UNION ALL '.join(f"SELECT '{c}' AS c, step, name FROM ({oracle.greedy(oracle.lines('gate'), GATE, c, 5)})" for c in _RANKED)}), b AS (SELECT step, name FROM r WHERE c = 'mrmr'),
+    o AS (SELECT x.c, count(*) AS n FROM r x JOIN r z ON x.c = z.c AND x.step < z.step JOIN b bx ON bx.name = x.name JOIN b bz ON bz.name = z.name WHERE bx.step > bz.step GROUP BY x.c)
+    SELECT r.c AS criterion, count(b.name) / 5.0::DOUBLE AS overlap, CAST(coalesce(any_value(o.n), 0) AS INT) AS distance, count(*) FILTER (r.step <= 3 AND r.name IN ('disc', 'tax', 'qty')) / 3.0::DOUBLE AS recovered
+    FROM r LEFT JOIN b ON b.name = r.name LEFT JOIN o ON o.c = r.c GROUP BY r.c""")
 def agreement_of_criteria(spark, sf_dir):
     """Overlap and order distance of each criterion's ranking with the benchmark criterion's, and planted features found."""
     ds = workloads.lines(spark, sf_dir)
-    ranked = {c: greedy.select(ds, 5, c).names for c in ("mrmr", "mim", "mifs", "jmi", "cmi", "cmim", "icap")}
+    ranked = {c: greedy.select(ds, 5, c).names for c in _RANKED}
     rows = [(c, metrics.overlap(r, ranked["mrmr"]), metrics.kendall_distance(r, ranked["mrmr"]), metrics.recovery(r, workloads.PLANTED)) for c, r in ranked.items()]
     return spark.createDataFrame(rows, "criterion string, overlap double, distance int, recovered double")
 
