@@ -16,7 +16,7 @@ from .operators import baselines, counts, greedy, metrics, models, relevance, sa
 from .operators.packed import SparseEngine
 from .plans import layout
 from .plans.dataset import Dataset, SparseDataset
-from .plans.storage import saved, shared_dir
+from .plans.storage import folder, saved
 from .sources import generator, tables, workloads
 from .sources.tables import table
 from .sources.workloads import GATE, STAR
@@ -219,7 +219,7 @@ query(oracle.greedy(oracle.lines("gate"), GATE, "jmi", 5), "greedy_frame_jmi")(l
 @query(_MRMR)
 def greedy_resumed_mrmr(spark, sf_dir):
     """Three rounds that are logged, then five that continue from the log."""
-    log = f"{shared_dir(spark)}/featsift/log-{uuid.uuid4().hex}"
+    log = f"{folder(spark)}/log-{uuid.uuid4().hex}"
     greedy.select(workloads.lines(spark, sf_dir), 3, "mrmr", resume=log)
     return scored(greedy.select(workloads.lines(spark, sf_dir), 5, "mrmr", resume=log))
 
@@ -847,7 +847,7 @@ def generated_rows(spark, sf_dir):
 
 # --- sources, sinks and the pipeline stage ---------------------------------------------------------------------------
 def _path(spark, name: str) -> str:
-    return f"{shared_dir(spark)}/featsift/{name}-{uuid.uuid4().hex}"
+    return f"{folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 _GATE_RELEVANCE = oracle.relevance(oracle.lines("gate"), GATE)
@@ -932,14 +932,14 @@ def estimator_selection(spark, sf_dir):
 # --- streaming ------------------------------------------------------------------------------------------------------
 def _events_dir(spark, sf_dir: str) -> str:
     """The events as a folder of files in the shared folder, which is what the file source reads."""
-    path = f"{shared_dir(spark)}/featsift/events-{uuid.uuid4().hex}"
+    path = f"{folder(spark)}/events-{uuid.uuid4().hex}"
     table(spark, sf_dir, "events").repartitionByRange(4, "ts").write.parquet(path)
     return path
 
 
 def _in_order(spark, sf_dir: str, parts: list[str]) -> str:
     """The events as one file for each condition, in this order of arrival."""
-    path = f"{shared_dir(spark)}/featsift/events-{uuid.uuid4().hex}"
+    path = f"{folder(spark)}/events-{uuid.uuid4().hex}"
     for k, part in enumerate(parts):
         table(spark, sf_dir, "events").where(part).coalesce(1).write.mode("append").parquet(path)
         if k + 1 < len(parts):
@@ -951,7 +951,7 @@ def _run(df: DataFrame, mode: str) -> DataFrame:
     """Runs a stream over what is there: appended rows go to files, other modes (small results) to a table in memory."""
     name = f"fs_{uuid.uuid4().hex}"
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/featsift/{name}"
+    path = f"{folder(spark)}/{name}"
     writer = df.writeStream.outputMode(mode).option("checkpointLocation", f"{path}-checkpoint").trigger(availableNow=True)
     writer = writer.format("parquet").option("path", path) if mode == "append" else writer.format("memory").queryName(name)
     writer.start().awaitTermination()
@@ -981,7 +981,7 @@ def stream_session_counts(spark, sf_dir):
 
 @query(oracle.relevance(oracle.events(), oracle.event_features()))
 def stream_running_ranking(spark, sf_dir):
-    base = f"{shared_dir(spark)}/featsift/running-{uuid.uuid4().hex}"
+    base = f"{folder(spark)}/running-{uuid.uuid4().hex}"
     streaming.running_ranking(streaming.events(spark, _events_dir(spark, sf_dir), 1), f"{base}/cells", f"{base}/checkpoint").awaitTermination()
     name = F.element_at(F.array(*[F.lit(f) for f in workloads.EVENTS]), F.col("feature") + 1)
     return streaming.ranking(spark, f"{base}/cells").select(name.alias("name"), r6("rel").alias("rel"))
@@ -1013,7 +1013,7 @@ def _drift_sql() -> str:
 @query(_drift_sql())
 def stream_relevance_drift(spark, sf_dir):
     """How relevance moves from batch to batch."""
-    base = f"{shared_dir(spark)}/featsift/drift-{uuid.uuid4().hex}"
+    base = f"{folder(spark)}/drift-{uuid.uuid4().hex}"
     streaming.relevance_drift(streaming.events(spark, _in_order(spark, sf_dir, _BATCHES), 1), base, f"{base}/checkpoint").awaitTermination()
     name = F.element_at(F.array(*[F.lit(f) for f in workloads.EVENTS]), F.col("feature") + 1)
     return spark.read.parquet(f"{base}/drift").select("batch", name.alias("name"), r6("rel").alias("rel"), r6("before").alias("before"), r6("change").alias("change"))

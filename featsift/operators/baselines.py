@@ -14,6 +14,8 @@ from ..plans.storage import numbered
 from .counts import contingency
 from .relevance import named
 
+#: Columns that the forest assembles into one vector at most.
+MAX_FOREST = 5_000
 #: Rows that the one-core baseline takes into memory at most.
 MAX_ROWS = 20_000_000
 
@@ -73,6 +75,8 @@ def chi_square(ds: Dataset, k: int) -> DataFrame:
 
 def forest_importance(ds: Dataset, k: int, trees: int = 20, depth: int = 5, seed: int = 7) -> DataFrame:
     """step, name, importance by a random forest: the embedded method among the baselines."""
+    if len(ds.features) > MAX_FOREST:
+        raise ValueError(f"{len(ds.features)} columns; at most {MAX_FOREST}")
     from pyspark.ml.classification import RandomForestClassifier
     from pyspark.ml.feature import VectorAssembler
 

@@ -25,10 +25,21 @@ def shared_dir(spark: SparkSession) -> str:
     return base
 
 
+def folder(spark: SparkSession) -> str:
+    """Where this application's tables are."""
+    return f"{shared_dir(spark)}/featsift/{spark.sparkContext.applicationId}"
+
+
+def clear(spark: SparkSession) -> None:
+    """Deletes all tables that this application has written between steps; results read from them must be stored first."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder(spark))
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def saved(df: DataFrame, name: str, partitions: int | None = None, by: str | None = None) -> DataFrame:
     """Writes a table and reads it back: plans stay small, and a lost executor costs no recomputation."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/featsift/{name}-{uuid.uuid4().hex}"
+    path = f"{folder(spark)}/{name}-{uuid.uuid4().hex}"
     if by:
         df = df.repartition(by) if partitions is None else df.repartition(partitions, by)
         df = df.sortWithinPartitions(by)
