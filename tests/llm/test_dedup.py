@@ -160,7 +160,7 @@ def near_corpus(seed):
     return texts + [None, "", "  \n", "one", "ONE", "a b c d", "é É"]
 
 
-@pytest.mark.parametrize("block_bytes", [2 << 20, 30_000, 6_000])
+@pytest.mark.parametrize("block_bytes", [2 << 20, 6_000])
 def test_near_duplicates_against_brute_force(spark, monkeypatch, block_bytes):
     monkeypatch.setattr(minhash_dedup.verified_links, "__defaults__", (block_bytes,))
     texts = near_corpus(5)
@@ -218,8 +218,7 @@ def brute_exact(texts, ids):
     return sorted(out, key=str)
 
 
-@pytest.mark.parametrize("key_bits", [64, 4, 1])
-@pytest.mark.parametrize("capacity", [1, 1000])
+@pytest.mark.parametrize(("key_bits", "capacity"), [(64, 1), (64, 1000), (4, 1), (1, 1000)])
 def test_exact_duplicates(spark, key_bits, capacity):
     """Fewer key bits make chains of different texts, which only their bytes tell apart."""
     rng = random.Random(3)
