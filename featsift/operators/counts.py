@@ -55,7 +55,7 @@ def _explode(ds: Dataset, j: str | None) -> DataFrame:
 
 def _arrow(ds: Dataset, j: str | None) -> DataFrame:
     """Features in sets whose arrays keep within a budget; each set reads its own columns."""
-    cards = ds.only(list(dict.fromkeys([*ds.features, *([j] if j else [])]))).cards
+    cards = ds.cards if not j or j in ds.features else ds.only([*ds.features, j]).cards
     rest = ((cards[j] if j else 1) + 1) * (cards[ds.label] + 1)
     partial = None
     for part in column_sets([(cards[f] + 1) * rest for f in ds.features]):
