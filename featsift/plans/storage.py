@@ -65,8 +65,8 @@ def numbered(df: DataFrame, order: Sequence[Column | str], out: str, first: int
     return ranged.withColumn("_place", place).join(starts, "_range").withColumn(out, F.col("_start") + F.col("_place") - 1).drop("_range", "_place", "_start")
 
 
-def looked_up(rows: DataFrame, found: DataFrame, keys: list[str], values: list[str], weight: str, total: int) -> DataFrame:
-    """``rows`` with the values that ``found`` has for their keys, null where it has none; null keys are equal.
+def looked_up(rows: DataFrame, found: DataFrame, keys: list[str], values: list[str], weight: str, total: int, nulls: bool = False) -> DataFrame:
+    """``rows`` with the values that ``found`` has for their keys, null where it has none.  ``nulls``: null keys are equal.
 
     ``found`` has one row for each key and in ``weight`` the number of rows that have it.  Keys with a large share of the
     ``total`` are few whatever the size, so they are broadcast and their rows stay where they are; all others join by key.
@@ -76,7 +76,7 @@ def looked_up(rows: DataFrame, found: DataFrame, keys: list[str], values: list[s
     named = found.select(*[F.col(k).alias(f"_k{i}") for i, k in enumerate(keys)], *[F.col(v).alias(f"_v{i}") for i, v in enumerate(values)], F.col(weight).alias("_n"), F.lit(True).alias("_here"))
     match = F.lit(True)
     for i, k in enumerate(keys):
-        match = match & F.col(k).eqNullSafe(F.col(f"_k{i}"))
+        match = match & (F.col(k).eqNullSafe(F.col(f"_k{i}")) if nulls else F.col(k) == F.col(f"_k{i}"))
     hot = rows.join(F.broadcast(named.where(F.col("_n") > bound)), match, "left")
     rest = hot.where("_here IS NULL").select(*rows.columns).join(named.where(F.col("_n") <= bound), match, "left")
     both = hot.where("_here").unionByName(rest)
