@@ -25,20 +25,23 @@ def _small_star(edges: DataFrame, n: int) -> DataFrame:
     return moved.union(least.select("u", F.col("m").alias("v"))).distinct()
 
 
+def _settled(edges: DataFrame) -> bool:
+    """Whether every node has one edge, to a node that has none: each group is a star around its smallest id."""
+    often = edges.groupBy("u").agg(F.count("*").alias("n"))
+    wrong = often.where("n > 1").select("u").union(often.join(edges.select(F.col("v").alias("u")).distinct(), "u", "left_semi").select("u"))
+    return not wrong.limit(1).count()
+
+
 def connected_components(edges: DataFrame, a: str = "u", b: str = "v") -> DataFrame:
     """(node, component): the smallest id reachable, for every node that some edge joins to another one.
 
     Edges may repeat and go either way; those with a null or equal ends are ignored.  No edges: no rows.
     """
     work = edges.where(f"{a} != {b}").select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).distinct()
-    work, last = saved(work, "edges"), None
-    while True:
-        # equal sums of equal numbers of 64-bit hashes: nothing moved
-        mark = work.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if mark == last or not mark[0]:
-            break
-        last = mark
-        star = saved(_large_star(work, mark[0]), "edges")
-        work = saved(_small_star(star, mark[0]), "edges")
+    work = saved(work, "edges")
+    while not _settled(work):
+        n = work.count()
+        star = saved(_large_star(work, n), "edges")
+        work = saved(_small_star(star, n), "edges")
     roots = work.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
     return work.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots)

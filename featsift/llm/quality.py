@@ -134,10 +134,10 @@ def posterior(scored: DataFrame, base_rate: float, keep: float = KEEP) -> DataFr
     hosts = paths.groupBy("_host").agg(F.sum("n").alias("n"), F.sum("good").alias("good"), F.count("*").alias("paths")).withColumn("rate", F.col("good") / F.col("n")).withColumn("prior", F.lit(float(overall)))
     k = _strength(hosts, "rate", "prior")
     hosts = hosts.select("_host", "paths", ((F.col("good") + k * F.col("prior")) / (F.col("n") + k)).alias("p_host"))
-    sites = looked_up(paths, hosts, ["_host"], ["p_host"], "paths", paths.count()).withColumn("rate", F.col("good") / F.col("n"))
+    sites = looked_up(paths, hosts, ["_host"], ["p_host"], "paths", paths.count(), nulls=True).withColumn("rate", F.col("good") / F.col("n"))
     k = _strength(sites, "rate", "p_host")
     sites = sites.withColumn("p_path", (F.col("good") + k * F.col("p_host")) / (F.col("n") + k))
-    both = looked_up(scored, sites, ["_host", "_path"], ["p_host", "p_path"], "n", total["n"])
+    both = looked_up(scored, sites, ["_host", "_path"], ["p_host", "p_path"], "n", total["n"], nulls=True)
     odds = F.col("_log_odds") - float(np.log(base_rate / (1 - base_rate))) + logit(F.col("p_path"))
     both = both.withColumn("_score", 1 / (1 + F.exp(-odds)))
     return both.withColumnsRenamed({"p_host": "_p_host", "p_path": "_p_path"}).withColumn("_p_document", p).withColumn("_kept", F.col("_score") >= keep)
