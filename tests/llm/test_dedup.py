@@ -6,7 +6,7 @@ from fractions import Fraction
 import numpy as np
 import pytest
 
-from featsift.llm import exact_dedup, minhash_dedup, suffix_dedup
+from featsift.llm import components, exact_dedup, minhash_dedup, suffix_dedup
 from featsift.llm.components import connected_components
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, key string, component string, span string, bucket string"
@@ -200,10 +200,32 @@ def test_pruning_keeps_pairs_at_the_threshold():
     assert not minhash_dedup.similar(np.arange(74, dtype=np.uint64), np.arange(100, dtype=np.uint64), Fraction(3, 4))
 
 
-def test_components_of_chains_and_stars(spark):
+@pytest.mark.parametrize("at_once", [500_000, 30])
+def test_components_of_chains_and_stars(spark, monkeypatch, at_once):
+    """In one task, and with rounds over many."""
+    monkeypatch.setattr(components, "EDGES_AT_ONCE", at_once)
     edges = [(i, i + 1) for i in range(10, 60)] + [(100, x) for x in range(101, 150)] + [(7, 7), (None, 3), (150, 149), (149, 150)]
     got = dict(connected_components(spark.createDataFrame(edges, "u long, v long")).collect())
     assert got == {i: 10 for i in range(10, 61)} | {i: 100 for i in range(100, 151)}
+    assert connected_components(spark.createDataFrame([], "u long, v long")).count() == 0
+
+
+def test_stars_of_random_edges():
+    rng = np.random.default_rng(5)
+    for n in (1, 30, 400):
+        u, v = rng.integers(-n, n, n), rng.integers(-n, n, n)
+        root = {i: i for i in {*u.tolist(), *v.tolist()}}
+
+        def find(i):
+            while root[i] != i:
+                i = root[i]
+            return i
+
+        for a, b in zip(u.tolist(), v.tolist()):
+            a, b = sorted((find(a), find(b)))
+            root[b] = a
+        got = dict(zip(*(x.tolist() for x in components.stars_of(u, v))))
+        assert got == {i: find(i) for i in root if find(i) != i}
 
 
 def brute_exact(texts, ids):
