@@ -52,6 +52,20 @@ def test_strategies_count_alike(spark, strategy):
         assert sorted(map(str, counts.contingency(ds, j, strategy).select("feature", "x", "j", "y", "c").collect())) == want
 
 
+def test_blocks_of_rows_whose_order_changes(spark):
+    """Every evaluation meets the rows in another order, as after an exchange between machines."""
+    ds = workloads.lines(spark, "/root/testdata/sf0.001").only(["qty", "disc"])
+
+    def shuffled(batches):
+        for batch in batches:
+            yield batch.take(np.random.default_rng().permutation(batch.num_rows))
+
+    rows = ds.columns().select("qty", "disc", "y")
+    moved = Dataset(rows.mapInArrow(shuffled, rows.schema), ds.features)
+    want = sorted(map(str, counts.contingency(ds, "disc", "explode").select("feature", "x", "j", "y", "c").collect()))
+    assert sorted(map(str, counts.contingency(moved, "disc", "blocks").select("feature", "x", "j", "y", "c").collect())) == want
+
+
 #: First picks and scores at scale 0.01.
 GOLDEN = {
     "mim": [("disc", 0.211925), ("disc_hi", 0.211869), ("tax", 0.203508), ("qty", 0.155144), ("qty_band", 0.058709)],
