@@ -345,3 +345,12 @@ def test_numbering_and_bins_over_many_ranges(spark):
     assert sorted((r["i"], r["v"]) for r in looked_up(keys, found, ["k"], ["v"], "n", 53, nulls=True).distinct().collect() if r["i"] < 4) == [(1, 10), (2, 20), (3, 30)]
     plain = looked_up(keys, found, ["k"], ["v"], "n", 53)
     assert plain.count() == 53 and plain.where("i IN (3, 4) AND v IS NULL").count() == 2
+
+
+def test_complete_streams_leave_the_driver(spark, sf_dir):
+    from featsift import catalogue
+
+    found = catalogue.QUERIES["stream_window_counts"](spark, sf_dir)
+    assert found.inputFiles()  # a table in memory has none
+    one = catalogue.QUERIES["stream_session_counts"](spark, sf_dir).first()
+    assert one["events"] == spark.read.parquet(f"{sf_dir}/events.parquet").count() and one["sessions"] <= one["events"]
