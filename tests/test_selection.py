@@ -354,3 +354,15 @@ def test_complete_streams_leave_the_driver(spark, sf_dir):
     assert found.inputFiles()  # a table in memory has none
     one = catalogue.QUERIES["stream_session_counts"](spark, sf_dir).first()
     assert one["events"] == spark.read.parquet(f"{sf_dir}/events.parquet").count() and one["sessions"] <= one["events"]
+
+
+def test_one_core_codes_take_a_byte(spark, monkeypatch):
+    ds = workloads.lines(spark, SF01)
+    want = greedy.select(ds, 3, "mrmr").steps
+    held, one_core = [], baselines.one_core
+    monkeypatch.setattr(baselines, "one_core", lambda columns, *a, **b: held.append(columns) or one_core(columns, *a, **b))
+    got = baselines.sequential(ds, 3, "mrmr")
+    assert [(s["name"], round(s["score"], 9)) for s in got] == [(s["name"], round(s["score"], 9)) for s in want]
+    assert sum(c.nbytes for piece in held[0].pieces for c in piece) == 11 * ds.n
+    with pytest.raises(MemoryError):
+        baselines.sequential(ds, 3, "mrmr", max_rows=10)
