@@ -5,6 +5,8 @@ The engine itself works with column expressions; these exist for ad-hoc queries.
 
 from __future__ import annotations
 
+from array import array
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, SparkSession
@@ -46,34 +48,49 @@ def entropy_of(count: Column) -> Column:
 class SelectFeatures:
     """Table function: the ranking of one partition's integer columns.
 
-    SELECT * FROM select_features(TABLE(t) PARTITION BY g, 'y', 3, 'mrmr'): the partition is held in one task.
+    SELECT * FROM select_features(TABLE(t) PARTITION BY g, 'y', 3, 'mrmr'): the partition is held in one task, a column
+    as an array of machine integers.  A fifth argument names a column that says how often each row counts, so that a table
+    of many rows and few codes can be grouped first.  A column with nulls is no candidate.
     """
 
     @staticmethod
-    def analyze(table: AnalyzeArgument, label: AnalyzeArgument, k: AnalyzeArgument, criterion: AnalyzeArgument) -> AnalyzeResult:
+    def analyze(table: AnalyzeArgument, label: AnalyzeArgument, k: AnalyzeArgument, criterion: AnalyzeArgument, weight: AnalyzeArgument | None = None) -> AnalyzeResult:
         if not table.isTable:
             raise ValueError("the first argument must be a table")
         out = [StructField("step", IntegerType()), StructField("name", StringType()), StructField("score", DoubleType())]
         kinds = {f.name: f.dataType for f in table.dataType.fields}
-        if label.value not in kinds:
-            raise ValueError(f"no column {label.value!r}")
+        for column in (label, weight):
+            if column is not None and column.value not in kinds:
+                raise ValueError(f"no column {column.value!r}")
         return AnalyzeResult(StructType(out))
 
     def __init__(self):
-        self.rows, self.label, self.k, self.criterion = [], None, 0, "mrmr"
-
-    def eval(self, table, label, k, criterion):
-        self.rows.append(table.asDict())
-        self.label, self.k, self.criterion = label, k, criterion
+        self.columns, self.label, self.k, self.criterion, self.weight = None, None, 0, "mrmr", None
+
+    def eval(self, table, label, k, criterion, weight=None):
+        if self.columns is None:
+            self.columns = {name: array("q") for name in table.__fields__}
+            self.label, self.k, self.criterion, self.weight = label, k, criterion, weight
+        for name, value in zip(table.__fields__, table):
+            held = self.columns.get(name)
+            if held is not None:
+                if isinstance(value, int) and not isinstance(value, bool):
+                    held.append(value)
+                else:
+                    del self.columns[name]
 
     def terminate(self):
-        if not self.rows:
+        if self.columns is None:
             return
-        from ..operators.baselines import sequential_select
-
-        pdf = pd.DataFrame(self.rows)
-        features = [c for c in pdf.columns if c != self.label and pd.api.types.is_integer_dtype(pdf[c]) and pdf[c].nunique() > 1]
-        for step in sequential_select(pdf, features, self.label, self.k, self.criterion):
+        from ..operators.baselines import Columns, one_core
+
+        codes = {name: np.frombuffer(held, np.int64) for name, held in self.columns.items()}
+        for name in (self.label, self.weight):
+            if name is not None and name not in codes:
+                raise ValueError(f"{name!r} must hold integers without nulls")
+        features = [c for c, v in codes.items() if c not in (self.label, self.weight) and v.min() != v.max()]
+        columns = Columns.of([codes[c] for c in (*features, self.label)], codes.get(self.weight))
+        for step in one_core(columns, features, self.k, self.criterion):
             yield step["step"], step["name"], step["score"]
 
 

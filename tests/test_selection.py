@@ -366,3 +366,15 @@ def test_one_core_codes_take_a_byte(spark, monkeypatch):
     assert sum(c.nbytes for piece in held[0].pieces for c in piece) == 11 * ds.n
     with pytest.raises(MemoryError):
         baselines.sequential(ds, 3, "mrmr", max_rows=10)
+
+
+def test_table_function_takes_grouped_rows(spark):
+    from featsift.functions import udf
+
+    udf.register_functions(spark)
+    rows = workloads.lines(spark, "/root/testdata/sf0.001").df.select("qty_band", "disc_hi", "tax", "rf", "y")
+    rows.createOrReplaceTempView("fs_plain")
+    rows.groupBy(*rows.columns).count().createOrReplaceTempView("fs_grouped")
+    call = "SELECT step, name, round(score, 9) AS score FROM select_features(TABLE({}) PARTITION BY (rf), 'y', 3, 'mrmr'{})"
+    plain, grouped = (sorted(map(tuple, spark.sql(call.format(*x)).collect())) for x in (("fs_plain", ""), ("fs_grouped", ", 'count'")))
+    assert plain == grouped and len(plain) == 9
