@@ -378,3 +378,21 @@ def test_table_function_takes_grouped_rows(spark):
     call = "SELECT step, name, round(score, 9) AS score FROM select_features(TABLE({}) PARTITION BY (rf), 'y', 3, 'mrmr'{})"
     plain, grouped = (sorted(map(tuple, spark.sql(call.format(*x)).collect())) for x in (("fs_plain", ""), ("fs_grouped", ", 'count'")))
     assert plain == grouped and len(plain) == 9
+
+
+@pytest.mark.parametrize("name", ["criteria_registered"])
+def test_results_follow_from_a_table(spark, sf_dir, name):
+    """Against the SQL, on two tables with different results."""
+    import duckdb
+
+    from featsift import catalogue
+
+    found = []
+    for path in (sf_dir, SF01):
+        con = duckdb.connect()
+        for t in ("lineitem", "orders", "customer", "documents", "labels"):
+            con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{path}/{t}.parquet'")
+        got = sorted(map(tuple, catalogue.QUERIES[name](spark, path).collect()))
+        assert got == sorted(con.sql(catalogue.ORACLE_SQL[name]).fetchall())
+        found.append(got)
+    assert found[0] and found[0] != found[1]
