@@ -380,7 +380,7 @@ def test_table_function_takes_grouped_rows(spark):
     assert plain == grouped and len(plain) == 9
 
 
-@pytest.mark.parametrize("name", ["criteria_registered", "extrapolated_times", "random_features"])
+@pytest.mark.parametrize("name", ["criteria_registered", "extrapolated_times", "random_features", "rel_recursive_cte"])
 def test_results_follow_from_a_table(spark, sf_dir, name):
     """Against the SQL, on two tables with different results."""
     import duckdb
