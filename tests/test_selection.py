@@ -396,3 +396,24 @@ def test_results_follow_from_a_table(spark, sf_dir, name):
         assert got == sorted(con.sql(catalogue.ORACLE_SQL[name]).fetchall())
         found.append(got)
     assert found[0] and found[0] != found[1]
+
+
+@pytest.mark.parametrize("local", [0, 1 << 20])
+def test_sgd_of_grouped_rows(spark, monkeypatch, local):
+    """Weighted rows give what the library gives on single ones, on the driver and by jobs."""
+    from pyspark.mllib.classification import SVMWithSGD
+    from pyspark.mllib.regression import LabeledPoint
+
+    monkeypatch.setattr(models, "LOCAL_BYTES", local)
+    rows = workloads.lines(spark, "/root/testdata/sf0.001", "noisy").df.where("l_orderkey < 300")
+    names = ["disc", "tax"]
+    encode_ = models.OneHot(rows, names)
+    one = encode_(models.grouped(rows, names))
+    assert one.count() < rows.count() and one.agg(F.sum("weight")).first()[0] == rows.count()
+    model = models.svm(one, impl="sgd", iters=20)
+    points = encode_(rows).rdd.map(lambda r: LabeledPoint(r["y"], r["v"].toArray()))
+    want = SVMWithSGD.train(points, iterations=20, step=1.0, regParam=1.0)
+    assert np.allclose(model.weights, want.weights.toArray(), atol=1e-9)
+    single = models.scored(model, encode_(rows)).withColumn("score", F.round("score", 10))
+    grouped = models.scored(model, one).withColumn("score", F.round("score", 10))
+    assert metrics.auc(grouped, weight="weight").first()["auc"] == pytest.approx(metrics.auc(single).first()["auc"])
