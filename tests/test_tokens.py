@@ -1,8 +1,11 @@
 """Text sets: the short way of selections and studies against postings, brute force and the library."""
 
+import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from featsift.operators import greedy, pooled
+from featsift import catalogue
+from featsift.operators import greedy, metrics, models, pooled, sampling
 from featsift.plans import tokens
 from featsift.sources import workloads
 
@@ -40,3 +43,30 @@ def test_odd_texts(spark, tmp_path):
         assert ds.plain == (not more) and ds.n == 7
         assert key(greedy.select(ds, 4, "mrmr")) == key(greedy.select(ds.full, 4, "mrmr"))
     assert workloads.token_set(spark, written(spark, tmp_path / "none", docs[:2], labels), "quality").size == 0
+
+
+def test_presence_of_the_chosen(spark, sf_dir):
+    """Grouped rows of both sides, those without any chosen token included, are what postings say."""
+    ds = workloads.token_set(spark, sf_dir, "quality")
+    train = ds.within(sampling.trains(F.col("row_id")))
+    found = greedy.select(train, 6, "mrmr")
+    for k in (2, 6):
+        want = models.presence_vectors(ds, [s["feature"] for s in found.steps[:k]]).withColumn("inside", sampling.trains(F.col("row_id")))
+        want = sorted((r["inside"], r["y"], *r["v"].toArray()) for r in want.collect())
+        rows = models.restricted(train.presence(found.blocks, found.places), k)
+        got = [(side, r["y"], *r["v"].toArray()) for side in (True, False) for r in models.present(rows.where(F.col("inside") == side), k).collect() for _ in range(r["weight"])]
+        assert sorted(got) == want and len(got) > 50
+
+
+@pytest.mark.parametrize("classifier", ["nb", "sgd", "svm"])
+def test_studies_of_texts_make_no_postings(spark, sf_dir, monkeypatch, classifier):
+    """Grouped rows give the area that single rows of postings give."""
+    ds = workloads.token_set(spark, sf_dir, "quality")
+    found = greedy.select(ds.within(sampling.trains(F.col("row_id"))), 5, "mrmr")
+    train, test = sampling.holdout(models.presence_vectors(ds, [s["feature"] for s in found.steps]), F.col("row_id"))
+    ranked = models.scored(catalogue._FITS[classifier](train.drop("row_id")), test).withColumn("score", F.round("score", 10))
+    want = metrics.auc(ranked).first()["auc"]
+    monkeypatch.setattr(workloads, "to_postings", None)
+    rows = catalogue.classifier_study(spark, sf_dir, "quality", classifier, (5,)).collect()
+    # two optimisers of one cost end near each other, not at the same place
+    assert [r["k"] for r in rows] == [5] and float(rows[0]["auc"]) == pytest.approx(float(want), abs=0.2 if classifier == "svm" else 1e-9)
