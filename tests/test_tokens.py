@@ -70,3 +70,25 @@ def test_studies_of_texts_make_no_postings(spark, sf_dir, monkeypatch, classifie
     rows = catalogue.classifier_study(spark, sf_dir, "quality", classifier, (5,)).collect()
     # two optimisers of one cost end near each other, not at the same place
     assert [r["k"] for r in rows] == [5] and float(rows[0]["auc"]) == pytest.approx(float(want), abs=0.2 if classifier == "svm" else 1e-9)
+
+
+@pytest.mark.parametrize("local", [0, 1 << 20])
+def test_hinge_of_grouped_rows(spark, monkeypatch, local):
+    """Weighted rows reach the minimum of the single ones' cost, on the driver and by jobs."""
+    from pyspark.ml.functions import vector_to_array
+
+    monkeypatch.setattr(models, "LOCAL_BYTES", local)
+    rows = workloads.lines(spark, "/root/testdata/sf0.001", "noisy").df.where("l_orderkey < 300")
+    encode_ = models.OneHot(rows, ["disc", "tax"])
+    single = encode_(rows).select(vector_to_array("v").alias("x"), "y").toPandas()
+    x, sign = np.array(single["x"].tolist()), 2 * single["y"].to_numpy() - 1
+    scale = x.std(0, ddof=1)
+
+    def cost(m, w, b):
+        return np.maximum(0, 1 - sign * (x @ w + b)).mean() + m * ((scale * w) ** 2).sum() / 2
+
+    model = models.svm(models.packed(encode_(models.grouped(rows, ["disc", "tax"]))))
+    got = cost(1.0, model.weights, model.intercept)
+    # the cost is convex: no nearby place is lower
+    step = np.random.default_rng(1).standard_normal((200, x.shape[1] + 1)) * 0.1
+    assert all(got < cost(1.0, model.weights + s[:-1], model.intercept + s[-1]) + 1e-4 for s in step)
