@@ -417,3 +417,52 @@ def test_sgd_of_grouped_rows(spark, monkeypatch, local):
     single = models.scored(model, encode_(rows)).withColumn("score", F.round("score", 10))
     grouped = models.scored(model, one).withColumn("score", F.round("score", 10))
     assert metrics.auc(grouped, weight="weight").first()["auc"] == pytest.approx(metrics.auc(single).first()["auc"])
+
+
+@pytest.mark.parametrize("criterion", ["mrmr", "jmi", "cmim", "mim"])
+def test_all_pairs_are_counted_in_one_job(spark, monkeypatch, criterion):
+    """Where the rounds would count no fewer cells; with nulls, weights and more features than one column of a block holds."""
+    from featsift.operators import packed
+
+    monkeypatch.setattr(packed, "GROUP", 4)
+    monkeypatch.setattr(packed, "PART_BYTES", 500)
+    rng = np.random.default_rng(5)
+    names = [f"f{i}" for i in range(9)]
+    codes = rng.integers(0, rng.integers(1, 6, 9), (200, 9))
+    rows = [tuple(None if rng.random() < 0.1 else int(v) for v in r) + (int(rng.integers(3)), int(rng.integers(1, 4))) for r in codes]
+    df = spark.createDataFrame(rows, ", ".join(f"{n} int" for n in names) + ", y int, w long").repartition(3)
+    jobs, count = [], packed.DenseEngine.information
+    monkeypatch.setattr(packed.DenseEngine, "information", lambda self, *a: jobs.append(1) or count(self, *a))
+    for weight in (None, "w"):
+        ds = Dataset(df, names, weight=weight)
+        want = greedy.select(ds, 9, criterion, strategy="explode").steps
+        want = [dict(s, score=pytest.approx(s["score"], abs=1e-11), rel=pytest.approx(s["rel"], abs=1e-11)) for s in want]
+        jobs.clear()
+        assert greedy.select(ds, 9, criterion).steps == want
+        assert len(jobs) == (1 if criterion == "mim" else 2)
+        # of few features chosen, pairs are counted round by round
+        jobs.clear()
+        assert greedy.select(ds, 4, criterion).steps == want[:4]
+        assert len(jobs) == (1 if criterion == "mim" else 4)
+        # so they are where the tables of all pairs would be too large
+        jobs.clear()
+        with monkeypatch.context() as m:
+            m.setattr(packed, "COUNT_BYTES", 3000)
+            assert greedy.select(ds, 9, criterion).steps == want
+        assert len(jobs) == (1 if criterion == "mim" else 9)
+    none = Dataset(spark.createDataFrame([], "a int, b int, c int, y int"), ["a", "b", "c"])
+    assert greedy.select(none, 3, criterion).names == ["a", "b", "c"]
+
+
+def test_times_have_what_comes_before_the_first_round(spark, sf_dir, monkeypatch):
+    import time
+
+    from featsift import catalogue
+
+    def slow(ds, k, criterion):
+        time.sleep(0.2)
+        return greedy.Selection(spark, [{}] * k, [0.0] * (k - 1) + [0.1])
+
+    monkeypatch.setattr(greedy, "select", slow)
+    found = catalogue.selection_times(spark, sf_dir).collect()
+    assert len(found) == 17 and all(r["seconds"] > 0.05 for r in found)

@@ -92,3 +92,20 @@ def test_hinge_of_grouped_rows(spark, monkeypatch, local):
     # the cost is convex: no nearby place is lower
     step = np.random.default_rng(1).standard_normal((200, x.shape[1] + 1)) * 0.1
     assert all(got < cost(1.0, model.weights + s[:-1], model.intercept + s[-1]) + 1e-4 for s in step)
+
+
+@pytest.mark.parametrize("buckets", [1, 64, 1000, 999983, 1 << 20])
+def test_tokens_are_hashed_as_by_spark(spark, sf_dir, buckets):
+    from pyspark.sql import functions as F
+
+    from featsift.functions import encode
+    from featsift.plans.tokens import _split
+    from featsift.sources.tables import table
+
+    docs = table(spark, sf_dir, "documents").limit(40)
+    words = F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))
+    for n in (1, 2):
+        hashes = F.transform(words if n == 1 else encode.ngrams(words, n), lambda t: encode.hashed(t, buckets))
+        rows = docs.where("text IS NOT NULL").select(F.lower("text").alias("text"), hashes.alias("hashes")).collect()
+        split = _split(n, buckets)
+        assert rows and all(split(r["text"]) == set(r["hashes"]) for r in rows)
